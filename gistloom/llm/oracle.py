@@ -4,6 +4,16 @@ from __future__ import annotations
 
 SPLIT = r"list_filter(regexp_split_to_array(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '')"
 
+OP1 = r"""
+with recursive w as (select doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') as ws from documents),
+sh as (select distinct doc_id, array_to_string(ws[i:i + 2], ' ') as g from w, unnest(range(1, greatest(len(ws) - 1, 2))) as r(i) where len(ws) > 0),
+n as (select doc_id, count(*) as n from sh group by doc_id),
+pairs as (select a.doc_id as a, b.doc_id as b, count(*) as c from sh a join sh b on a.g = b.g and a.doc_id <> b.doc_id group by all),
+links as (select a, b from pairs join n x on x.doc_id = a join n y on y.doc_id = b where 100 * c >= 90 * (x.n + y.n - c)),
+reach as (select doc_id as a, doc_id as b from w union select reach.a, links.b from reach join links on links.a = reach.b)
+select doc_id, cast(coalesce(n.n, 0) as bigint) as n_shingles, component_id from (select a as doc_id, min(b) as component_id from reach group by a) left join n using (doc_id)
+"""
+
 OP2 = rf"""
 with w as (select doc_id, coalesce(text, '') as body, {SPLIT} as ws from documents),
 grams as (select doc_id, i, array_to_string(ws[i:i + 7], ' ') as g from w, unnest(range(1, len(ws) - 6)) as r(i)),
@@ -71,4 +81,4 @@ select d.doc_id, cast(len(ws) as bigint) as n_words, cast(coalesce(n_hit, 0) as
 from d left join cov using (doc_id) left join its using (doc_id)
 """
 
-ORACLES = {"op2_quality_rules": OP2, "op3_line_dedup": OP3, "op7_source_mix": OP7, "op10_decontamination": OP10}
+ORACLES = {"op1_ngram_jaccard": OP1, "op2_quality_rules": OP2, "op3_line_dedup": OP3, "op7_source_mix": OP7, "op10_decontamination": OP10}

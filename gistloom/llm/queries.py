@@ -5,11 +5,16 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gistloom.llm import decontaminate, line_dedup, mixing, quality_rules, urls
+from gistloom.llm import decontaminate, jaccard_join, line_dedup, mixing, quality_rules, urls
 from gistloom.llm.oracle import ORACLES
 from gistloom.llm.shared import table
 
 
+def op1_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = jaccard_join.similarity_components(table(spark, sf_dir, "documents"), width=3, percent=90)
+    return found.select("doc_id", "n_shingles", "component_id")
+
+
 def op2_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = quality_rules.apply_policy(quality_rules.ledger(table(spark, sf_dir, "documents")))
     base = F.col("failures").bitwiseAND(F.lit(quality_rules.BASE)) != 0
@@ -38,7 +43,7 @@ def op10_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated")
 
 
-QUERIES = {f.__name__: f for f in (op2_quality_rules, op3_line_dedup, op5_url_filter, op7_source_mix, op10_decontamination)}
+QUERIES = {f.__name__: f for f in (op1_ngram_jaccard, op2_quality_rules, op3_line_dedup, op5_url_filter, op7_source_mix, op10_decontamination)}
 
 
 def queries() -> dict:
