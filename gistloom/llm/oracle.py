@@ -81,4 +81,14 @@ select d.doc_id, cast(len(ws) as bigint) as n_words, cast(coalesce(n_hit, 0) as
 from d left join cov using (doc_id) left join its using (doc_id)
 """
 
-ORACLES = {"op1_ngram_jaccard": OP1, "op2_quality_rules": OP2, "op3_line_dedup": OP3, "op7_source_mix": OP7, "op10_decontamination": OP10}
+_BIT = " + ".join(f"{16 >> k} * substr(bits, (5 * i + {k + 1})::int, 1)::int" for k in range(5))
+OP6 = f"""
+with p as (select page_id, coalesce(html, '') as html from pages),
+f as (select html, min(page_id) as first from p group by html),
+h as (select page_id, first, strlen(p.html) as n, array_to_string(list_transform(string_split(sha1(p.html), ''),
+  lambda c: substr('0000000100100011010001010110011110001001101010111100110111101111', (4 * (strpos('0123456789abcdef', c) - 1) + 1)::int, 4)), '') as bits from p join f on p.html = f.html)
+select page_id, cast(n as bigint) as payload_bytes, array_to_string(list_transform(range(32), lambda i: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567', (1 + {_BIT})::int, 1)), '') as payload_digest,
+  case when page_id = first then 'response' else 'revisit' end as record_type, case when page_id <> first then first end as refers_to from h
+"""
+
+ORACLES = {"op1_ngram_jaccard": OP1, "op2_quality_rules": OP2, "op3_line_dedup": OP3, "op6_warc": OP6, "op7_source_mix": OP7, "op10_decontamination": OP10}
