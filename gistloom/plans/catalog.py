@@ -1,4 +1,6 @@
 """All queries of the engine and their DuckDB statements, by key."""
 
-QUERIES: dict = {}
-ORACLES: dict[str, str] = {}
+from gistloom.plans import catalog_core, catalog_ops
+
+QUERIES: dict = {**catalog_core.QUERIES, **catalog_ops.QUERIES}
+ORACLES: dict[str, str] = {**catalog_core.ORACLES, **catalog_ops.ORACLES}
