@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gistloom.llm import kernels as K
-from gistloom.llm.shared import materialize
+from gistloom.llm.shared import materialize, release
 
 GROUP_ROWS = 80
 GROUP_SHINGLES = 200_000
@@ -118,8 +118,8 @@ def digests(docs: DataFrame, width: int) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, n_shingles long, d1 long, d2 long")
 
 
-def token_rows(docs: DataFrame, width: int, percent: int) -> DataFrame:
-    """(rep, tok) of each document."""
+def token_rows(docs: DataFrame, width: int, percent: int, rounds: int = 1, turn: int = 0) -> DataFrame:
+    """(rep, tok) of each document; of several rounds, each gives the tokens of its residue."""
 
     def run(batches):
         signer = Signer(percent)
@@ -129,6 +129,7 @@ def token_rows(docs: DataFrame, width: int, percent: int) -> DataFrame:
             for i, s in zip(ids, K.shingle_sets(batch.column(1), width), strict=True):
                 if len(s):
                     t = signer.tokens(s)
+                    t = t[t % U(rounds) == turn] if rounds > 1 else t
                     held.append(t)
                     who.append(np.full(len(t), i, np.int64))
                     size += len(t)
@@ -229,18 +230,32 @@ def _as_sets(column: pa.ChunkedArray) -> list[np.ndarray]:
     return [values[ends[i] : ends[i + 1]] for i in range(len(flat))]
 
 
-def similarity_components(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
-    """doc_id, n_shingles, class_id, component_id of every document row."""
+def _shared_tokens(docs: DataFrame, width: int, percent: int, rounds: int, turn: int) -> DataFrame:
+    """(tok, rep, df) of the tokens that two documents or more hold."""
+    tokens = token_rows(docs, width, percent, rounds, turn)
+    shared = tokens.groupBy("tok").agg(F.count("*").alias("df")).where("df > 1")
+    return materialize(tokens.join(shared.hint("shuffle_hash"), "tok").select("tok", "rep", "df"), "matrix")
+
+
+def similarity_components(docs: DataFrame, width: int = 5, percent: int = 80, rounds: int | None = None) -> DataFrame:
+    """doc_id, n_shingles, class_id, component_id of every document row.
+
+    Tokens are matched in ``rounds`` by residue, so that the shuffle files of one round only are on
+    disk at a time; a lower threshold needs more tokens a document and gets more rounds.
+    """
     spark = docs.sparkSession
+    rounds = rounds or max(1, (100 - percent) // 5 - 1)
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     known = materialize(digests(docs, width), "digests")
     classes = known.where("n_shingles > 0").groupBy("d1", "d2").agg(F.min("doc_id").alias("_gl_rep"))
     reps = materialize(classes.where(F.col("_gl_rep").isNotNull()), "classes")
     chosen = _only(docs.select("doc_id", "text"), reps.select("_gl_rep"), BROADCAST_IDS)
 
-    tokens = token_rows(chosen, width, percent)
-    shared = tokens.groupBy("tok").agg(F.count("*").alias("df")).where("df > 1")
-    matrix = materialize(tokens.join(shared.hint("shuffle_hash"), "tok").select("tok", "rep", "df"), "matrix")
+    matrix = None
+    for turn in range(rounds):
+        part = _shared_tokens(chosen, width, percent, rounds, turn)
+        release(spark)
+        matrix = part if matrix is None else matrix.union(part)
 
     weight = matrix.groupBy("rep").agg(F.sum("df").alias("w"))
     weighed = matrix.join(weight, "rep")
@@ -274,6 +289,7 @@ def similarity_components(docs: DataFrame, width: int = 5, percent: int = 80) ->
 
     grouped = seats.join(sets.select("rep", "shingles"), "rep").withColumn("slot", slot("pivot", "part")).groupBy("slot")
     inner = materialize(grouped.applyInArrow(inside, "a long, b long").where("a <> b"), "inner")
+    release(spark)
     labels = components(inner)
 
     # between groups that share a token, unless both are one and the same component

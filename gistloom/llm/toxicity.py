@@ -33,7 +33,7 @@ from gistloom.llm.labelled import fold, hash_key, sample
 
 FOLDS, HELD = 3, 1
 MAX_TOXIC, MAX_ORDINARY, MAX_CHARS = 1500, 2500, 12_000_000
-WINDOW, OVERLAP = 300, 12
+WINDOW, OVERLAP = 100, 12
 SHORT, LONG = 5, 6
 
 
