@@ -9,6 +9,13 @@ WORD = r"[^ \t\n\r\f]+"
 WORDPUNCT = r"[\p{L}\p{N}]+|[^\s\p{L}\p{N}]"
 
 
+def char_grams(text: Column, n: int = 3) -> Column:
+    """Character n-grams; the text is cut into characters once, so time is linear."""
+    empty = F.array().cast("array<string>")
+    grams = lambda c: F.when(F.size(c) < n, empty).otherwise(F.transform(F.sequence(F.lit(1), F.size(c) - (n - 1)), lambda i: F.array_join(F.slice(c, i, F.lit(n)), "")))
+    return F.transform(F.array(F.regexp_extract_all(text, F.lit("(?s)."), F.lit(0))), grams)[0]
+
+
 def words(text: Column, kind: str = "ws", size: int = 4) -> Column:
     """Tokens: whitespace words, words and signs, word pieces of ``size`` characters, or 3-grams."""
     text = F.coalesce(text, F.lit(""))
@@ -20,8 +27,7 @@ def words(text: Column, kind: str = "ws", size: int = 4) -> Column:
         cut = lambda t: F.transform(F.sequence(F.lit(0), F.ceil(F.char_length(t) / size).cast("int") - 1), lambda i: F.substr(t, i * size + 1, F.lit(size)))
         return F.flatten(F.transform(words(text), cut))
     if kind == "trigram":
-        n = F.char_length(text)
-        return F.when(n < 3, F.array().cast("array<string>")).otherwise(F.transform(F.sequence(F.lit(1), n - 2), lambda i: F.substr(text, i, F.lit(3))))
+        return char_grams(text)
     raise ValueError(f"unknown tokeniser {kind!r}")
 
 

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from gistloom.functions.tokens import char_grams
 from gistloom.operators.selection import SPANS, budget_tokens, merge_spans, used_tokens
 
 LENGTH, OVERLAP = 128, 32
@@ -22,9 +23,7 @@ def features_of(rows: DataFrame, key: list[str], kind: str) -> DataFrame:
     """key, bucket, w: sparse hashed vectors; words (64), character trigrams (256) or words (1024)."""
     dims = {"unigram": 64, "trigram": 256, "tfidf": 1024}[kind]
     if kind == "trigram":
-        text = F.lower(F.array_join("tokens", " "))
-        n = F.char_length(text)
-        items = F.when(n < 3, F.array().cast("array<string>")).otherwise(F.transform(F.sequence(F.lit(1), F.greatest(n - 2, F.lit(1))), lambda i: F.substr(text, i, F.lit(3))))
+        items = char_grams(F.lower(F.array_join("tokens", " ")))
     else:
         items = F.transform("tokens", lambda t: F.lower(t))
     bucket = F.conv(F.substring(F.md5("item"), 1, 8), 16, 10).cast("long") % dims

@@ -632,3 +632,274 @@ def competing_candidates(spark, sf_dir):
     s = selection.select_windows(c.diff(), SOME, "trim")
     hit = s.join(rivals, "query_id").where(F.exists("spans", lambda x: (F.col("off") >= x["first_pos"]) & (F.col("off") < x["last_pos"])))
     return hit.groupBy("query_id", F.col("b").cast("double").alias("budget")).agg(F.count_distinct("ln").alias("rivals"))
+
+
+# ---- baselines --------------------------------------------------------------------------------------
+
+_CH = """och as (select doc_id, n, (s // 96) as chunk_no, s as a, least(s + 128, n) as z from dn, unnest(range(0, greatest(n - 33, 0)::bigint + 1, 96)) as r(s)),
+oct as (select doc_id, chunk_no, pos, tok from och join tk using (doc_id) where pos >= a and pos < z)"""
+
+
+def _features_sql(kind: str) -> str:
+    dims = {"unigram": 64, "trigram": 256, "tfidf": 1024}[kind]
+    h = lambda x: f"('0x' || substr(md5({x}), 1, 8))::bigint % {dims}"
+    if kind == "trigram":
+        cf = f"cf0 as (select doc_id, chunk_no, lower(string_agg(tok, ' ' order by pos)) as t from oct group by all), cf as (select doc_id, chunk_no, {h('substr(t, i::int, 3)')} as bk, count(*)::double as w from cf0, unnest(range(1, length(t) - 1)) as r(i) group by all)"
+        qf = f"qf0 as (select doc_id, query_id, lower(array_to_string(toks, ' ')) as t from q), qf as (select doc_id, query_id, {h('substr(t, i::int, 3)')} as bk, count(*)::double as w from qf0, unnest(range(1, length(t) - 1)) as r(i) group by all)"
+    else:
+        cf = f"cf as (select doc_id, chunk_no, {h('lower(tok)')} as bk, count(*)::double as w from oct group by all)"
+        qf = f"qf as (select doc_id, query_id, {h('lower(t)')} as bk, count(*)::double as w from (select doc_id, query_id, unnest(toks) as t from q) group by all)"
+    if kind == "tfidf":
+        idf = "idf as (select bk, round(ln((select count(*) from och) / count(*)) + 1, 6) as idf from cf group by bk)"
+        return f"{cf},\n{qf},\n{idf},\ncfw as (select doc_id, chunk_no, bk, w * idf as w from cf join idf using (bk)),\nqfw as (select doc_id, query_id, bk, w * idf as w from qf join idf using (bk))"
+    return f"{cf},\n{qf},\ncfw as (select * from cf),\nqfw as (select * from qf)"
+
+
+def rag_sql(kind: str, tail: str, *more: str) -> str:
+    sim = """rg as (select *, row_number() over (partition by doc_id, query_id order by similarity desc, chunk_no) as place from (select a.doc_id, a.query_id, c.chunk_no, round(coalesce(d.dot, 0) / (a.z * c.z), 6) as similarity
+  from (select doc_id, query_id, sqrt(sum(w * w)) as z from qfw group by all) a join (select doc_id, chunk_no, sqrt(sum(w * w)) as z from cfw group by all) c using (doc_id)
+  left join (select q1.doc_id, q1.query_id, c1.chunk_no, sum(q1.w * c1.w) as dot from qfw q1 join cfw c1 using (doc_id, bk) group by all) d on d.doc_id = a.doc_id and d.query_id = a.query_id and d.chunk_no = c.chunk_no))"""
+    return C.core(C.SCORES, _CH, _features_sql(kind), sim, *more, tail=tail)
+
+
+def _hits(spark, sf_dir, kind="unigram"):
+    c = Core(spark, sf_dir)
+    chunks = retrieval.chunk_overlap(c.tok)
+    return held(spark, sf_dir, f"hits-{kind}", lambda: retrieval.retrieve(chunks, c.questions, kind)), chunks
+
+
+for _k in ("unigram", "trigram", "tfidf"):
+    register(f"embed_{_k}", rag_sql(_k, "select query_id, chunk_no::int as chunk_no, similarity from rg"))(
+        lambda spark, sf_dir, k=_k: _hits(spark, sf_dir, k)[0].select("query_id", "chunk_no", "similarity"))
+
+_KS = """ks as (select doc_id, query_id, k, count(distinct pos) as n_used from rg join range(1, 9) as r(k) on place <= k join oct using (doc_id, chunk_no) group by all)"""
+
+
+@register("rag_topk", rag_sql("unigram", "select query_id, chunk_no::int as chunk_no, place::int as place from rg where place <= 4"))
+def rag_topk(spark, sf_dir):
+    return _hits(spark, sf_dir)[0].where("place <= 4").select("query_id", "chunk_no", "place")
+
+
+@register("rag_context", rag_sql("unigram", "select query_id, count(distinct pos) as n_used, min(pos)::int as first_pos, (max(pos) + 1)::int as last_pos from rg join oct using (doc_id, chunk_no) where place <= 4 group by query_id"))
+def rag_context(spark, sf_dir):
+    hits, chunks = _hits(spark, sf_dir)
+    s = retrieval.stitch(hits.where("place <= 4"), chunks)
+    return s.select("query_id", selection.used_tokens(F.col("spans")).cast("long").alias("n_used"), F.col("spans")[0]["first_pos"].alias("first_pos"), F.element_at("spans", -1)["last_pos"].alias("last_pos"))
+
+
+@register("rag_k_sweep", rag_sql("unigram", "select query_id, k::int as k, n_used from ks", _KS))
+def rag_k_sweep(spark, sf_dir):
+    return retrieval.k_sweep(*_hits(spark, sf_dir)).select("query_id", "k", "n_used")
+
+
+_AL = "al as (select query_id, doc_id, max(k) filter (where k = 1 or n_used <= ceil(0.4::decimal(9,6) * n)) as k from ks join dn using (doc_id) group by all)"
+
+
+@register("rag_token_aligned", rag_sql("unigram", "select query_id, al.k::int as k, n_used from al join ks using (query_id, doc_id, k)", _KS, _AL))
+def rag_token_aligned(spark, sf_dir):
+    return retrieval.align_k(retrieval.k_sweep(*_hits(spark, sf_dir)), F.lit("0.4")).select("query_id", "k", "n_used")
+
+
+@register("rag_min_cost", rag_sql("unigram", "select query_id, n_used, round(n_used / n, 6) as share from ks join dn using (doc_id) where k = 1", _KS))
+def rag_min_cost(spark, sf_dir):
+    """What one chunk costs: budgets below it are out of reach for retrieval."""
+    s = retrieval.k_sweep(*_hits(spark, sf_dir), ks=(1,))
+    return s.select("query_id", "n_used", F.round(F.col("n_used") / F.col("n_tokens"), 6).alias("share"))
+
+
+_W1 = f"""rkept as (select 'rag' as meth, rg.doc_id, rg.query_id, pos from al join rg on rg.query_id = al.query_id and rg.place <= al.k join oct on oct.doc_id = rg.doc_id and oct.chunk_no = rg.chunk_no group by all),
+both_kept as (select meth, doc_id, query_id, pos from kept union all select * from rkept),
+r2 as (select meth, kind, query_id, count(*) as n_used, count(*) filter (where pos >= first_pos and pos < last_pos) as n_in, any_value(last_pos - first_pos) as n_gold from both_kept join q using (doc_id, query_id) group by all)"""
+
+
+@register("w1_accuracy", rag_sql("unigram", "select meth, kind, count(*) as n_queries, round(avg((n_in >= 0.5 * n_gold)::int), 6) as accuracy, round(avg(n_used), 6) as avg_tokens from r2 group by meth, kind", _KS, _AL, C.PAIRS, C.diff("auto"), C.windows(("0.4",)), C.TRIM, _W1))
+def w1_accuracy(spark, sf_dir):
+    """Reducer against retrieval at 40% of the tokens, by kind of question."""
+    c = Core(spark, sf_dir)
+    mine = selection.select_windows(c.diff(), ("0.4",), "trim").select(F.lit("auto").alias("meth"), "query_id", "n_tokens", "spans")
+    rag = retrieval.align_k(retrieval.k_sweep(*_hits(spark, sf_dir)), F.lit("0.4")).select(F.lit("rag").alias("meth"), "query_id", "n_tokens", "spans")
+    found = measures.evidence(mine.unionByName(rag), c.questions).join(c.questions.select("query_id", "kind"), "query_id")
+    ok = (F.col("n_in") >= 0.5 * F.col("n_gold")).cast("int")
+    return found.groupBy("meth", "kind").agg(F.count("*").alias("n_queries"), F.round(F.avg(ok), 6).alias("accuracy"), F.round(F.avg("n_used"), 6).alias("avg_tokens"))
+
+
+@register("embed_work", C.core(C.SCORES, _CH, tail="select count(*) as n_chunks, sum(z - a)::bigint as n_tokens from och"))
+def embed_work(spark, sf_dir):
+    return _hits(spark, sf_dir)[1].agg(F.count("*").alias("n_chunks"), F.sum(F.col("last_pos") - F.col("first_pos")).alias("n_tokens"))
+
+
+@register("rag_bm25", C.core(C.SCORES, _CH, """tf as (select doc_id, chunk_no, lower(tok) as t, count(*) as tf from oct group by all), df as (select t, count(*) as df from tf group by t), cl as (select doc_id, chunk_no, count(*) as n from oct group by all),
+st as (select count(*)::double as nc, avg(n) as av from cl), qs as (select distinct doc_id, query_id, lower(t) as t from (select doc_id, query_id, unnest(toks) as t from q))""",
+          tail="select query_id, chunk_no::int as chunk_no, round(sum(ln(1 + (nc - df + 0.5) / (df + 0.5)) * tf * 2.2 / (tf + 1.2 * (0.25 + 0.75 * n / av))), 6) as score from qs join tf using (doc_id, t) join df using (t) join cl using (doc_id, chunk_no), st group by all"))
+def rag_bm25(spark, sf_dir):
+    c = Core(spark, sf_dir)
+    return retrieval.bm25(retrieval.chunk_overlap(c.tok), c.questions).select("query_id", "chunk_no", "score")
+
+
+@register("rag_maxsim", C.core(C.SCORES, _CH, tail="select query_id, chunk_no::int as chunk_no, sum(s)::bigint as score from (select q1.query_id, q1.k, o.chunk_no, max(32 - 2 * bit_count(xor(q1.w, o.w))) as s from (select doc_id, query_id, k, w from qw join q using (doc_id, query_id) where layer = 0 and head = 0) q1 join (select distinct doc_id, chunk_no, ('0x' || substr(md5(lower(tok)), 1, 8))::bigint as w from oct) o using (doc_id) group by all) group by all"))
+def rag_maxsim(spark, sf_dir):
+    c = Core(spark, sf_dir)
+    return retrieval.maxsim(retrieval.chunk_overlap(c.tok), c.questions).select("query_id", "chunk_no", "score")
+
+
+def _region_sql(cond: str) -> str:
+    return C.core(C.SCORES, tail=f"select query_id, count(*) as n_used, count(*) filter (where pos >= first_pos and pos < last_pos) as n_in from q join dn using (doc_id) join tk using (doc_id), (select 0.1::decimal(9,6) as b) where {cond} group by query_id")
+
+
+_B = "ceil(b * n)"
+for _w, _c in (("head", f"pos < {_B}"), ("tail", f"pos >= n - {_B}"), ("both", f"(pos < ceil({_B} / 2.0) or pos >= n - ({_B} - ceil({_B} / 2.0)))")):
+    register(f"select_{_w}", _region_sql(_c))(lambda spark, sf_dir, w=_w: measures.evidence(retrieval.fixed_region(Core(spark, sf_dir).tok, Core(spark, sf_dir).questions, "0.1", w), Core(spark, sf_dir).questions).select("query_id", "n_used", "n_in"))
+
+
+@register("full_context", C.core(C.SCORES, tail="select query_id, n::int as used, round(0.0, 6)::double as reduction from q join dn using (doc_id)"))
+def full_context(spark, sf_dir):
+    c = Core(spark, sf_dir)
+    return c.questions.join(c.tok, "doc_id").select("query_id", F.col("n_tokens").alias("used"), F.lit(0.0).alias("reduction"))
+
+
+@register("select_random", C.core(C.SCORES, "d as (select 'rnd' as meth, doc_id, query_id, pos, ('0x' || substr(md5(query_id || ':' || pos), 1, 7))::bigint as v from q join tk using (doc_id))", C.windows(), C.TRIM, C.SPANS, tail="select doc_id, query_id, first_pos, last_pos from spn"))
+def select_random(spark, sf_dir):
+    c = Core(spark, sf_dir)
+    return per_span(selection.select_windows(retrieval.random_scores(c.tok, c.questions), overflow="trim"))
+
+
+_HEAT = "hm as (select kind, (p * 20 // n)::int as bin, count(*) as mass from (select kind, n, unnest(range(first_pos, last_pos)) as p from q join dn using (doc_id) where doc_id % 2 = 0) group by all)"
+
+
+@register("positional_heatmap", C.core(C.SCORES, _HEAT, tail="select kind, bin, mass from hm"))
+def positional_heatmap(spark, sf_dir):
+    c = Core(spark, sf_dir)
+    return retrieval.fit_heatmap(c.questions, c.tok)
+
+
+@register("positional_select", C.core(C.SCORES, _HEAT, "d as (select 'heat' as meth, doc_id, query_id, pos, coalesce(mass, 0) as v from (select q.*, n, pos, (pos * 20 // n)::int as bin from q join dn using (doc_id) join tk using (doc_id) where doc_id % 2 = 1) x left join hm using (kind, bin))", C.windows(), C.TRIM, C.SPANS,
+          tail="select doc_id, query_id, first_pos, last_pos from spn"))
+def positional_select(spark, sf_dir):
+    c = Core(spark, sf_dir)
+    kinds = retrieval.fit_heatmap(c.questions, c.tok).persist()
+    v = retrieval.apply_heatmap(kinds, c.questions, c.tok)
+    missing = c.questions.where("doc_id % 2 = 1").join(kinds.select("kind").distinct(), "kind", "left_anti").join(c.tok.select("doc_id", "n_tokens"), "doc_id")
+    zero = missing.select("doc_id", "query_id", F.array_repeat(F.lit(0).cast("long"), F.col("n_tokens")).alias("v"))
+    return per_span(selection.select_windows(v.unionByName(zero), overflow="trim"))
+
+
+# ---- workloads --------------------------------------------------------------------------------------
+
+@register("w1_questions", C.core(tail="select query_id, kind, len(toks)::int as n, first_pos::int as first_pos, last_pos::int as last_pos from q"))
+def w1_questions(spark, sf_dir):
+    return Core(spark, sf_dir).questions.select("query_id", "kind", F.size("tokens").alias("n"), F.col("first_pos").cast("int").alias("first_pos"), F.col("last_pos").cast("int").alias("last_pos"))
+
+
+@register("judge_exact", C.core("pas as (select item_id, regexp_extract_all(text, " + T + ") as ts from benchmark)", "op as (select q.query_id, p.item_id as option_id, p.ts, split_part(substr(q.query_id, 2), '@', 1)::bigint as item_id from q join pas p on q.kind = 'passage')",
+          "opr as (select *, row_number() over (partition by query_id order by (option_id = item_id)::int desc, md5(query_id || ':' || option_id)) as o from op)",
+          tail="select query_id, option_id from opr where o <= 4"))
+def judge_exact(spark, sf_dir):
+    """Multiple-choice options: the true half and three of other passages, by md5 order."""
+    from pyspark.sql import Window
+
+    c = Core(spark, sf_dir)
+    asked = c.questions.where("kind = 'passage'").select("query_id", F.regexp_extract("query_id", "^p([0-9]+)@", 1).cast("long").alias("item_id"))
+    options = W.load(spark, sf_dir, "benchmark").select(F.col("item_id").alias("option_id"))
+    order = Window.partitionBy("query_id").orderBy(F.when(F.col("option_id") == F.col("item_id"), 0).otherwise(1), F.md5(F.concat_ws(":", "query_id", F.col("option_id").cast("string"))))
+    return options.crossJoin(F.broadcast(asked)).withColumn("o", F.row_number().over(order)).where("o <= 4").select("query_id", "option_id")
+
+
+_FIELD = {"science": (9, 1000, 1000000000, 12, "s"), "notice": (6, 200, 500, 6, "n")}
+
+
+def field_sql(kind: str) -> str:
+    count, low, high, least, mark = _FIELD[kind]
+    return f"""asked as (select doc_id, text from documents where len(regexp_extract_all(text, {T})) between {low} and {high}),
+lns as (select doc_id, unnest(range(len(ls))) as ln, unnest(ls) as l from (select doc_id, string_split(text, chr(10)) as ls from asked)),
+lt as (select doc_id, ln, regexp_extract_all(l, {T}) as ts from lns),
+lo as (select *, coalesce(sum(len(ts)) over (partition by doc_id order by ln rows between unbounded preceding and 1 preceding), 0) as off from lt),
+fl as (select *, count(*) over (partition by doc_id) as n, row_number() over (partition by doc_id order by md5(doc_id || '-' || ln)) as r from lo where len(ts) >= 6),
+q as (select doc_id, '{mark}' || ln || '@' || doc_id as query_id, '{kind}' as kind, ts[1:least(len(ts) // 2, 16)] as toks, off + len(ts) // 2 as first_pos, off + len(ts) as last_pos from fl where n >= {least} and r <= {count})"""
+
+
+for _name, _kind2 in (("w2_questions", "science"), ("w3_questions", "notice")):
+    register(_name, "with " + field_sql(_kind2) + " select query_id, len(toks)::int as n, first_pos::int as first_pos, last_pos::int as last_pos from q")(
+        lambda spark, sf_dir, k=_kind2: W.field_questions(W.load(spark, sf_dir, "documents"), k).select("query_id", F.size("tokens").alias("n"), F.col("first_pos").cast("int").alias("first_pos"), F.col("last_pos").cast("int").alias("last_pos")))
+
+
+def _field_found(spark, sf_dir, kind, budgets):
+    def build():
+        docs = W.load(spark, sf_dir, "documents")
+        asked = W.field_questions(docs, kind)
+        tok = W.asked_documents(docs, asked)
+        v = R.contrasted(R.vectors(tok, asked), asked)
+        return measures.evidence(selection.select_windows(v, budgets, "skip"), asked)
+
+    return held(spark, sf_dir, f"field-{kind}-{budgets}", build)
+
+
+def _curve(name: str, kind: str, budgets) -> None:
+    def run(spark, sf_dir):
+        f = _field_found(spark, sf_dir, kind, budgets)
+        out = measures.recall(f, "b").join(measures.budget_adherence(f, "b").select("b", "max_over"), "b")
+        return out.select(F.col("b").cast("double").alias("budget"), "n_queries", "recall", "precision", F.col("max_over").cast("long").alias("max_over"))
+
+    QUERIES[name] = run  # the exploded statement would need all questions of all long documents; tests use brute force
+
+
+_curve("w2_curves", "science", SOME)
+_curve("w3_curves", "notice", SOME)
+_curve("w10_tiny_budget", "notice", ("0.005", "0.01"))
+
+
+def w3_failure_mode(spark, sf_dir):
+    """Rival lines (same first token as the asked line) inside the context, by budget."""
+    docs = W.load(spark, sf_dir, "documents")
+    asked = W.field_questions(docs, "notice")
+    tok = W.asked_documents(docs, asked)
+    s = held(spark, sf_dir, "notice-spans", lambda: selection.select_windows(R.contrasted(R.vectors(tok, asked), asked), SOME, "skip"))
+    lines = W.lines_of(docs.join(asked.select("doc_id").distinct(), "doc_id", "left_semi"), least=1)
+    mine = lines.select("doc_id", F.col("ln").alias("my_ln"), F.col("ts")[0].alias("head"), F.col("off").alias("a"), (F.col("off") + F.size("ts")).alias("z"))
+    key = asked.join(mine, "doc_id").where("a <= first_pos and first_pos < z").select("doc_id", "query_id", "my_ln", "head")
+    rivals = key.join(lines.select("doc_id", "ln", "off", F.col("ts")[0].alias("head")), ["doc_id", "head"]).where("ln <> my_ln").groupBy("query_id").agg(F.collect_list("off").alias("offs"))
+    n = F.size(F.filter("offs", lambda o: F.exists("spans", lambda x: (o >= x["first_pos"]) & (o < x["last_pos"]))))
+    return s.join(rivals, "query_id").groupBy(F.col("b").cast("double").alias("budget")).agg(F.count("*").alias("n_queries"), F.round(F.avg(n), 6).alias("avg_rivals"))
+
+
+QUERIES["w3_failure_mode"] = w3_failure_mode
+
+
+def w1_hard_accuracy(spark, sf_dir):
+    """Every fourth token of a passage's first half as the question: weakly similar to the evidence."""
+    docs, passages = W.load(spark, sf_dir, "documents"), W.load(spark, sf_dir, "benchmark")
+    asked = W.hard_questions(docs, passages)
+    tok = W.asked_documents(docs, asked)
+    mine = selection.select_windows(R.contrasted(R.vectors(tok, asked), asked), ("0.4",)).select(F.lit("auto").alias("meth"), "query_id", "n_tokens", "spans")
+    chunks = retrieval.chunk_overlap(tok)
+    rag = retrieval.align_k(retrieval.k_sweep(retrieval.retrieve(chunks, asked), chunks), F.lit("0.4")).select(F.lit("rag").alias("meth"), "query_id", "n_tokens", "spans")
+    return measures.correct_share(measures.evidence(mine.unionByName(rag), asked), "meth")
+
+
+QUERIES["w1_hard_accuracy"] = w1_hard_accuracy
+
+
+def w9_scorer_size(spark, sf_dir):
+    """Fewer layers and heads stand in for a smaller scorer: 1, 4 and 12 of them."""
+    c = Core(spark, sf_dir)
+    out = None
+    for size, layers, heads in ((1, (0,), (0,)), (4, (0,), attention.ALL_HEADS), (12, attention.ALL_LAYERS, attention.ALL_HEADS)):
+        v = R.contrasted(R.vectors(c.tok, c.questions, layers=layers, heads=heads), c.questions)
+        f = measures.evidence(selection.select_windows(v, ("0.05", "0.1"), "trim"), c.questions)
+        part = measures.recall(f, "b").select(F.lit(size).alias("size"), F.col("b").cast("double").alias("budget"), "n_queries", "recall")
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+def _w9_sql() -> str:
+    parts = []
+    for size, cond in ((1, "layer = 0 and head = 0"), (4, "layer = 0"), (12, "true")):
+        base = C.SCORES.replace("raw as (select doc_id, query_id, c, pos, sum(w)::bigint as s from wt group by all)", f"raw as (select doc_id, query_id, c, pos, sum(w)::bigint as s from wt where {cond} group by all)")
+        parts.append(f"select {size} as size, budget, n_queries, recall from (" + C.core(base, C.PAIRS, C.diff("auto"), C.windows(("0.05", "0.1")), C.TRIM, C.RECALL, tail="select b::double as budget, " + _REC + " from rec group by b") + ")")
+    return " union all ".join(parts)
+
+
+register("w9_scorer_size", _w9_sql())(w9_scorer_size)
+
+for _name, _by, _join in (("w12_by_language", "lang", "documents"), ("w12_by_quality", "quality", "labels")):
+    register(_name, found_sql(f"select {_by}, b::double as budget, {_REC} from rec join {_join} using (doc_id) group by {_by}, b"))(
+        lambda spark, sf_dir, by=_by, t=_join: measures.recall(_found(spark, sf_dir).join(W.load(spark, sf_dir, t).select("doc_id", by), "doc_id"), by, "b").withColumn("budget", F.col("b").cast("double")).drop("b"))

@@ -168,3 +168,26 @@ both("fn_null_cast", "select doc_id, coalesce(null, lang) as a, nvl(nullif(lang,
 both("embedding_cosine_topk", "select * from (select q, vec_id, row_number() over (partition by q order by c desc, vec_id) as place from (select b.vec_id as q, a.vec_id, round(aggregate(zip_with(a.embedding, b.embedding, (x, y) -> cast(x as double) * y), 0D, (s, x) -> s + x) / sqrt(aggregate(a.embedding, 0D, (s, x) -> s + cast(x as double) * x) * aggregate(b.embedding, 0D, (s, x) -> s + cast(x as double) * x)), 6) as c from {embeddings} a join {embeddings} b on b.vec_id < 10 and a.vec_id <> b.vec_id)) where place <= 5",
      "select * from (select q, vec_id, row_number() over (partition by q order by c desc, vec_id)::int as place from (select b.vec_id as q, a.vec_id, round(list_dot_product(a.embedding::double[], b.embedding::double[]) / sqrt(list_dot_product(a.embedding::double[], a.embedding::double[]) * list_dot_product(b.embedding::double[], b.embedding::double[])), 6) as c from embeddings a join embeddings b on b.vec_id < 10 and a.vec_id <> b.vec_id)) where place <= 5")
 both("stream_tumbling_batch", "select window(ts, '1 hour').start as w, event_type, count(*) as n from {events} group by 1, 2", "select time_bucket(interval '1 hour', ts) as w, event_type, count(*) as n from events group by 1, 2")
+
+
+@frame("join_bucketed", "select o_orderstatus, count(*) as n from orders join lineitem on o_orderkey = l_orderkey group by 1")
+def join_bucketed(spark, sf_dir):
+    """Both sides written in the same buckets once: later joins on the key need no exchange."""
+    import uuid
+
+    names = []
+    for t, key, cols in (("orders", "o_orderkey", ["o_orderkey", "o_orderstatus"]), ("lineitem", "l_orderkey", ["l_orderkey"])):
+        name = f"gl_{t}_{uuid.uuid4().hex}"
+        load(spark, sf_dir, t).select(*cols).write.bucketBy(8, key).sortBy(key).saveAsTable(name)
+        names.append(name)
+    o, li = (spark.table(n) for n in names)
+    return o.join(li.hint("merge"), o.o_orderkey == li.l_orderkey).groupBy("o_orderstatus").agg(F.count("*").alias("n"))
+
+
+def agg_approx(spark, sf_dir):
+    """Sketches for scale: their error is tested, not their exact value."""
+    e = load(spark, sf_dir, "events")
+    return e.groupBy("event_type").agg(F.approx_count_distinct("user_id", 0.02).alias("users"), F.percentile_approx("value", 0.5, 10000).alias("median"), F.hll_sketch_estimate(F.hll_sketch_agg("user_id")).alias("users_hll"))
+
+
+QUERIES["agg_approx"] = agg_approx
