@@ -33,7 +33,8 @@ from gistloom.llm.labelled import fold, hash_key, sample
 
 FOLDS, HELD = 3, 1
 MAX_TOXIC, MAX_ORDINARY, MAX_CHARS = 1500, 2500, 12_000_000
-WINDOW, OVERLAP = 100, 12
+WINDOW, OVERLAP = 300, 12
+RUN = bytes(64)  # before every window: it is worth compressing alone, so a single match already shows
 SHORT, LONG = 5, 6
 
 
@@ -76,7 +77,8 @@ def choose_content(own: list[str], other: list[str], limit: int = 200, share: fl
         return held
 
     mine = document_counts(own)
-    near = {g for g, n in mine.items() if n >= least}
+    # absence counts only where chance would have put a sequence into several of the other texts
+    near = {g for g, n in mine.items() if n >= least and n * len(other) >= 6 * len(own)}
     theirs = document_counts(other, near)
     rare = {g for g in near if theirs[g] <= foreign * len(other)}
     # a match needs five characters only: every five of a sequence must be foreign
@@ -144,9 +146,9 @@ class Model:
             raw = np.frombuffer(_flat(t).encode(), np.uint8)
             if len(raw) <= 2:
                 continue
-            body = memoryview(paired(raw))
+            body = paired(raw).tobytes()
             step = 2 * WINDOW
-            saved = [len(a.compress(w)) - len(b.compress(w)) for w in (body[k : k + step + 2 * OVERLAP] for k in range(0, len(body), step))]
+            saved = [len(a.compress(w)) - len(b.compress(w)) for w in (RUN + body[k : k + step + 2 * OVERLAP] for k in range(0, len(body), step))]
             plus = [s for s in saved if s > 0]
             if plus:
                 out[i] = max(plus), sum(plus), len(plus)
