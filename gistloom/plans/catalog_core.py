@@ -763,7 +763,7 @@ def select_random(spark, sf_dir):
     return per_span(selection.select_windows(retrieval.random_scores(c.tok, c.questions), overflow="trim"))
 
 
-_HEAT = "hm as (select kind, (p * 20 // n)::int as bin, count(*) as mass from (select kind, n, unnest(range(first_pos, last_pos)) as p from q join dn using (doc_id) where doc_id % 2 = 0) group by all)"
+_HEAT = "hm as (select kind, (p * 20 // n)::int as bin, count(*) as mass from (select kind, n, unnest(range(first_pos::bigint, last_pos::bigint)) as p from q join dn using (doc_id) where doc_id % 2 = 0) group by all)"
 
 
 @register("positional_heatmap", C.core(C.SCORES, _HEAT, tail="select kind, bin, mass from hm"))
