@@ -101,7 +101,7 @@ def join_asof(spark, sf_dir):
 def join_salted(spark, sf_dir):
     """A skewed key spread over eight salts; the other side is repeated for each."""
     o = load(spark, sf_dir, "orders").select("o_custkey", F.pmod(F.xxhash64("o_orderkey"), F.lit(8)).alias("salt"))
-    c = load(spark, sf_dir, "customer").select("c_custkey", "c_mktsegment", F.explode(F.sequence(F.lit(0), F.lit(7))).cast("long").alias("salt"))
+    c = load(spark, sf_dir, "customer").select("c_custkey", "c_mktsegment", F.explode(F.transform(F.sequence(F.lit(0), F.lit(7)), lambda i: i.cast("long"))).alias("salt"))
     return o.join(c, (o.o_custkey == c.c_custkey) & (o.salt == c.salt)).groupBy("c_mktsegment").agg(F.count("*").alias("n"))
 
 
