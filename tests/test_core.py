@@ -1,5 +1,6 @@
 """Reducer against brute force, invariants and hand-made micro documents."""
 
+import math
 import random
 from decimal import Decimal
 
@@ -83,8 +84,8 @@ def test_mutual_pairs_mirror_and_lone_questions_fall_back(docs, asked):
 
 def greedy(v, budget, overflow, share=Decimal("0.02")):
     n = len(v)
-    left = int(-(-Decimal(budget) * n // 1))
-    size = min(left, int(-(-share * n // 1)))
+    left = math.ceil(Decimal(budget) * n)
+    size = min(left, math.ceil(share * n))
     v = [sum(v[max(0, i - 2) : i + 3]) for i in range(n)]
     ranked = sorted(range(n - size + 1), key=lambda s: (-sum(v[s : s + size]), s))
     taken = set()
@@ -112,7 +113,7 @@ def test_selection_matches_the_greedy(overflow):
         b = rng.choice(["0.005", "0.02", "0.1", "0.37", "1"])
         got = np.flatnonzero(selection.choose(selection.smooth(v), b, overflow, Decimal("0.05")))
         assert list(got) == greedy(list(map(int, v)), b, overflow, Decimal("0.05"))
-        need = int(-(-Decimal(b) * n // 1))
+        need = math.ceil(Decimal(b) * n)
         assert len(got) == need if overflow != "stop" else len(got) <= need
 
 
