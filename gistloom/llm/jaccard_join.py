@@ -72,6 +72,19 @@ class Signer:
             lo, hi = (mid + 1, hi) if self.levels[mid][1] < n else (lo, mid)
         return lo
 
+    def need(self, s: np.ndarray) -> int:
+        """Tokens that a similar set has in common with this one at least, in one level."""
+        first = self.level_of(len(s))
+        self.level_of(self.levels[first][1] + 1)
+        least = []
+        for level in (first, first + 1):
+            k, m = _slots(level, self.levels[level][1], self.percent)
+            if k:
+                slot = ((s >> U(32)) * U(m)) >> U(32)
+                held = 1 + int((slot[1:] != slot[:-1]).sum())
+                least.append(max(1, (m if m - held >= m - k else held) - k))
+        return min(least, default=1)
+
     def tokens(self, s: np.ndarray) -> np.ndarray:
         first = self.level_of(len(s))
         self.level_of(self.levels[first][1] + 1)
@@ -103,19 +116,21 @@ def _flush(rows: list, columns: list[str]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays(arrays, columns)
 
 
-def digests(docs: DataFrame, width: int) -> DataFrame:
-    """doc_id, n_shingles and a 128-bit digest of the shingle set."""
+def digests(docs: DataFrame, width: int, percent: int) -> DataFrame:
+    """doc_id, n_shingles, a 128-bit digest of the shingle set and the tokens that a partner must share."""
 
     def run(batches):
+        signer = Signer(percent)
         for batch in batches:
-            ids, n, one, two = batch.column(0), [], [], []
+            ids, n, one, two, need = batch.column(0), [], [], [], []
             for s in K.shingle_sets(batch.column(1), width):
                 n.append(len(s))
+                need.append(signer.need(s) if len(s) else 0)
                 one.append(int(K.mix(s).sum(dtype=U).view(np.int64)) if len(s) else 0)
                 two.append(int(K.mix(s ^ K.GOLDEN).sum(dtype=U).view(np.int64)) if len(s) else 0)
-            yield pa.RecordBatch.from_arrays([ids, pa.array(n, pa.int64()), pa.array(one, pa.int64()), pa.array(two, pa.int64())], ["doc_id", "n_shingles", "d1", "d2"])
+            yield pa.RecordBatch.from_arrays([ids, pa.array(n, pa.int64()), pa.array(one, pa.int64()), pa.array(two, pa.int64()), pa.array(need, pa.int32())], ["doc_id", "n_shingles", "d1", "d2", "need"])
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, n_shingles long, d1 long, d2 long")
+    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, n_shingles long, d1 long, d2 long, need int")
 
 
 def token_rows(docs: DataFrame, width: int, percent: int, rounds: int = 1, turn: int = 0) -> DataFrame:
@@ -246,8 +261,8 @@ def similarity_components(docs: DataFrame, width: int = 5, percent: int = 80, ro
     spark = docs.sparkSession
     rounds = rounds or max(1, (100 - percent) // 5 - 1)
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    known = materialize(digests(docs, width), "digests")
-    classes = known.where("n_shingles > 0").groupBy("d1", "d2").agg(F.min("doc_id").alias("_gl_rep"))
+    known = materialize(digests(docs, width, percent), "digests")
+    classes = known.where("n_shingles > 0").groupBy("d1", "d2").agg(F.min("doc_id").alias("_gl_rep"), F.min("need").alias("need"))
     reps = materialize(classes.where(F.col("_gl_rep").isNotNull()), "classes")
     chosen = _only(docs.select("doc_id", "text"), reps.select("_gl_rep"), BROADCAST_IDS)
 
@@ -257,20 +272,24 @@ def similarity_components(docs: DataFrame, width: int = 5, percent: int = 80, ro
         release(spark)
         matrix = part if matrix is None else matrix.union(part)
 
-    weight = matrix.groupBy("rep").agg(F.sum("df").alias("w"))
-    weighed = matrix.join(weight, "rep")
+    # a set with fewer shared tokens than any partner would need has no partner
+    held = matrix.groupBy("rep").agg(F.sum("df").alias("w"), F.count("*").alias("c"))
+    weight = held.join(reps.select(F.col("_gl_rep").alias("rep"), "need"), "rep").where("c >= need").select("rep", "w", "need")
+    weighed = materialize(matrix.join(weight, "rep"), "weighed")
+    matrix = weighed.select("tok", "rep")
     pivots = weighed.groupBy("tok").agg(F.max(F.struct(F.col("w"), (-F.col("rep")).alias("minus"))).alias("p"))
     home = (
-        matrix.join(pivots, "tok").groupBy("rep").agg(F.max("p").alias("p"))
-        .select("rep", (-F.col("p.minus")).alias("pivot"))
+        weighed.join(pivots, "tok").groupBy("rep").agg(F.max("p").alias("p"), F.min("need").alias("need"))
+        .select("rep", (-F.col("p.minus")).alias("pivot"), "need")
     )
     home = materialize(home, "home")
+    release(spark)
     sets = materialize(sets_of(_only(docs.select("doc_id", "text"), home.select(F.col("rep").alias("_gl_rep")), BROADCAST_IDS), width).dropDuplicates(["rep"]), "sets")
     sized = home.join(sets.select("rep", "n"), "rep")
     spread = sized.groupBy("pivot").agg(
         F.greatest(F.ceil(F.count("*") / GROUP_ROWS), F.ceil(F.sum("n") / GROUP_SHINGLES)).cast("int").alias("groups"))
     member = materialize(
-        sized.join(spread, "pivot").select("rep", "pivot", F.pmod(F.xxhash64("rep"), F.col("groups").cast("long")).cast("int").alias("part")), "member")
+        sized.join(spread, "pivot").select("rep", "pivot", "need", F.pmod(F.xxhash64("rep"), F.col("groups").cast("long")).cast("int").alias("part")), "member")
 
     # inside the groups; every group of a community also holds the pivot, which ties them together
     guests = member.select("pivot", "part").distinct().select(F.col("pivot").alias("rep"), "pivot", "part")
@@ -294,12 +313,16 @@ def similarity_components(docs: DataFrame, width: int = 5, percent: int = 80, ro
 
     # between groups that share a token, unless both are one and the same component
     placed = materialize(
-        member.join(labels, F.col("rep") == F.col("node"), "left").select("rep", "pivot", "part", F.coalesce("label", "rep").alias("comp")), "placed")
-    posting = matrix.join(placed, "rep").groupBy("tok", "pivot", "part").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"))
+        member.join(labels, F.col("rep") == F.col("node"), "left").select("rep", "pivot", "part", "need", F.coalesce("label", "rep").alias("comp")), "placed")
+    posting = matrix.join(placed, "rep").groupBy("tok", "pivot", "part").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.min("need").alias("need"))
     posting = posting.withColumn("gid", F.struct("pivot", "part"))
-    left, right = posting.select("tok", F.col("gid").alias("g"), F.col("lo").alias("l1"), F.col("hi").alias("h1")), posting.select("tok", F.col("gid").alias("h"), F.col("lo").alias("l2"), F.col("hi").alias("h2"))
-    differs = (F.col("l1") != F.col("h1")) | (F.col("l2") != F.col("h2")) | (F.col("l1") != F.col("l2"))
-    meet = materialize(left.join(right, "tok").where((F.col("g") < F.col("h")) & differs).select("g", "h").distinct(), "meet")
+    side_of = lambda g, k: posting.select("tok", F.col("gid").alias(g), F.col("lo").alias(f"lo{k}"), F.col("hi").alias(f"hi{k}"), F.col("need").alias(f"need{k}"))
+    pairs = side_of("g", 1).join(side_of("h", 2), "tok").where(F.col("g") < F.col("h"))
+    # the matrix bound: the groups' common tokens must reach what one of their sets needs; and something must be left to connect
+    counted = pairs.groupBy("g", "h").agg(
+        F.count("*").alias("c"), F.least(F.min("need1"), F.min("need2")).alias("need"),
+        F.least(F.min("lo1"), F.min("lo2")).alias("lo"), F.greatest(F.max("hi1"), F.max("hi2")).alias("hi"))
+    meet = materialize(counted.where("c >= need and lo <> hi").select("g", "h"), "meet")
     seat = F.struct("pivot", "part")
     full = placed.join(sets, "rep").select("rep", "comp", "shingles", seat.alias("gid"))
     asked = meet.withColumn("slot", slot("g", "h"))

@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 from gistloom.llm.labelled import fold, hash_key, sample
 
 FOLDS, HELD = 3, 1
-MAX_TOXIC, MAX_ORDINARY, MAX_CHARS = 1500, 2500, 12_000_000
+MAX_TOXIC, MAX_ORDINARY, MAX_CHARS = 1200, 1800, 5_000_000
 WINDOW, OVERLAP = 300, 12
 RUN = bytes(64)  # before every window: it is worth compressing alone, so a single match already shows
 SHORT, LONG = 5, 6
@@ -63,22 +63,26 @@ def _pieces_of(word: str) -> set[str]:
 def choose_content(own: list[str], other: list[str], limit: int = 200, share: float = 0.03, foreign: float = 0.0007) -> list[str]:
     """Sequences typical of ``own`` and foreign to ``other``, most frequent families first."""
     least = max(6, share * len(own))
-    vocab: dict[str, set[str]] = {}
+    vocab: dict[str, set[str]] = {}  # of each word only the sequences that are still in question
 
     def document_counts(texts, among=None):
         held = Counter()
         for t in texts:
             found: set = set()
             for w in set(t.split()):
-                if w not in vocab:
-                    vocab[w] = _pieces_of(w)
-                found |= vocab[w] if among is None else vocab[w] & among
+                if among is None:
+                    found |= _pieces_of(w)
+                else:
+                    if w not in vocab:
+                        vocab[w] = _pieces_of(w) & among
+                    found |= vocab[w]
             held.update(found)
         return held
 
     mine = document_counts(own)
     # absence counts only where chance would have put a sequence into several of the other texts
     near = {g for g, n in mine.items() if n >= least and n * len(other) >= 6 * len(own)}
+    mine = Counter({g: mine[g] for g in near})
     theirs = document_counts(other, near)
     rare = {g for g in near if theirs[g] <= foreign * len(other)}
     # a match needs five characters only: every five of a sequence must be foreign
@@ -93,7 +97,8 @@ def choose_content(own: list[str], other: list[str], limit: int = 200, share: fl
         times.update(set(t.split()))
     words_of = defaultdict(list)
     for w in times:
-        for g in vocab[w] & good:
+        vocab[w] = _pieces_of(w) & good
+        for g in vocab[w]:
             words_of[g].append(w)
     used: set = set()
     out = []
@@ -105,7 +110,7 @@ def choose_content(own: list[str], other: list[str], limit: int = 200, share: fl
         used.update(fresh)
         family = Counter()
         for w in fresh:
-            for h in vocab[w] & good:
+            for h in vocab[w]:
                 family[h] += times[w]
         out.append(min((h for h in family if family[h] >= 0.9 * gain), key=lambda h: (quiet(h), len(h), h)))
         if len(out) == limit:

@@ -104,7 +104,7 @@ def test_similar_sets_share_a_token(percent):
         b = np.unique(np.concatenate([a[drop:], rng.integers(0, 2**63, int(rng.integers(0, 3))).astype(np.uint64)]))
         both = len(np.intersect1d(a, b))
         if len(b) and 100 * both >= percent * (len(a) + len(b) - both) and not np.array_equal(a, b):
-            assert len(np.intersect1d(signer.tokens(a), signer.tokens(b)))
+            assert len(np.intersect1d(signer.tokens(a), signer.tokens(b))) >= max(signer.need(a), signer.need(b)) >= 1
 
 
 def test_overlap_matrix():
