@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import zlib
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -33,6 +35,4 @@ def sample(docs: DataFrame, labels: DataFrame, label: str, keep: Column, rows: i
 
 
 def hash_key(doc_id: int) -> int:
-    import zlib
-
     return zlib.crc32(b"order:%d" % doc_id)

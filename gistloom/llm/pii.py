@@ -16,6 +16,7 @@ Offsets are code points, end exclusive.
 
 from __future__ import annotations
 
+import bisect
 import hashlib
 import math
 import random
@@ -163,8 +164,6 @@ class Model:
         p = self.forest.proba(np.array([features(text, *f) for f in found]))
         best = sorted((-x, f) for x, f in zip(p, found, strict=True) if x >= self.thresholds.get(f[1], 1.1))
         out, busy = [], sorted((s, e) for s, _, e in taken)
-        import bisect
-
         for _, (s, k, e) in best:
             i = bisect.bisect_left(busy, (s, e))
             if (i < len(busy) and busy[i][0] < e) or (i and busy[i - 1][1] > s):
