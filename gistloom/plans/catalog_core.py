@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from gistloom.functions.tokens import tokenize, words
@@ -165,8 +165,6 @@ def chunk_scaled_scores(spark, sf_dir):
 def chunk_unscaled_tail(spark, sf_dir):
     """Mean score of a short last chunk against the full ones, without and with the length scaling."""
     c = Core(spark, sf_dir)
-    from pyspark.sql import Window
-
     mean = F.aggregate("s", F.lit(0).cast("long"), lambda a, x: a + x) / F.size("s")
     m = c.raw.join(c.questions.select("query_id"), "query_id", "left_semi").select("doc_id", "query_id", "chunk_no", "n_chunk", mean.alias("m"))
     m = m.withColumn("z", F.max("chunk_no").over(Window.partitionBy("doc_id", "query_id"))).where("z > 0")
@@ -290,8 +288,6 @@ register("select_single_long_span", spans_sql(C.TRIM, single=True))(_spans(overf
 @register("smoothed_scores", C.core(C.SCORES, C.PAIRS, C.diff("auto"), C.windows(), tail="select query_id, sum(v)::bigint as total, max(v)::bigint as top, min(v)::bigint as low from sm group by all"))
 def smoothed_scores(spark, sf_dir):
     v = per_token(Core(spark, sf_dir).diff())
-    from pyspark.sql import Window
-
     near = Window.partitionBy("query_id").orderBy("pos").rowsBetween(-2, 2)
     s = v.withColumn("v", F.sum("v").over(near))
     return s.groupBy("query_id").agg(F.sum("v").alias("total"), F.max("v").alias("top"), F.min("v").alias("low"))
@@ -308,8 +304,6 @@ def window_length(spark, sf_dir):
 @register("window_scores", C.core(C.SCORES, C.PAIRS, C.diff("auto"), C.windows(), tail="select doc_id, query_id, start::int as start, score::bigint as score, rnk::int as place from ws where rnk <= 20"))
 def window_scores(spark, sf_dir):
     """Ranked windows by window functions only: prefix sums, then the first twenty of each query (a report)."""
-    from pyspark.sql import Window
-
     c = Core(spark, sf_dir)
     by = Window.partitionBy("doc_id", "query_id").orderBy("pos")
     v = per_token(c.diff()).withColumn("v", F.sum("v").over(by.rowsBetween(-2, 2)))
@@ -354,13 +348,9 @@ def _unit_query(rule: str):
         c = Core(spark, sf_dir)
         if rule == "line":
             starts = c.docs.join(c.tok.select("doc_id"), "doc_id", "left_semi").select("doc_id", F.posexplode(F.filter(F.transform(F.split("text", "\n"), lambda x: F.size(words(x))), lambda n: n > 0)).alias("unit_no", "n"))
-            from pyspark.sql import Window
-
             first = F.coalesce(F.sum("n").over(Window.partitionBy("doc_id").orderBy("unit_no").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
             units = starts.select("doc_id", "unit_no", first.cast("int").alias("first_pos"), F.col("n").cast("int").alias("n"))
         else:
-            from pyspark.sql import Window
-
             t = c.tok.select("doc_id", F.posexplode("tokens").alias("pos", "tok"))
             order = Window.partitionBy("doc_id").orderBy("pos").rowsBetween(Window.unboundedPreceding, -1)
             numbered = t.withColumn("unit_no", F.coalesce(F.sum(F.col("tok").rlike("[.!?]$").cast("int")).over(order), F.lit(0)).cast("int"))
@@ -402,8 +392,6 @@ def _row_places(spark, sf_dir) -> tuple[DataFrame, DataFrame]:
         tok = tokenize(docs)
         scores = R.vectors(tok, asked, fixed=False)
         lines = docs.select("doc_id", F.posexplode(F.transform(F.split("text", "\n"), lambda x: F.size(words(x)))).alias("at", "n"))
-        from pyspark.sql import Window
-
         first = F.coalesce(F.sum("n").over(Window.partitionBy("doc_id").orderBy("at").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
         rows = lines.select("doc_id", (F.col("at") + 1).alias("row_no"), first.cast("int").alias("first"), F.col("n").cast("int").alias("n"))
         scored = scores.join(rows, "doc_id").select("doc_id", "query_id", "row_no", F.aggregate(F.slice("v", F.col("first") + 1, F.col("n")), F.lit(0).cast("long"), lambda a, x: a + x).alias("score"))
@@ -795,8 +783,6 @@ def w1_questions(spark, sf_dir):
           tail="select query_id, option_id from opr where o <= 4"))
 def judge_exact(spark, sf_dir):
     """Multiple-choice options: the true half and three of other passages, by md5 order."""
-    from pyspark.sql import Window
-
     c = Core(spark, sf_dir)
     asked = c.questions.where("kind = 'passage'").select("query_id", F.regexp_extract("query_id", "^p([0-9]+)@", 1).cast("long").alias("item_id"))
     options = W.load(spark, sf_dir, "benchmark").select(F.col("item_id").alias("option_id"))
