@@ -341,7 +341,7 @@ def similarity_components(docs: DataFrame, width: int = 5, percent: int = 80, ro
                 out += link_across(ids[i:mid], held[i:mid], comp[i:mid], ids[mid:j], held[mid:j], comp[mid:j], percent)
         return pa.table({"a": pa.array([x[0] for x in out], pa.int64()), "b": pa.array([x[1] for x in out], pa.int64())})
 
-    outer = met.groupBy("slot").applyInArrow(across, "a long, b long")
+    outer = materialize(met.groupBy("slot").applyInArrow(across, "a long, b long"), "outer")
     chains = labels.select(F.col("node").alias("a"), F.col("label").alias("b"))
     final = components(outer.union(chains)).select(F.col("node").alias("_gl_n"), F.col("label").alias("_gl_label"))
     with_class = known.join(reps.select(F.col("d1").alias("_gl_1"), F.col("d2").alias("_gl_2"), F.col("_gl_rep").alias("class_id")), (F.col("d1") == F.col("_gl_1")) & (F.col("d2") == F.col("_gl_2")) & (F.col("n_shingles") > 0), "left")
