@@ -4,7 +4,7 @@ Two zstandard dictionaries, one from toxic and one from ordinary text, compress
 text; the bytes that the toxic dictionary saves over the ordinary one are the evidence.
 
 *Training* takes a bounded sample of labelled documents outside the held-out fold, without near
-copies.  A dictionary's content are the short character sequences that many texts of its class
+copies; very long ones are read by windows spread over their length.  A dictionary's content are the short character sequences that many texts of its class
 hold and the other class practically never; one sequence is kept for each family of words, the one
 whose parts are rarest elsewhere.  A second part of the sample calibrates the window differences
 into a probability by logistic regression.
@@ -29,7 +29,7 @@ import zstandard as zs
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gistloom.llm.labelled import fold, hash_key, sample
+from gistloom.llm.labelled import fold, hash_key, known_labels, sample
 
 FOLDS, HELD = 3, 1
 MAX_TOXIC, MAX_ORDINARY, MAX_CHARS = 1200, 1800, 5_000_000
@@ -183,6 +183,8 @@ def train(docs: DataFrame, labels: DataFrame, max_toxic: int = MAX_TOXIC, max_or
     rows = []
     for value, most in ((1, max_toxic), (0, max_ordinary)):
         got = sample(docs, labels, "toxic", keep, most, max_chars, value).select("doc_id", "text", "y").collect()
+        if not got and known_labels(labels, "toxic", keep, value).limit(1).count():
+            raise ValueError(f"labels with toxic = {value} exist, but none of those sampled has a document")
         rows.append([_flat(r.text) for r in sorted(got, key=lambda r: (hash_key(r.doc_id), r.text))])
     toxic, ordinary = (_distinct(r) for r in rows)
     if not toxic or not ordinary:

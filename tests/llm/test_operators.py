@@ -8,7 +8,9 @@ import zlib
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
+from gistloom.llm import labelled as labelled_sample
 from gistloom.llm import decontaminate, jaccard_join, kernels, line_dedup, mixing, pii, quality_model, quality_rules, toxicity, trees, urls, warc
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -360,6 +362,24 @@ def test_toxicity_model(spark, nothing):
     assert toxicity.train(docs, labels.where("false")).toxic == []
 
 
+def test_long_labelled_documents_drop_no_others(spark):
+    docs, labels = labelled(spark)
+    ids = [r.doc_id for r in labels.collect()]
+    long = docs.withColumn("text", F.when(F.col("doc_id") % 5 == 0, F.repeat(F.concat("text", F.lit(" ")), 300)).otherwise(F.col("text")))
+    got = labelled_sample.sample(long, labels, "toxic", F.lit(True), 1000, 400_000).collect()
+    texts = {r.doc_id: r.text for r in long.collect()}
+    assert sorted(r.doc_id for r in got) == ids and sum(len(r.text) for r in got) <= 400_000
+    short = [r for r in got if len(texts[r.doc_id]) <= 1000]
+    assert len(short) > 250 and all(r.text == texts[r.doc_id] for r in short)
+    one = max(got, key=lambda r: len(texts[r.doc_id]))
+    whole = texts[one.doc_id]
+    assert len(one.text) < len(whole) and one.text[:50] == whole[:50] and one.text[-50:] == whole[-50:]
+    model = toxicity.train(long, labels, max_chars=400_000)
+    assert model.toxic and held_out(toxicity.score(docs, model).collect(), labels, "toxic", 3, 1) > 0.95
+    with pytest.raises(ValueError, match="toxic = 1"):
+        toxicity.train(docs, labels.withColumn("doc_id", F.col("doc_id") + F.when(F.col("toxic") == 1, 10**6).otherwise(0)))
+
+
 def test_trees_flattened_traversal():
     rng = np.random.default_rng(0)
     x = rng.normal(size=(500, 4))
