@@ -73,7 +73,13 @@ class Signer:
         return lo
 
     def need(self, s: np.ndarray) -> int:
-        """Tokens that a similar set has in common with this one at least, in one level."""
+        """Tokens that a similar set has in common with this one at least, in one level.
+
+        Of the m - k equal slots or more, only those are sure to be tokens on both sides that this set
+        fills, held - k; the empty ones count for nothing, as a partner with more filled slots than k
+        names none of them.  A set with k filled slots or fewer still shares one token: either both
+        name their empty slots, or the partner has a filled slot more than can differ.
+        """
         first = self.level_of(len(s))
         self.level_of(self.levels[first][1] + 1)
         least = []
@@ -82,7 +88,7 @@ class Signer:
             if k:
                 slot = ((s >> U(32)) * U(m)) >> U(32)
                 held = 1 + int((slot[1:] != slot[:-1]).sum())
-                least.append(max(1, (m if m - held >= m - k else held) - k))
+                least.append(max(1, held - k))
         return min(least, default=1)
 
     def tokens(self, s: np.ndarray) -> np.ndarray:

@@ -7,6 +7,7 @@ import re
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -109,6 +110,43 @@ def test_similar_sets_share_a_token(percent):
             assert len(np.intersect1d(signer.tokens(a), signer.tokens(b))) >= max(signer.need(a), signer.need(b)) >= 1
 
 
+@pytest.mark.parametrize("percent", [80, 90])
+def test_small_similar_sets_share_what_they_need(percent):
+    """All ways to drop and add within the threshold for sizes 2 to 30, slots crowded as well as spread."""
+    rng = np.random.default_rng(6)
+    signer = jaccard_join.Signer(percent)
+    pairs = 0
+    for n in range(2, 31):
+        for drop in range(n):
+            for add in range(n):
+                if not drop + add or 100 * (n - drop) < percent * (n + add):
+                    continue
+                for crowd in range(30):
+                    top = 2 ** int(rng.integers(58, 64))  # a low bound puts most shingles into one slot
+                    s = np.unique(rng.integers(0, top, n).astype(np.uint64))
+                    more = rng.integers(0, 2**63 if crowd % 2 else top, add).astype(np.uint64) * np.uint64(2)
+                    kept = rng.permutation(s)[drop:]
+                    t = np.unique(np.concatenate([kept, more]))
+                    both = len(np.intersect1d(s, t))
+                    if len(s) == n and 100 * both >= percent * (len(s) + len(t) - both):
+                        pairs += 1
+                        assert len(np.intersect1d(signer.tokens(s), signer.tokens(t))) >= max(signer.need(s), signer.need(t)) >= 1, (s, t)
+    assert pairs > 1000
+
+
+def test_small_pair_with_crowded_slots_is_linked(spark):
+    rng, signer = random.Random(1), jaccard_join.Signer(80)
+    while True:
+        long = " ".join(rng.choice(WORDS) + rng.choice(WORDS) for _ in range(9))
+        short = long.rsplit(" ", 1)[0]
+        a, b = kernels.shingle_sets(pa.array([short, long]), 5)
+        if len(a) == 4 and len(b) == 5 and len(signer.tokens(a)) == 8 and len(np.intersect1d(signer.tokens(a), signer.tokens(b))) == 2:
+            break
+    rows = [(1, short), (2, long), (3, "quite another text of eight or more words")]
+    got = jaccard_join.similarity_components(spark.createDataFrame(rows, "doc_id long, text string"), 5, 80).collect()
+    assert {r.doc_id: r.component_id for r in got} == {1: 1, 2: 1, 3: 3}
+
+
 def test_overlap_matrix():
     rng = random.Random(2)
     sets = [np.unique(np.array([rng.randrange(60) for _ in range(rng.randint(1, 50))], np.uint64)) for _ in range(70)]
