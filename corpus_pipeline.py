@@ -32,7 +32,7 @@ def without_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def training_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drawn documents with words taken, copies and position, in training order."""
+    """A row for every copy of a drawn document, with its words taken and position, in training order."""
     return mixing.mixed_documents(docs)
 
 

@@ -66,8 +66,8 @@ def schedule_slope(source_no: Column) -> Column:
     return F.element_at(F.array(F.lit(0.5), F.lit(0.0), F.lit(-0.5)), (F.pmod(source_no - 1, F.lit(3)) + 1).cast("int"))
 
 
-def mix(docs: DataFrame, weights=WEIGHTS, repeats: int = REPEATS, seed: str = "mix") -> DataFrame:
-    """doc_id, size, source_size, target, taken, position; sorted ranges of position."""
+def drawn(docs: DataFrame, weights=WEIGHTS, repeats: int = REPEATS, seed: str = "mix") -> DataFrame:
+    """doc_id, size, source_size, target, taken and the positions of all copies, first to last; in no order."""
     spark = docs.sparkSession
     sizes = materialize(
         docs.select("doc_id", "source", count_words(F.col("text")).alias("size")).withColumn(
@@ -110,28 +110,39 @@ def mix(docs: DataFrame, weights=WEIGHTS, repeats: int = REPEATS, seed: str = "m
         .withColumn("_gl_full", rounds)
         .withColumn("_gl_rest", F.col("_gl_goal") - F.col("_gl_full") * total)
         .withColumn("taken", F.col("_gl_full") * F.col("size") + F.greatest(zero, F.least(F.col("size"), F.col("_gl_rest") - F.col("_gl_before"))))
-        .withColumn("position", F.when(F.col("taken") > 0, invert_schedule(F.col("_gl_before") / F.col("_gl_goal"), schedule_slope(F.col("source_no")))))
     )
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    # copy j begins j whole sources after the first one; the last may be taken in part
+    begins = F.transform(F.sequence(zero, F.ceil(F.col("taken") / F.col("size")) - 1), lambda j: (F.col("_gl_before") + j * F.col("source_size")) / F.col("_gl_goal"))
+    positions = F.transform(begins, lambda share: invert_schedule(share, schedule_slope(F.col("source_no"))))
+    return joined.withColumn("positions", F.when(F.col("taken") > 0, positions)).select("doc_id", "size", "source_size", "target", "taken", "positions")
+
+
+def mix(docs: DataFrame, **options) -> DataFrame:
+    """doc_id, size, source_size, target, taken, position of the first copy, positions of all; sorted ranges of position."""
+    parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     return (
-        joined.select("doc_id", "size", "source_size", "target", "taken", "position")
+        drawn(docs, **options).withColumn("position", F.col("positions")[0])
+        .select("doc_id", "size", "source_size", "target", "taken", "position", "positions")
         .repartitionByRange(parts, F.col("position").asc_nulls_last(), "doc_id")
         .sortWithinPartitions(F.col("position").asc_nulls_last(), "doc_id")
     )
 
 
 def mixed_documents(docs: DataFrame, **options) -> DataFrame:
-    """The documents that the mix draws, with taken, copies and position, in training order.
+    """A row for every copy that the mix draws, in training order.
 
-    A document that is drawn less than once in full keeps its whole text; ``taken`` says how many
-    words of it count.  Repeated rows with one doc_id are one document here.
+    mix_copy of mix_copies counts the copies of a document, mix_taken the words of this copy and
+    mix_position its place.  A copy that is drawn in part keeps its whole text; ``mix_taken`` says
+    how many words of it count.  Repeated rows with one doc_id are one document here.
     """
-    plan = mix(docs.dropDuplicates(["doc_id"]), **options).where(F.col("taken") > 0)
+    plan = drawn(docs.dropDuplicates(["doc_id"]), **options).where(F.col("taken") > 0)
+    plan = plan.select("doc_id", "size", "taken", F.size("positions").cast("long").alias("mix_copies"), F.posexplode("positions").alias("_gl_copy", "mix_position"))
     plan = plan.select(
-        F.col("doc_id").alias("_gl_id"), F.col("taken").alias("mix_taken"), F.ceil(F.col("taken") / F.col("size")).alias("mix_copies"), F.col("position").alias("mix_position")
+        F.col("doc_id").alias("_gl_id"), F.least("size", F.col("taken") - F.col("_gl_copy") * F.col("size")).alias("mix_taken"),
+        "mix_copies", (F.col("_gl_copy") + 1).alias("mix_copy"), "mix_position",
     )
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     return (
         docs.dropDuplicates(["doc_id"]).join(plan, F.col("doc_id").eqNullSafe(F.col("_gl_id"))).drop("_gl_id")
-        .repartitionByRange(parts, "mix_position", "doc_id").sortWithinPartitions("mix_position", "doc_id")
+        .repartitionByRange(parts, "mix_position", "doc_id", "mix_copy").sortWithinPartitions("mix_position", "doc_id", "mix_copy")
     )

@@ -43,7 +43,7 @@ def op6_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mixing.mix(table(spark, sf_dir, "documents")).withColumn("target", F.round("target", 4)).withColumn("position", F.round("position", 6))
+    return mixing.mix(table(spark, sf_dir, "documents")).drop("positions").withColumn("target", F.round("target", 4)).withColumn("position", F.round("position", 6))
 
 
 def op8_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -226,6 +226,37 @@ def test_mix(docs, nothing):
     assert mixing.mix(nothing).count() == 0 and mixing.mixed_documents(nothing).count() == 0
 
 
+def test_mix_places_every_copy(spark):
+    rng = random.Random(11)
+    rows = [(i, text(rng, 20), "en", "abc"[(i > 20) + (i > 40)], 0, "") for i in range(400)]  # a and b are small: repeated
+    docs = spark.createDataFrame(rows, SCHEMA)
+    plan = {r.doc_id: r for r in mixing.mix(docs).collect()}
+    out = mixing.mixed_documents(docs).collect()
+    assert [r.mix_position for r in out] == sorted(r.mix_position for r in out)
+    by, spans = {}, {}
+    for r in out:
+        by.setdefault(r.doc_id, []).append(r)
+        spans.setdefault(r.source, []).append((r.mix_position, r.mix_taken))
+    slope = {"a": 0.5, "b": 0.0, "c": -0.5}
+    for i, copies in by.items():
+        copies.sort(key=lambda r: r.mix_copy)
+        p = plan[i]
+        assert [r.mix_copy for r in copies] == list(range(1, copies[0].mix_copies + 1)) and copies[0].mix_copies == -(-p.taken // p.size)
+        assert sum(r.mix_taken for r in copies) == p.taken and all(0 < r.mix_taken <= p.size for r in copies)
+        assert [r.mix_position for r in copies] == p.positions and copies[0].mix_position == p.position
+        a, first = slope[copies[0].source], p.position
+        goal = min(round(p.target), 3 * p.source_size)
+        share = lambda t, a=a: (1 - a) * t + a * t * t
+        for j, r in enumerate(copies):
+            assert abs(share(r.mix_position) - share(first) - j * p.source_size / goal) < 1e-9
+    assert {len(v) for v in by.values()} >= {1, 3}
+    for source in "ab":  # words up to t are what the integrated weight asks for, to the end of training
+        words = sum(n for _, n in spans[source])
+        for t in (0.25, 0.5, 0.75, 1.0):
+            got = sum(n for x, n in spans[source] if x < t) / words
+            assert abs(got - ((1 - slope[source]) * t + slope[source] * t * t)) < 0.05
+
+
 def test_targets_stop_at_three_times_the_source(spark):
     rows = [("a", 10), ("b", 1000), ("c", 1000), (None, 0)]
     got = {r.source: r.target for r in mixing.source_targets(spark.createDataFrame(rows, "source string, source_size long")).collect()}
