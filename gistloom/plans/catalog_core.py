@@ -385,10 +385,23 @@ def table_sql(tail: str) -> str:
     return "with recursive " + ",\n".join([_TABLES, _TABLE_Q, C.SCORES, _TABLE_TAIL]) + "\n" + tail
 
 
-def _row_places(spark, sf_dir) -> tuple[DataFrame, DataFrame]:
+def whole_table_sql(tail: str) -> str:
+    return table_sql(tail).replace(" order by 1 limit 116)", ")").replace(" order by no, table_id, gold_row limit 515)", ")")
+
+
+REPLICA = (116, 515)  # tables and questions that the statements of the W4 queries fix; the _all queries take every one
+WHOLE = (None, None)
+
+
+def _tables(spark, sf_dir, size=REPLICA) -> tuple[DataFrame, DataFrame]:
+    tables = W.order_tables(W.load(spark, sf_dir, "lineitem"), size[0])
+    return tables, W.table_questions(tables, size[1])
+
+
+def _row_places(spark, sf_dir, size=REPLICA) -> tuple[DataFrame, DataFrame]:
     def build():
-        tables = W.order_tables(W.load(spark, sf_dir, "lineitem"))
-        docs, asked = W.table_documents(tables), W.table_questions(tables)
+        tables, asked = _tables(spark, sf_dir, size)
+        docs = W.table_documents(tables)
         tok = tokenize(docs)
         scores = R.vectors(tok, asked, fixed=False)
         lines = docs.select("doc_id", F.posexplode(F.transform(F.split("text", "\n"), lambda x: F.size(words(x)))).alias("at", "n"))
@@ -397,13 +410,18 @@ def _row_places(spark, sf_dir) -> tuple[DataFrame, DataFrame]:
         scored = scores.join(rows, "doc_id").select("doc_id", "query_id", "row_no", F.aggregate(F.slice("v", F.col("first") + 1, F.col("n")), F.lit(0).cast("long"), lambda a, x: a + x).alias("score"))
         return scored.withColumn("place", F.row_number().over(Window.partitionBy("doc_id", "query_id").orderBy(F.desc("score"), "row_no")))
 
-    asked = W.table_questions(W.order_tables(W.load(spark, sf_dir, "lineitem")))
-    return held(spark, sf_dir, "row-places", build), asked
+    asked = _tables(spark, sf_dir, size)[1]
+    return held(spark, sf_dir, "row-places" if size == REPLICA else "row-places-all", build), asked
 
 
 @register("w4_questions", table_sql("select q.query_id, q.gold_row::int as gold_row from q"))
 def w4_questions(spark, sf_dir):
-    return W.table_questions(W.order_tables(W.load(spark, sf_dir, "lineitem"))).select("query_id", F.col("gold_row").cast("int").alias("gold_row"))
+    return _tables(spark, sf_dir)[1].select("query_id", F.col("gold_row").cast("int").alias("gold_row"))
+
+
+@register("w4_questions_all", whole_table_sql("select q.query_id, q.gold_row::int as gold_row from q"))
+def w4_questions_all(spark, sf_dir):
+    return _tables(spark, sf_dir, WHOLE)[1].select("query_id", F.col("gold_row").cast("int").alias("gold_row"))
 
 
 @register("unit_row", table_sql("select query_id, row_no::int as row_no, score::bigint as score from rk"))
@@ -417,12 +435,17 @@ def table_topk_rows(spark, sf_dir):
 
 
 @register("table_k_sweep", table_sql("select k::int as k, round(avg((place <= k)::int), 6) as accuracy from rk join q using (doc_id, query_id), range(1, 9) as r(k) where row_no = gold_row group by k"))
-def table_k_sweep(spark, sf_dir):
-    places, asked = _row_places(spark, sf_dir)
+def table_k_sweep(spark, sf_dir, size=REPLICA):
+    places, asked = _row_places(spark, sf_dir, size)
     gold = places.join(asked.select("query_id", F.col("gold_row").alias("row_no")), ["query_id", "row_no"])
     return gold.select("place", F.explode(F.sequence(F.lit(1), F.lit(8))).alias("k")).groupBy("k").agg(F.round(F.avg((F.col("place") <= F.col("k")).cast("int")), 6).alias("accuracy"))
 
 
+@register("table_k_sweep_all", whole_table_sql("select k::int as k, round(avg((place <= k)::int), 6) as accuracy from rk join q using (doc_id, query_id), range(1, 9) as r(k) where row_no = gold_row group by k"))
+def table_k_sweep_all(spark, sf_dir):
+    return table_k_sweep(spark, sf_dir, WHOLE)
+
+
 @register("w4_accuracy", table_sql("""select 'top4' as method, round((select avg((place <= 4)::int) from rk join q using (doc_id, query_id) where row_no = gold_row), 6) as accuracy,
   round((select sum((place <= 4)::int) / count(*) from rk), 6) as row_usage union all select 'full_table', 1.0, 1.0"""))
 def w4_accuracy(spark, sf_dir):
@@ -440,7 +463,7 @@ def row_usage(spark, sf_dir):
 
 @register("full_table", "with recursive " + _TABLES + " select table_id as doc_id, md5(string_agg(line, chr(10) order by row_no)) as text_md5 from tl group by 1")
 def full_table(spark, sf_dir):
-    return W.table_documents(W.order_tables(W.load(spark, sf_dir, "lineitem"))).select("doc_id", F.md5("text").alias("text_md5"))
+    return W.table_documents(_tables(spark, sf_dir)[0]).select("doc_id", F.md5("text").alias("text_md5"))
 
 
 # ---- accuracy and cost by budget and method ---------------------------------------------------------

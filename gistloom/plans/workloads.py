@@ -90,10 +90,12 @@ def conversation_questions(turns: DataFrame) -> DataFrame:
     return user.select(F.col("conv_id").alias("doc_id"), name.alias("query_id"), F.lit("turn").alias("kind"), words(F.col("text")).alias("tokens"))
 
 
-def order_tables(lineitem: DataFrame, tables: int = 116, least: int = 6) -> DataFrame:
-    """table_id, row_no and the columns of the first orders with enough rows; rows in a total order."""
-    ids = lineitem.groupBy("l_orderkey").agg(F.count("*").alias("n")).where(F.col("n") >= least).orderBy("l_orderkey").limit(tables).select("l_orderkey")
-    kept = lineitem.join(F.broadcast(ids), "l_orderkey")
+def order_tables(lineitem: DataFrame, tables: int | None = None, least: int = 6) -> DataFrame:
+    """table_id, row_no and the columns of all orders with enough rows, or of the first ``tables``; rows in a total order."""
+    ids = lineitem.groupBy("l_orderkey").agg(F.count("*").alias("n")).where(F.col("n") >= least).select("l_orderkey")
+    if tables is not None:
+        ids = F.broadcast(ids.orderBy("l_orderkey").limit(tables))
+    kept = lineitem.join(ids, "l_orderkey")
     order = Window.partitionBy("l_orderkey").orderBy("l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus", "l_shipdate")
     return kept.withColumn("row_no", F.row_number().over(order)).withColumnRenamed("l_orderkey", "table_id")
 
@@ -113,13 +115,13 @@ def table_documents(tables: DataFrame) -> DataFrame:
     return rows.select(F.col("table_id").alias("doc_id"), F.array_join("r.line", "\n").alias("text"))
 
 
-def table_questions(tables: DataFrame, most: int = 515) -> DataFrame:
-    """"Value of a column where l_partkey is v", for part keys that a table holds once; the gold row is known."""
+def table_questions(tables: DataFrame, most: int | None = None) -> DataFrame:
+    """"Value of a column where l_partkey is v", for part keys that a table holds once; the gold row is known.  All, or the first ``most``."""
     once = Window.partitionBy("table_id", "l_partkey")
     single = tables.withColumn("c", F.count("*").over(once)).where("c = 1")
     cells = F.array(*[F.struct(F.lit(k).alias("no"), F.lit(c).alias("column_name"), (F.col(c).cast("int") if c == "l_quantity" else F.col(c)).cast("string").alias("gold_value")) for k, c in enumerate(COLUMNS)])
     rows = single.select("table_id", "row_no", "l_partkey", F.explode(cells).alias("x")).select("table_id", "row_no", "l_partkey", "x.*")
-    kept = rows.orderBy("no", "table_id", "row_no").limit(most)
+    kept = rows if most is None else rows.orderBy("no", "table_id", "row_no").limit(most)
     name = F.concat_ws("-", F.lit("t"), F.col("table_id").cast("string"), F.col("row_no").cast("string"), F.col("no").cast("string"))
     asked = F.array(F.concat(F.lit('"'), F.col("column_name"), F.lit('":')), F.lit('"l_partkey":'), F.col("l_partkey").cast("string"))
     return kept.select(F.col("table_id").alias("doc_id"), name.alias("query_id"), asked.alias("tokens"), "column_name", F.col("row_no").alias("gold_row"), "gold_value")

@@ -179,3 +179,11 @@ def test_no_masked_names_in_the_repository():
     root = Path(__file__).resolve().parent.parent
     for f in [*root.glob("*.py"), *root.glob("gistloom/**/*.py"), root / "README.md"]:
         assert not re.search(r"NAME\d", f.read_text()), f
+
+
+def test_table_workload_takes_every_order_and_column(spark):
+    cols = "l_orderkey long, l_linenumber int, l_partkey long, l_suppkey long, l_quantity double, l_extendedprice double, l_discount double, l_tax double, l_returnflag string, l_linestatus string, l_shipdate string"
+    rows = [(o, k, 10 * o + k, k, 1.0, 1.0, 0.0, 0.0, "A", "F", "d") for o in range(130) for k in range(6)]
+    tables = W.order_tables(spark.createDataFrame(rows, cols))
+    asked = W.table_questions(tables).groupBy("column_name").count().collect()
+    assert {r.column_name: r["count"] for r in asked} == dict.fromkeys(W.COLUMNS, 780)
