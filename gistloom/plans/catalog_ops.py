@@ -73,6 +73,7 @@ both("join_anti", "select c_custkey from {customer} left anti join {orders} on c
 both("join_cross", "select n_name, cast(b as double) as b from {nation} cross join (select explode(array(0.1, 0.2)) as b)", "select n_name, b::double as b from nation cross join (select unnest([0.1, 0.2]) as b)")
 both("join_theta", "select a.n_name as x, b.n_name as y from {nation} a join {nation} b on a.n_nationkey < b.n_nationkey and a.n_regionkey > b.n_regionkey")
 both("join_self", "select a.doc_id, count(*) as siblings from {labels} a join {labels} b on a.quality = b.quality and a.toxic = b.toxic where a.doc_id % 50 = b.doc_id % 50 group by a.doc_id")
+both("join_siblings", "select a.doc_id, g.n as siblings from {labels} a join (select quality, toxic, count(*) as n from {labels} group by quality, toxic) g on a.quality = g.quality and a.toxic = g.toxic", "select doc_id, count(*) over (partition by quality, toxic) as siblings from labels where quality is not null and toxic is not null")
 both("join_star", "select r_name, count(*) as n, round(sum(l_extendedprice), 2) as revenue from {lineitem} join {orders} on l_orderkey = o_orderkey join {customer} on o_custkey = c_custkey join {nation} on c_nationkey = n_nationkey join {region} on n_regionkey = r_regionkey group by r_name")
 
 
@@ -167,6 +168,8 @@ both("fn_vector", "select a.vec_id, round(aggregate(zip_with(a.embedding, b.embe
 both("fn_null_cast", "select doc_id, coalesce(null, lang) as a, nvl(nullif(lang, 'en'), 'EN') as b, if(n_chars > 1000, 'long', 'short') as c, try_cast(source as int) as d, cast(n_chars as string) as e from {documents}", "select doc_id, lang as a, coalesce(nullif(lang, 'en'), 'EN') as b, if(n_chars > 1000, 'long', 'short') as c, try_cast(source as int) as d, n_chars::varchar as e from documents")
 both("embedding_cosine_topk", "select * from (select q, vec_id, row_number() over (partition by q order by c desc, vec_id) as place from (select b.vec_id as q, a.vec_id, round(aggregate(zip_with(a.embedding, b.embedding, (x, y) -> cast(x as double) * y), 0D, (s, x) -> s + x) / sqrt(aggregate(a.embedding, 0D, (s, x) -> s + cast(x as double) * x) * aggregate(b.embedding, 0D, (s, x) -> s + cast(x as double) * x)), 6) as c from {embeddings} a join {embeddings} b on b.vec_id < 10 and a.vec_id <> b.vec_id)) where place <= 5",
      "select * from (select q, vec_id, row_number() over (partition by q order by c desc, vec_id)::int as place from (select b.vec_id as q, a.vec_id, round(list_dot_product(a.embedding::double[], b.embedding::double[]) / sqrt(list_dot_product(a.embedding::double[], a.embedding::double[]) * list_dot_product(b.embedding::double[], b.embedding::double[])), 6) as c from embeddings a join embeddings b on b.vec_id < 10 and a.vec_id <> b.vec_id)) where place <= 5")
+both("embedding_cosine_search", "select * from (select q, vec_id, row_number() over (partition by q order by c desc, vec_id) as place from (select b.vec_id as q, a.vec_id, round(aggregate(zip_with(a.embedding, b.embedding, (x, y) -> cast(x as double) * y), 0D, (s, x) -> s + x) / sqrt(aggregate(a.embedding, 0D, (s, x) -> s + cast(x as double) * x) * aggregate(b.embedding, 0D, (s, x) -> s + cast(x as double) * x)), 6) as c from {embeddings} a join {embeddings} b on b.vec_id % 20 = 0 and a.vec_id <> b.vec_id)) where place <= 5",
+     "select * from (select q, vec_id, row_number() over (partition by q order by c desc, vec_id)::int as place from (select b.vec_id as q, a.vec_id, round(list_dot_product(a.embedding::double[], b.embedding::double[]) / sqrt(list_dot_product(a.embedding::double[], a.embedding::double[]) * list_dot_product(b.embedding::double[], b.embedding::double[])), 6) as c from embeddings a join embeddings b on b.vec_id % 20 = 0 and a.vec_id <> b.vec_id)) where place <= 5")
 both("stream_tumbling_batch", "select window(ts, '1 hour').start as w, event_type, count(*) as n from {events} group by 1, 2", "select time_bucket(interval '1 hour', ts) as w, event_type, count(*) as n from events group by 1, 2")
 
 

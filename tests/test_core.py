@@ -187,3 +187,13 @@ def test_table_workload_takes_every_order_and_column(spark):
     tables = W.order_tables(spark.createDataFrame(rows, cols))
     asked = W.table_questions(tables).groupBy("column_name").count().collect()
     assert {r.column_name: r["count"] for r in asked} == dict.fromkeys(W.COLUMNS, 780)
+
+
+def test_searches_use_every_twentieth_vector_and_all_siblings(spark, tmp_path):
+    from gistloom.plans.catalog import QUERIES
+
+    vectors = [(i, [float(i % 7), 1.0, float(i % 5)], 0) for i in range(60)]
+    spark.createDataFrame(vectors, "vec_id long, embedding array<float>, label int").write.parquet(f"{tmp_path}/embeddings.parquet")
+    spark.createDataFrame([(i, i % 2, 0) for i in range(120)], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    assert {r.q for r in QUERIES["embedding_cosine_search"](spark, str(tmp_path)).collect()} == {0, 20, 40}
+    assert {r.siblings for r in QUERIES["join_siblings"](spark, str(tmp_path)).collect()} == {60}
