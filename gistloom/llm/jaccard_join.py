@@ -1,22 +1,26 @@
 """Exact set-similarity join on word shingles by a token-group matrix.
 
 1. Documents with equal shingle sets form a class; one representative of each goes on.
-2. Every representative is described by composite tokens: its set is cut by hash range into m
-   slots and a token is the digest of one slot.  Two sets that meet the threshold differ in at
-   most k shingles, so at least m - k of their m slots are equal; sizes within the threshold's
-   ratio fall into the same or adjacent size levels, and a set carries the slots of both.  A slot
-   holds several shingles, so a passage or word pair that many documents share makes no hot token.
-3. Tokens that two sets share route them: a set joins the community of the most connected holder
-   (pivot) of its tokens, and communities are dealt into groups of bounded size, each of which
-   also holds its pivot.  Inside a group all members are compared at once.
-4. The matrix of groups: which tokens occur in which group.  Two groups with a common token meet
-   unless all their members are known to be connected.  There, each query's overlap with the other
-   group's shingle union bounds every similarity in it; only groups whose bound reaches the
-   threshold are opened and compared exactly.
-5. Links are contracted to connected components by min-label propagation with pointer jumping.
-
-No pair is ever a row: groups answer with labels.  Memory is bounded by two groups.  Copies are
-never expanded, so classes of any size cost one row a document.
+2. Matrix tokens are the shingles of a fixed hash range; the range is the wider the lower the
+   threshold.  A set that meets the threshold with another misses at most (1 - threshold) of its
+   shingles there, so a lower bound (``need``) of its tokens must be shared.  Small sets, and those
+   with too few shingles in the range for a bound, name all their shingles.
+3. Only tokens that two sets name enter the matrix, and only sets whose shared tokens reach their
+   bound stay.  Of these, the rarest ones (all but the ``need`` - 1 most frequent, in one global order)
+   route: two similar sets have a routing token in common.
+4. Groups: a set joins the community of the most connected holder (pivot) of its routing tokens,
+   and communities are dealt into groups of bounded size, each of which also holds its pivot.
+   Inside a group all members are compared at once, and the union of its shingles is stored.
+5. A set asks the groups that share a routing token with it and hold a larger component than its own.
+   The stored union bounds its overlap with all their members; only groups that the bound lets
+   through are opened, and their members compared with the sets that ask.
+6. Links are contracted to connected components by min-label propagation with pointer jumping.
+
+No pair is ever a row: groups answer with labels or with one link for two components.  What a task
+holds at once is a bounded number of groups with a bounded portion of the sets that ask them (the
+longest single set apart).  Copies are never expanded, so classes of any size cost one row a document.
+
+Shingles are 64-bit hashes; a class is a pair of 64-bit sums over its set.
 
 Defined cases: null, empty and blank texts have no shingles and link with nothing; fewer words
 than the width are one shingle; repeated rows are one class; a row without doc_id belongs to its
@@ -25,89 +29,49 @@ class only; an empty table gives an empty result.  doc_id identifies a text.
 
 from __future__ import annotations
 
+from functools import reduce
+
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from gistloom.llm import kernels as K
-from gistloom.llm.shared import materialize, release
+from gistloom.llm.shared import discard, materialize, release
 
 GROUP_ROWS = 80
 GROUP_SHINGLES = 200_000
 SLOT_SHINGLES = 1_000_000
+ROUND_SHARE = 128  # of 256 parts of the hash range that one round of token matching takes at most
+WHOLE = 64  # sets up to this size name all their shingles
 BROADCAST_IDS = 2_000_000
 U = np.uint64
 
 
-def size_levels(percent: int, most: int) -> list[tuple[int, int]]:
-    """[low, high] of the levels; sets that can be similar are in the same or adjacent ones."""
-    levels, low = [], 1
-    while low <= most:
-        high = 100 * low // percent
-        levels.append((low, high))
-        low = high + 1
-    return levels
-
-
-def _slots(level: int, high: int, percent: int) -> tuple[int, int]:
-    """(k, m): most differing shingles of two similar sets up to ``high``, and the number of slots."""
-    k = 2 * high * (100 - percent) // (100 + percent)
-    return k, k + 2 + (k + 49) // 50
-
-
 class Signer:
-    """Composite tokens of a sorted shingle set."""
+    """Matrix tokens of a sorted shingle set, and how many of them a similar set names at least."""
 
     def __init__(self, percent: int):
-        self.percent, self.levels = percent, []
-
-    def level_of(self, n: int) -> int:
-        while not self.levels or self.levels[-1][1] < n:
-            low = self.levels[-1][1] + 1 if self.levels else 1
-            self.levels.append((low, 100 * low // self.percent))
-        lo, hi = 0, len(self.levels) - 1
-        while lo < hi:
-            mid = (lo + hi) // 2
-            lo, hi = (mid + 1, hi) if self.levels[mid][1] < n else (lo, mid)
-        return lo
-
-    def need(self, s: np.ndarray) -> int:
-        """Tokens that a similar set has in common with this one at least, in one level.
-
-        Of the m - k equal slots or more, only those are sure to be tokens on both sides that this set
-        fills, held - k; the empty ones count for nothing, as a partner with more filled slots than k
-        names none of them.  A set with k filled slots or fewer still shares one token: either both
-        name their empty slots, or the partner has a filled slot more than can differ.
-        """
-        first = self.level_of(len(s))
-        self.level_of(self.levels[first][1] + 1)
-        least = []
-        for level in (first, first + 1):
-            k, m = _slots(level, self.levels[level][1], self.percent)
-            if k:
-                slot = ((s >> U(32)) * U(m)) >> U(32)
-                held = 1 + int((slot[1:] != slot[:-1]).sum())
-                least.append(max(1, held - k))
-        return min(least, default=1)
+        self.percent = percent
+        self.range = U(min(256, 640 * (100 - percent) // 100 or 1))  # of 256
+        self.whole = 100 * WHOLE // percent  # partners of sets up to WHOLE reach this size
+
+    def _read(self, s: np.ndarray) -> tuple[np.ndarray, int]:
+        missing = (100 - self.percent) * len(s) // 100
+        if len(s) <= WHOLE:
+            return s, len(s) - missing
+        inside = s[(K.mix(s) & U(255)) < self.range]
+        bound = len(inside) - missing
+        if bound < 1:
+            # a similar set names everything too, or the range alone bounds its share from below
+            return s, 1
+        return (s if len(s) <= self.whole else inside), bound
 
     def tokens(self, s: np.ndarray) -> np.ndarray:
-        first = self.level_of(len(s))
-        self.level_of(self.levels[first][1] + 1)
-        out = []
-        for level in (first, first + 1):
-            k, m = _slots(level, self.levels[level][1], self.percent)
-            if k == 0:
-                continue
-            slot = ((s >> U(32)) * U(m)) >> U(32)
-            begin = np.flatnonzero(np.concatenate([[True], slot[1:] != slot[:-1]]))
-            digest = K.mix(np.add.reduceat(K.mix(s), begin))
-            name = slot[begin] * U(1024) + U(level)
-            out.append(K.mix(digest ^ (name * K.GOLDEN)))
-            if m - len(begin) >= m - k:  # so many empty slots that similar sets may agree in these only
-                empty = np.setdiff1d(np.arange(m, dtype=U), slot[begin])
-                out.append(K.mix((empty * U(1024) + U(level)) * K.GOLDEN + U(1)))
-        return np.concatenate(out) if out else np.zeros(0, U)
+        return self._read(s)[0]
+
+    def need(self, s: np.ndarray) -> int:
+        return self._read(s)[1] if len(s) else 0
 
 
 def _list_array(lists: list[np.ndarray]) -> pa.Array:
@@ -123,44 +87,27 @@ def _flush(rows: list, columns: list[str]) -> pa.RecordBatch:
 
 
 def digests(docs: DataFrame, width: int, percent: int) -> DataFrame:
-    """doc_id, n_shingles, a 128-bit digest of the shingle set and the tokens that a partner must share."""
+    """doc_id, n_shingles, a 128-bit digest of the shingle set, its matrix tokens and how many a partner must share."""
+    columns = ["doc_id", "n_shingles", "d1", "d2", "need", "tokens"]
 
     def run(batches):
         signer = Signer(percent)
         for batch in batches:
-            ids, n, one, two, need = batch.column(0), [], [], [], []
-            for s in K.shingle_sets(batch.column(1), width):
-                n.append(len(s))
-                need.append(signer.need(s) if len(s) else 0)
-                one.append(int(K.mix(s).sum(dtype=U).view(np.int64)) if len(s) else 0)
-                two.append(int(K.mix(s ^ K.GOLDEN).sum(dtype=U).view(np.int64)) if len(s) else 0)
-            yield pa.RecordBatch.from_arrays([ids, pa.array(n, pa.int64()), pa.array(one, pa.int64()), pa.array(two, pa.int64()), pa.array(need, pa.int32())], ["doc_id", "n_shingles", "d1", "d2", "need"])
-
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, n_shingles long, d1 long, d2 long, need int")
-
-
-def token_rows(docs: DataFrame, width: int, percent: int, rounds: int = 1, turn: int = 0) -> DataFrame:
-    """(rep, tok) of each document; of several rounds, each gives the tokens of its residue."""
-
-    def run(batches):
-        signer = Signer(percent)
-        for batch in batches:
-            ids = batch.column(0).to_numpy(zero_copy_only=False)
-            held, who, size = [], [], 0
-            for i, s in zip(ids, K.shingle_sets(batch.column(1), width), strict=True):
-                if len(s):
-                    t = signer.tokens(s)
-                    t = t[t % U(rounds) == turn] if rounds > 1 else t
-                    held.append(t)
-                    who.append(np.full(len(t), i, np.int64))
-                    size += len(t)
-                if size > 500_000:
-                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(who)), pa.array(np.concatenate(held).view(np.int64))], ["rep", "tok"])
-                    held, who, size = [], [], 0
-            if size:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(who)), pa.array(np.concatenate(held).view(np.int64))], ["rep", "tok"])
+            rows, size = [], 0
+            for i, s in zip(batch.column(0).to_pylist(), K.shingle_sets(batch.column(1), width), strict=True):
+                one = int(K.mix(s).sum(dtype=U).view(np.int64)) if len(s) else 0
+                two = int(K.mix(s ^ K.GOLDEN).sum(dtype=U).view(np.int64)) if len(s) else 0
+                tokens, need = signer._read(s)
+                rows.append((i, len(s), one, two, need, tokens))
+                size += len(tokens)
+                if size > 1_000_000:
+                    yield _flush(rows, columns)
+                    rows, size = [], 0
+            if rows:
+                yield _flush(rows, columns)
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "rep long, tok long")
+    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(
+        run, "doc_id long, n_shingles long, d1 long, d2 long, need long, tokens array<long>")
 
 
 def sets_of(docs: DataFrame, width: int) -> DataFrame:
@@ -194,12 +141,14 @@ def components(edges: DataFrame) -> DataFrame:
     labels = materialize(both.groupBy(F.col("a").alias("node")).agg(F.least(F.col("a"), F.min("b")).alias("label")), "labels")
     while True:
         heard = both.join(labels.select(F.col("node").alias("_gl_n"), "label"), F.col("b") == F.col("_gl_n")).groupBy("a").agg(F.min("label").alias("near"))
-        step = labels.join(heard, F.col("node") == F.col("a"), "left").select("node", F.col("label").alias("old"), F.least("label", F.coalesce("near", "label")).alias("label"))
+        step = labels.select("node", "label").join(heard, F.col("node") == F.col("a"), "left").select("node", F.col("label").alias("old"), F.least("label", F.coalesce("near", "label")).alias("label"))
         jump = labels.select(F.col("node").alias("_gl_n"), F.col("label").alias("far"))
         nxt = materialize(step.join(jump, F.col("label") == F.col("_gl_n"), "left").select("node", "old", F.least("label", F.coalesce("far", "label")).alias("label")), "labels")
-        labels = nxt.select("node", "label")
+        discard(labels)
+        labels = nxt
         if not nxt.where("old <> label").limit(1).count():
-            return labels
+            discard(both)
+            return nxt.select("node", "label")
 
 
 def _merge(labels: np.ndarray, groups) -> None:
@@ -220,26 +169,26 @@ def link_members(ids: np.ndarray, sets: list[np.ndarray], percent: int) -> np.nd
     return labels
 
 
+def qualifying(union: np.ndarray, sets: list[np.ndarray], percent: int) -> np.ndarray:
+    """Which sets can be similar to a member of a group: those that its union overlaps far enough."""
+    ends = np.cumsum([len(s) for s in sets])
+    flat = np.concatenate(sets)
+    at = np.searchsorted(union, flat)
+    at[at == len(union)] = 0
+    hits = np.concatenate([[0], np.cumsum(union[at] == flat)])
+    size = np.diff(np.concatenate([[0], ends]))
+    return 100 * (hits[ends] - hits[ends - size]) >= percent * size
+
+
 def link_across(ids_a, sets_a, comp_a, ids_b, sets_b, comp_b, percent: int) -> list[tuple[int, int]]:
-    """Links of two groups, one for each pair of components at most; the union of b bounds queries of a."""
-    union = np.unique(np.concatenate(sets_b))
-
-    def bound(s):
-        at = np.searchsorted(union, s)
-        at[at == len(union)] = 0
-        return int((union[at] == s).sum())
-
-    asks = [i for i, s in enumerate(sets_a) if 100 * bound(s) >= percent * len(s)]
-    if not asks:
-        return []
-    sizes_a, sizes_b = np.array([len(sets_a[i]) for i in asks]), np.array([len(s) for s in sets_b])
+    """Links of sets to the members of a group, one for each pair of components at most."""
+    sizes_a, sizes_b = np.array([len(s) for s in sets_a]), np.array([len(s) for s in sets_b])
     found: dict = {}
-    for lo, counts in K.overlaps([sets_a[i] for i in asks], sets_b):
+    for lo, counts in K.overlaps(sets_a, sets_b):
         linked = 100 * counts >= percent * (sizes_a[lo : lo + len(counts), None] + sizes_b[None, :] - counts)
         for r, c in zip(*np.nonzero(linked), strict=True):
-            i = asks[lo + r]
-            if comp_a[i] != comp_b[c]:
-                found.setdefault((comp_a[i], comp_b[c]), (int(ids_a[i]), int(ids_b[c])))
+            if comp_a[lo + r] != comp_b[c]:
+                found.setdefault((comp_a[lo + r], comp_b[c]), (int(ids_a[lo + r]), int(ids_b[c])))
     return list(found.values())
 
 
@@ -251,105 +200,150 @@ def _as_sets(column: pa.ChunkedArray) -> list[np.ndarray]:
     return [values[ends[i] : ends[i + 1]] for i in range(len(flat))]
 
 
-def _shared_tokens(docs: DataFrame, width: int, percent: int, rounds: int, turn: int) -> DataFrame:
-    """(tok, rep, df) of the tokens that two documents or more hold."""
-    tokens = token_rows(docs, width, percent, rounds, turn)
-    shared = tokens.groupBy("tok").agg(F.count("*").alias("df")).where("df > 1")
-    return materialize(tokens.join(shared.hint("shuffle_hash"), "tok").select("tok", "rep", "df"), "matrix")
+def token_matrix(named: DataFrame, rounds: int) -> list[DataFrame]:
+    """(rep, need, tok, df) of the tokens that two representatives or more name, in a table a round.
 
+    ``named`` holds (rep, need, tokens).  Tokens are matched in rounds by residue, so that the shuffle
+    files of one round only are on disk at a time.
+    """
+    matrix = []
+    for turn in range(rounds):
+        rows = named.select("rep", "need", F.explode("tokens").alias("tok"))
+        rows = rows.where(F.pmod("tok", F.lit(rounds)) == turn) if rounds > 1 else rows
+        shared = rows.groupBy("tok").agg(F.count("*").alias("df")).where("df > 1")
+        matrix.append(materialize(rows.join(shared.hint("shuffle_hash"), "tok").select("rep", "need", "tok", "df"), "matrix"))
+        release(named.sparkSession)
+    return matrix
+
+
+def routing_tokens(matrix: DataFrame) -> DataFrame:
+    """(rep, need, tok, w) of the sets whose shared tokens reach their bound, with all but their need - 1 most frequent tokens."""
+    by = Window.partitionBy("rep")
+    told = matrix.withColumns({
+        "c": F.count("*").over(by), "w": F.sum("df").over(by), "no": F.row_number().over(by.orderBy("df", "tok"))})
+    return told.where("c >= need and no <= c - need + 1").select("rep", "tok", "w")
+
+
+def _cut(table: pa.Table, *keys: str) -> tuple[pa.Table, np.ndarray, list[int]]:
+    """The table sorted by integer keys, and the first and last row of each run of equal keys."""
+    table = table.sort_by([(k, "ascending") for k in keys])
+    new = np.zeros(max(len(table), 1), bool)
+    new[0] = True
+    for k in keys:
+        v = table[k].to_numpy()
+        new[1:] |= v[1:] != v[:-1]
+    cut = np.flatnonzero(new)
+    return table, cut, [*cut[1:], len(table)]
 
-def similarity_components(docs: DataFrame, width: int = 5, percent: int = 80, rounds: int | None = None) -> DataFrame:
-    """doc_id, n_shingles, class_id, component_id of every document row.
 
-    Tokens are matched in ``rounds`` by residue, so that the shuffle files of one round only are on
-    disk at a time; a lower threshold needs more tokens a document and gets more rounds.
-    """
+def similarity_components(docs: DataFrame, width: int = 5, percent: int = 80, rounds: int | None = None) -> DataFrame:
+    """doc_id, n_shingles, class_id, component_id of every document row."""
     spark = docs.sparkSession
-    rounds = rounds or max(1, (100 - percent) // 5 - 1)
+    rounds = rounds or max(1, -(-2 * int(Signer(percent).range) // ROUND_SHARE))
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    known = materialize(digests(docs, width, percent), "digests")
-    classes = known.where("n_shingles > 0").groupBy("d1", "d2").agg(F.min("doc_id").alias("_gl_rep"), F.min("need").alias("need"))
+    read = materialize(digests(docs, width, percent), "digests")
+    known = materialize(read.drop("tokens"), "known")
+    classes = known.where("n_shingles > 0").groupBy("d1", "d2").agg(F.min("doc_id").alias("_gl_rep"))
     reps = materialize(classes.where(F.col("_gl_rep").isNotNull()), "classes")
-    chosen = _only(docs.select("doc_id", "text"), reps.select("_gl_rep"), BROADCAST_IDS)
-
-    matrix = None
-    for turn in range(rounds):
-        part = _shared_tokens(chosen, width, percent, rounds, turn)
-        release(spark)
-        matrix = part if matrix is None else matrix.union(part)
-
-    # a set with fewer shared tokens than any partner would need has no partner
-    held = matrix.groupBy("rep").agg(F.sum("df").alias("w"), F.count("*").alias("c"))
-    weight = held.join(reps.select(F.col("_gl_rep").alias("rep"), "need"), "rep").where("c >= need").select("rep", "w", "need")
-    weighed = materialize(matrix.join(weight, "rep"), "weighed")
-    matrix = weighed.select("tok", "rep")
-    pivots = weighed.groupBy("tok").agg(F.max(F.struct(F.col("w"), (-F.col("rep")).alias("minus"))).alias("p"))
-    home = (
-        weighed.join(pivots, "tok").groupBy("rep").agg(F.max("p").alias("p"), F.min("need").alias("need"))
-        .select("rep", (-F.col("p.minus")).alias("pivot"), "need")
-    )
-    home = materialize(home, "home")
+    chosen = _only(read, reps.select("_gl_rep"), BROADCAST_IDS).select(F.col("doc_id").alias("rep"), "need", "tokens")
+    matrix = token_matrix(chosen, rounds)
+    routes = materialize(routing_tokens(reduce(DataFrame.union, matrix)), "routes")
+    discard(read, *matrix)
     release(spark)
+
+    # communities, and the groups that they are dealt into
+    pivots = routes.groupBy("tok").agg(F.max(F.struct(F.col("w"), (-F.col("rep")).alias("minus"))).alias("p"), F.count("*").alias("holders")).where("holders > 1")
+    home = materialize(
+        routes.join(pivots, "tok").groupBy("rep").agg(F.max("p").alias("p")).select("rep", (-F.col("p.minus")).alias("pivot")), "home")
     sets = materialize(sets_of(_only(docs.select("doc_id", "text"), home.select(F.col("rep").alias("_gl_rep")), BROADCAST_IDS), width).dropDuplicates(["rep"]), "sets")
     sized = home.join(sets.select("rep", "n"), "rep")
     spread = sized.groupBy("pivot").agg(
         F.greatest(F.ceil(F.count("*") / GROUP_ROWS), F.ceil(F.sum("n") / GROUP_SHINGLES)).cast("int").alias("groups"))
     member = materialize(
-        sized.join(spread, "pivot").select("rep", "pivot", "need", F.pmod(F.xxhash64("rep"), F.col("groups").cast("long")).cast("int").alias("part")), "member")
+        sized.join(spread, "pivot").select("rep", F.struct("pivot", F.pmod(F.xxhash64("rep"), F.col("groups").cast("long")).cast("int").alias("part")).alias("gid"))
+        .select("rep", F.xxhash64("gid.pivot", "gid.part").alias("gid"), F.col("gid.pivot").alias("pivot")), "member")
+
+    def slots(shingles: int) -> int:
+        return max(4 * parts, shingles // SLOT_SHINGLES)
 
     # inside the groups; every group of a community also holds the pivot, which ties them together
-    guests = member.select("pivot", "part").distinct().select(F.col("pivot").alias("rep"), "pivot", "part")
-    seats = member.select("rep", "pivot", "part").union(guests).distinct()
-    total = max(1, sets.agg(F.sum("n")).first()[0] or 1)
-    n_slots = max(4 * parts, total // SLOT_SHINGLES)
-    slot = lambda *by: F.pmod(F.xxhash64(*by), F.lit(n_slots))
+    guests = member.select(F.col("pivot").alias("rep"), "gid").distinct()
+    seats = member.select("rep", "gid").union(guests).distinct()
+    total = sets.agg(F.sum("n")).first()[0] or 0
 
     def inside(table: pa.Table) -> pa.Table:
-        table = table.sort_by([("pivot", "ascending"), ("part", "ascending")])
-        ids, held = table["rep"].to_numpy(), _as_sets(table["shingles"])
-        a, b = table["pivot"].to_numpy(), table["part"].to_numpy()
-        cut = np.flatnonzero(np.concatenate([[True], (a[1:] != a[:-1]) | (b[1:] != b[:-1])]))
-        out = [link_members(ids[i:j], held[i:j], percent) for i, j in zip(cut, [*cut[1:], len(ids)], strict=True)]
-        return pa.table({"a": pa.array(ids, pa.int64()), "b": pa.array(np.concatenate(out), pa.int64())})
-
-    grouped = seats.join(sets.select("rep", "shingles"), "rep").withColumn("slot", slot("pivot", "part")).groupBy("slot")
-    inner = materialize(grouped.applyInArrow(inside, "a long, b long").where("a <> b"), "inner")
+        table, first, last = _cut(table, "gid")
+        ids, held, gid = table["rep"].to_numpy(), _as_sets(table["shingles"]), table["gid"].to_numpy()
+        labels = [link_members(ids[i:j], held[i:j], percent) for i, j in zip(first, last, strict=True)]
+        unions = [np.unique(np.concatenate(held[i:j])) for i, j in zip(first, last, strict=True)]
+        none = [np.zeros(0, U)] * len(ids)
+        return pa.table({
+            "gid": pa.array(np.concatenate([gid, gid[first]]), pa.int64()), "a": pa.array(np.concatenate([ids, np.zeros(len(first), np.int64)]), pa.int64()),
+            "b": pa.array(np.concatenate([*labels, np.zeros(len(first), np.int64)]), pa.int64()), "tokens": _list_array(none + unions)})
+
+    grouped = seats.join(sets.select("rep", "shingles"), "rep").withColumn("slot", F.pmod(F.xxhash64("gid"), F.lit(slots(total)))).groupBy("slot")
+    inner = materialize(grouped.applyInArrow(inside, "gid long, a long, b long, tokens array<long>"), "inner")
     release(spark)
-    labels = components(inner)
+    unions = inner.where(F.size("tokens") > 0).select("gid", F.col("tokens").alias("shingles"))
+    links = inner.where("size(tokens) = 0 and a <> b").select("a", "b")
+    labels = components(links)
 
-    # between groups that share a token, unless both are one and the same component
+    # between groups: a set asks groups that share a routing token and hold a larger component than its own
+    comps = home.select("rep").join(labels, F.col("rep") == F.col("node"), "left").select("rep", F.coalesce("label", "rep").alias("comp"))
+    counts = comps.groupBy("comp").agg(F.count("*").alias("members"))
     placed = materialize(
-        member.join(labels, F.col("rep") == F.col("node"), "left").select("rep", "pivot", "part", "need", F.coalesce("label", "rep").alias("comp")), "placed")
-    posting = matrix.join(placed, "rep").groupBy("tok", "pivot", "part").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.min("need").alias("need"))
-    posting = posting.withColumn("gid", F.struct("pivot", "part"))
-    side_of = lambda g, k: posting.select("tok", F.col("gid").alias(g), F.col("lo").alias(f"lo{k}"), F.col("hi").alias(f"hi{k}"), F.col("need").alias(f"need{k}"))
-    pairs = side_of("g", 1).join(side_of("h", 2), "tok").where(F.col("g") < F.col("h"))
-    # the matrix bound: the groups' common tokens must reach what one of their sets needs; and something must be left to connect
-    counted = pairs.groupBy("g", "h").agg(
-        F.count("*").alias("c"), F.least(F.min("need1"), F.min("need2")).alias("need"),
-        F.least(F.min("lo1"), F.min("lo2")).alias("lo"), F.greatest(F.max("hi1"), F.max("hi2")).alias("hi"))
-    meet = materialize(counted.where("c >= need and lo <> hi").select("g", "h"), "meet")
-    seat = F.struct("pivot", "part")
-    full = placed.join(sets, "rep").select("rep", "comp", "shingles", seat.alias("gid"))
-    asked = meet.withColumn("slot", slot("g", "h"))
-    side = lambda col, no: asked.join(full, F.col(col) == F.col("gid")).select("slot", "g", "h", F.lit(no).alias("side"), "rep", "comp", "shingles")
-    met = side("g", 0).union(side("h", 1)).select("slot", F.xxhash64("g", "h").alias("pair"), "side", "rep", "comp", "shingles")
+        member.select("rep", "gid").join(comps, "rep").join(counts, "comp").select("rep", "gid", "comp", F.struct("members", "comp").alias("rank")), "placed")
+    routed = routes.select("rep", "tok").join(placed, "rep")
+    live = routed.groupBy("tok").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("tok")
+    routed = materialize(routed.join(live, "tok"), "routed")
+    posting = routed.groupBy("tok", "gid").agg(F.max("rank").alias("top")).select("tok", F.col("gid").alias("asked"), "top")
+    asks = materialize(routed.join(posting, "tok").where("gid <> asked and top > rank").select("rep", "comp", "asked").distinct(), "asks")
+    release(spark)
+
+    def portions(asks: DataFrame) -> tuple[DataFrame, DataFrame]:
+        """Sets that ask, and the groups asked, each dealt into portions of bounded size with their slot."""
+        queries = asks.join(sets, "rep")
+        load = asks.join(sets.select("rep", "n"), "rep").groupBy("asked").agg(F.sum("n").alias("n"))
+        load = load.select("asked", F.ceil(F.col("n") / GROUP_SHINGLES).cast("long").alias("portions"), "n")
+        sent = load.agg(F.sum("n"), F.sum("portions")).first()
+        wide = F.lit(slots((sent[0] or 0) + (sent[1] or 0) * GROUP_SHINGLES // 4))
+        dealt = queries.join(load.select("asked", "portions"), "asked").withColumn("portion", F.pmod(F.xxhash64("rep"), F.col("portions")))
+        opened = load.select("asked", F.explode(F.sequence(F.lit(0).cast("long"), F.col("portions") - 1)).alias("portion"))
+        slot = F.pmod(F.xxhash64("asked", "portion"), wide).alias("slot")
+        ask_rows = dealt.select(slot, F.xxhash64("asked", "portion").alias("cell"), F.lit(1).alias("side"), "asked", "rep", "comp", "shingles")
+        return ask_rows, opened.select(slot, F.xxhash64("asked", "portion").alias("cell"), F.lit(0).alias("side"), "asked")
+
+    def bound(table: pa.Table) -> pa.Table:
+        table, first, last = _cut(table, "cell", "side")
+        held, side, keep = _as_sets(table["shingles"]), table["side"].to_numpy(), np.zeros(len(table), bool)
+        cell = table["cell"].to_numpy()
+        for i, j in zip(first, last, strict=True):
+            if side[i] == 1 and i and cell[i - 1] == cell[i]:
+                keep[i:j] = qualifying(held[i - 1], held[i:j], percent)
+        return table.select(["rep", "comp", "asked"]).filter(pa.array(keep))
+
+    queries, opened = portions(asks)
+    stored = opened.join(unions, F.col("asked") == F.col("gid")).select("slot", "cell", "side", "asked", F.lit(0).cast("long").alias("rep"), F.lit(0).cast("long").alias("comp"), "shingles")
+    passed = materialize(queries.union(stored).groupBy("slot").applyInArrow(bound, "rep long, comp long, asked long"), "passed")
+    release(spark)
 
     def across(table: pa.Table) -> pa.Table:
-        table = table.sort_by([("pair", "ascending"), ("side", "ascending")])
+        table, first, last = _cut(table, "cell", "side")
         ids, comp, held = table["rep"].to_numpy(), table["comp"].to_numpy(), _as_sets(table["shingles"])
-        pair, which = table["pair"].to_numpy(), table["side"].to_numpy()
-        cut = np.flatnonzero(np.concatenate([[True], pair[1:] != pair[:-1]]))
-        out = []
-        for i, j in zip(cut, [*cut[1:], len(ids)], strict=True):
-            mid = i + int(np.searchsorted(which[i:j], 1))
-            if i < mid < j:
-                out += link_across(ids[i:mid], held[i:mid], comp[i:mid], ids[mid:j], held[mid:j], comp[mid:j], percent)
+        cell, out = table["cell"].to_numpy(), []
+        for k in range(1, len(first)):
+            i, mid, j = first[k - 1], first[k], last[k]
+            if cell[i] == cell[mid]:
+                out += link_across(ids[mid:j], held[mid:j], comp[mid:j], ids[i:mid], held[i:mid], comp[i:mid], percent)
         return pa.table({"a": pa.array([x[0] for x in out], pa.int64()), "b": pa.array([x[1] for x in out], pa.int64())})
 
-    outer = materialize(met.groupBy("slot").applyInArrow(across, "a long, b long"), "outer")
+    queries, opened = portions(passed)
+    members = opened.join(placed, F.col("asked") == F.col("gid")).join(sets, "rep").select("slot", "cell", "side", "asked", "rep", "comp", "shingles")
+    outer = materialize(queries.union(members).groupBy("slot").applyInArrow(across, "a long, b long"), "outer")
+    release(spark)
     chains = labels.select(F.col("node").alias("a"), F.col("label").alias("b"))
     final = components(outer.union(chains)).select(F.col("node").alias("_gl_n"), F.col("label").alias("_gl_label"))
+    discard(sets, inner, routes, routed, asks, passed)
     with_class = known.join(reps.select(F.col("d1").alias("_gl_1"), F.col("d2").alias("_gl_2"), F.col("_gl_rep").alias("class_id")), (F.col("d1") == F.col("_gl_1")) & (F.col("d2") == F.col("_gl_2")) & (F.col("n_shingles") > 0), "left")
     return with_class.join(final, F.col("class_id") == F.col("_gl_n"), "left").select(
         "doc_id", "n_shingles", F.coalesce("class_id", "doc_id").alias("class_id"), F.coalesce("_gl_label", "class_id", "doc_id").alias("component_id"))

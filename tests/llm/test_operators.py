@@ -134,17 +134,41 @@ def test_small_similar_sets_share_what_they_need(percent):
     assert pairs > 1000
 
 
-def test_small_pair_with_crowded_slots_is_linked(spark):
-    rng, signer = random.Random(1), jaccard_join.Signer(80)
-    while True:
-        long = " ".join(rng.choice(WORDS) + rng.choice(WORDS) for _ in range(9))
-        short = long.rsplit(" ", 1)[0]
-        a, b = kernels.shingle_sets(pa.array([short, long]), 5)
-        if len(a) == 4 and len(b) == 5 and len(signer.tokens(a)) == 8 and len(np.intersect1d(signer.tokens(a), signer.tokens(b))) == 2:
-            break
-    rows = [(1, short), (2, long), (3, "quite another text of eight or more words")]
+def test_small_pair_and_large_community_are_linked(spark):
+    """A pair of four and five shingles; thousands of near copies of one text, and texts that share half of it only."""
+    rng = random.Random(1)
+    long = " ".join(rng.choice(WORDS) + rng.choice(WORDS) for _ in range(9))
+    rows = [(1, long.rsplit(" ", 1)[0]), (2, long), (3, "quite another text of eight or more words")]
+    base = [rng.choice(WORDS) + rng.choice(WORDS) for _ in range(150)]
+    for k in range(2500):
+        v = list(base)
+        for _ in range(2):
+            v[rng.randrange(150)] = rng.choice(WORDS) + rng.choice(WORDS)
+        rows.append((100 + k, " ".join(v)))
+    for k in range(60):
+        rows.append((5000 + k, " ".join(base[:75] + [rng.choice(WORDS) + rng.choice(WORDS) for _ in range(75)])))
     got = jaccard_join.similarity_components(spark.createDataFrame(rows, "doc_id long, text string"), 5, 80).collect()
-    assert {r.doc_id: r.component_id for r in got} == {1: 1, 2: 1, 3: 3}
+    label = {r.doc_id: r.component_id for r in got}
+    assert [label[i] for i in (1, 2, 3)] == [1, 1, 3]
+    want = brute_components([r for r in rows if 100 <= r[0] < 400 or r[0] >= 5000], 5, 80)
+    assert all(label[i] == 100 for i in label if 100 <= i < 2600) and all(label[i] == c for i, (_, c) in want.items())
+
+
+def test_random_thresholds_agree_with_brute_force(spark):
+    """Chains of edits: links through others only, sizes around the limit up to which all shingles are named."""
+    rng = random.Random(4)
+    rows = []
+    for k in range(12):
+        v = [rng.choice(WORDS) + rng.choice(WORDS) for _ in range(rng.randint(4, 220))]
+        for _ in range(12):
+            rows.append((len(rows), " ".join(v)))
+            for _ in range(rng.randint(1, max(1, len(v) // 25))):
+                v[rng.randrange(len(v))] = rng.choice(WORDS) + rng.choice(WORDS)
+            v = v[: rng.randint(len(v) * 9 // 10, len(v))] or v
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    for width, percent in ((1, 50), (2, 70), (5, 80), (3, 90)):
+        got = jaccard_join.similarity_components(docs, width, percent).collect()
+        assert {r.doc_id: (r.n_shingles, r.component_id) for r in got} == brute_components(rows, width, percent)
 
 
 def test_overlap_matrix():
