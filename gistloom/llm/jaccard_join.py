@@ -6,8 +6,9 @@
    shingles there, so a lower bound (``need``) of its tokens must be shared.  Small sets, and those
    with too few shingles in the range for a bound, name all their shingles.
 3. Only tokens that two sets name enter the matrix, and only sets whose shared tokens reach their
-   bound stay.  Of these, the rarest ones (all but the ``need`` - 1 most frequent, in one global order)
-   route: two similar sets have a routing token in common.
+   bound stay.  For these the matrix is made again from all their shingles, with the full bound; the
+   rarest shared tokens (all but the ``need`` - 1 most frequent, in one global order) route: two
+   similar sets have a routing token in common.
 4. Groups: a set joins the community of the most connected holder (pivot) of its routing tokens,
    and communities are dealt into groups of bounded size, each of which also holds its pivot.
    Inside a group all members are compared at once, and the union of its shingles is stored.
@@ -41,6 +42,7 @@ from gistloom.llm.shared import discard, materialize, release
 
 GROUP_ROWS = 80
 GROUP_SHINGLES = 200_000
+PORTION_SHINGLES = 40_000  # of the sets that ask one group
 SLOT_SHINGLES = 1_000_000
 ROUND_SHARE = 128  # of 256 parts of the hash range that one round of token matching takes at most
 WHOLE = 64  # sets up to this size name all their shingles
@@ -216,8 +218,13 @@ def token_matrix(named: DataFrame, rounds: int) -> list[DataFrame]:
     return matrix
 
 
+def covered(matrix: DataFrame) -> DataFrame:
+    """_gl_rep of the sets whose shared tokens reach their bound."""
+    return matrix.groupBy("rep").agg(F.count("*").alias("c"), F.max("need").alias("need")).where("c >= need").select(F.col("rep").alias("_gl_rep"))
+
+
 def routing_tokens(matrix: DataFrame) -> DataFrame:
-    """(rep, need, tok, w) of the sets whose shared tokens reach their bound, with all but their need - 1 most frequent tokens."""
+    """(rep, tok, w) of the sets whose shared tokens reach their bound, with all but their need - 1 most frequent tokens."""
     by = Window.partitionBy("rep")
     told = matrix.withColumns({
         "c": F.count("*").over(by), "w": F.sum("df").over(by), "no": F.row_number().over(by.orderBy("df", "tok"))})
@@ -247,15 +254,20 @@ def similarity_components(docs: DataFrame, width: int = 5, percent: int = 80, ro
     reps = materialize(classes.where(F.col("_gl_rep").isNotNull()), "classes")
     chosen = _only(read, reps.select("_gl_rep"), BROADCAST_IDS).select(F.col("doc_id").alias("rep"), "need", "tokens")
     matrix = token_matrix(chosen, rounds)
-    routes = materialize(routing_tokens(reduce(DataFrame.union, matrix)), "routes")
+    near = materialize(covered(reduce(DataFrame.union, matrix)), "near")
     discard(read, *matrix)
+    sets = materialize(sets_of(_only(docs.select("doc_id", "text"), near, BROADCAST_IDS), width).dropDuplicates(["rep"]), "sets")
+    release(spark)
+    whole = sets.select("rep", (F.col("n") - F.floor(F.col("n") * (100 - percent) / 100)).alias("need"), F.col("shingles").alias("tokens"))
+    matrix = token_matrix(whole, rounds)
+    routes = materialize(routing_tokens(reduce(DataFrame.union, matrix)), "routes")
+    discard(near, *matrix)
     release(spark)
 
     # communities, and the groups that they are dealt into
     pivots = routes.groupBy("tok").agg(F.max(F.struct(F.col("w"), (-F.col("rep")).alias("minus"))).alias("p"), F.count("*").alias("holders")).where("holders > 1")
     home = materialize(
         routes.join(pivots, "tok").groupBy("rep").agg(F.max("p").alias("p")).select("rep", (-F.col("p.minus")).alias("pivot")), "home")
-    sets = materialize(sets_of(_only(docs.select("doc_id", "text"), home.select(F.col("rep").alias("_gl_rep")), BROADCAST_IDS), width).dropDuplicates(["rep"]), "sets")
     sized = home.join(sets.select("rep", "n"), "rep")
     spread = sized.groupBy("pivot").agg(
         F.greatest(F.ceil(F.count("*") / GROUP_ROWS), F.ceil(F.sum("n") / GROUP_SHINGLES)).cast("int").alias("groups"))
@@ -304,9 +316,9 @@ def similarity_components(docs: DataFrame, width: int = 5, percent: int = 80, ro
         """Sets that ask, and the groups asked, each dealt into portions of bounded size with their slot."""
         queries = asks.join(sets, "rep")
         load = asks.join(sets.select("rep", "n"), "rep").groupBy("asked").agg(F.sum("n").alias("n"))
-        load = load.select("asked", F.ceil(F.col("n") / GROUP_SHINGLES).cast("long").alias("portions"), "n")
+        load = load.select("asked", F.ceil(F.col("n") / PORTION_SHINGLES).cast("long").alias("portions"), "n")
         sent = load.agg(F.sum("n"), F.sum("portions")).first()
-        wide = F.lit(slots((sent[0] or 0) + (sent[1] or 0) * GROUP_SHINGLES // 4))
+        wide = F.lit(slots((sent[0] or 0) + (sent[1] or 0) * PORTION_SHINGLES))
         dealt = queries.join(load.select("asked", "portions"), "asked").withColumn("portion", F.pmod(F.xxhash64("rep"), F.col("portions")))
         opened = load.select("asked", F.explode(F.sequence(F.lit(0).cast("long"), F.col("portions") - 1)).alias("portion"))
         slot = F.pmod(F.xxhash64("asked", "portion"), wide).alias("slot")
