@@ -1,17 +1,21 @@
 """Toxicity by compression distance.
 
-Two zstandard dictionaries, one from toxic and one from ordinary text, compress every window of a
-text; the bytes that the toxic dictionary saves over the ordinary one are the evidence.
+Two zstandard dictionaries, one trained on ordinary and one on toxic text, compress every window of
+a text; the bytes that the toxic dictionary saves over the ordinary one are the evidence.
 
 *Training* takes a bounded sample of labelled documents outside the held-out fold, without near
-copies; very long ones are read by windows spread over their length.  A dictionary's content are the short character sequences that many texts of its class
-hold and the other class practically never; one sequence is kept for each family of words, the one
-whose parts are rarest elsewhere.  A second part of the sample calibrates the window differences
-into a probability by logistic regression.
+copies; very long ones are read by windows spread over their length.  Most of a toxic text is
+ordinary, so the trainer gets what sets a class apart: words of toxic text whose beginnings are
+several times as frequent there, and ordinary text without these words.  The trainer chooses the
+content of both dictionaries.  The toxic compressor continues the ordinary dictionary with its own,
+so what ordinary text explains cancels out, and only longer or additional matches save bytes.
 
-*Windows* cover whole texts and overlap a little.  Bytes are written as pairs (byte, mark of the
-byte and the one before), so a match of the compressor's seven bytes needs five equal characters,
-and literals stay raw at a negative level: a saving means a dictionary sequence and nothing else.
+*Calibration*: dictionaries of each two thirds measure the windows of the remaining third, and a
+logistic regression turns how many windows save how many bytes into a probability; the dictionaries
+in use are trained on all of the sample.
+
+*Windows* cover whole texts and overlap by a word.  Matches are at least seven bytes long, the most
+that the compressor can be asked for.
 
 Defined cases: null, empty and blank texts have no window and get the score of no evidence;
 without labels of both classes the score is the prior; repeated rows are scored alike; empty tables
@@ -20,8 +24,9 @@ give empty results.  Labels, language, source and id are no inputs of a score.
 
 from __future__ import annotations
 
-from collections import Counter, defaultdict
-from dataclasses import dataclass
+import re
+from collections import Counter
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
@@ -31,15 +36,26 @@ from pyspark.sql import functions as F
 
 from gistloom.llm.labelled import fold, hash_key, known_labels, sample
 
+WORDS = re.compile(r"\w+")
 FOLDS, HELD = 3, 1
-MAX_TOXIC, MAX_ORDINARY, MAX_CHARS = 1200, 1800, 5_000_000
-WINDOW, OVERLAP = 300, 12
-RUN = bytes(64)  # before every window: it is worth compressing alone, so a single match already shows
-SHORT, LONG = 5, 6
+MAX_TOXIC, MAX_ORDINARY, MAX_CHARS = 1200, 2400, 5_000_000
+WINDOW, OVERLAP = 120, 20
+PARTS = 3  # of the sample, for calibration
+SHORTEST, LONGEST = 5, 9  # beginnings of words, with the space before them
+TIMES, LEAST = 6.0, 8  # a toxic beginning is so many times as frequent, and in so many documents
+ORDINARY_BYTES, TOXIC_BYTES = 400_000, 16_000
+WINDOW_LOG, HASH_LOG = 21, 20
+SAVED = (1, 2, 3, 4, 6)  # bytes that a window saves
 
 
 def _flat(text: str) -> str:
-    return " " + " ".join(text.lower().split()) + " "
+    """Lower-case words with one space around each; signs between them say nothing."""
+    return " " + " ".join(WORDS.findall(text.lower())) + " "
+
+
+def spelled(flat: str) -> bytes:
+    """Words with capital copies of their outer letters for the spaces: a match that ends a word leaves the next one whole."""
+    return "".join([f"{w[0].upper()}{w[0].upper()}{w}{w[-1].upper()}" for w in flat.split()]).encode()
 
 
 def _distinct(texts: list[str]) -> list[str]:
@@ -55,120 +71,106 @@ def _distinct(texts: list[str]) -> list[str]:
     return out
 
 
-def _pieces_of(word: str) -> set[str]:
-    w = f" {word} "
-    return {w[i : i + n] for n in range(SHORT, LONG + 1) for i in range(len(w) - n + 1)}
+class Contrast:
+    """Beginnings of words, and whole words, that are far more frequent in one class of documents."""
 
+    def __init__(self, own: list[str], other: list[str]):
+        self.parts: dict[str, list[str]] = {}
+        mine, theirs = self._documents(own), self._documents(other)
+        scale = TIMES * len(own) / max(1, len(other))
+        least = min(LEAST, max(2, len(own) // 8))
+        self.typical = {g for g, n in mine.items() if n >= least and n >= scale * (theirs[g] + 0.5)}
 
-def choose_content(own: list[str], other: list[str], limit: int = 200, share: float = 0.03, foreign: float = 0.0007) -> list[str]:
-    """Sequences typical of ``own`` and foreign to ``other``, most frequent families first."""
-    least = max(6, share * len(own))
-    vocab: dict[str, set[str]] = {}  # of each word only the sequences that are still in question
+    def _parts(self, word: str) -> list[str]:
+        if word not in self.parts:
+            w = f" {word} "
+            self.parts[word] = [w[:k] for k in range(SHORTEST, min(LONGEST, len(w) - 1) + 1)] + [w]
+        return self.parts[word]
 
-    def document_counts(texts, among=None):
-        held = Counter()
+    def _documents(self, texts: list[str]) -> Counter:
+        held: Counter = Counter()
         for t in texts:
-            found: set = set()
-            for w in set(t.split()):
-                if among is None:
-                    found |= _pieces_of(w)
-                else:
-                    if w not in vocab:
-                        vocab[w] = _pieces_of(w) & among
-                    found |= vocab[w]
-            held.update(found)
+            held.update({g for w in set(t.split()) for g in self._parts(w)})
         return held
 
-    mine = document_counts(own)
-    # absence counts only where chance would have put a sequence into several of the other texts
-    near = {g for g, n in mine.items() if n >= least and n * len(other) >= 6 * len(own)}
-    mine = Counter({g: mine[g] for g in near})
-    theirs = document_counts(other, near)
-    rare = {g for g in near if theirs[g] <= foreign * len(other)}
-    # a match needs five characters only: every five of a sequence must be foreign
-    good = {g for g in rare if all(g[i : i + SHORT] in rare for i in range(len(g) - SHORT + 1))}
-    fours = Counter()
-    for t in other:
-        s = f" {t.strip()} "
-        fours.update({s[i : i + 4] for i in range(len(s) - 3)})
-    quiet = lambda g: max(fours[g[i : i + 4]] for i in range(len(g) - 3))
-    times = Counter()
-    for t in own:
-        times.update(set(t.split()))
-    words_of = defaultdict(list)
-    for w in times:
-        vocab[w] = _pieces_of(w) & good
-        for g in vocab[w]:
-            words_of[g].append(w)
-    used: set = set()
-    out = []
-    for g in sorted(good, key=lambda g: (-mine[g], len(g), g)):
-        fresh = [w for w in words_of[g] if w not in used]
-        gain = sum(times[w] for w in fresh)
-        if gain < least:
-            continue
-        used.update(fresh)
-        family = Counter()
-        for w in fresh:
-            for h in vocab[w]:
-                family[h] += times[w]
-        out.append(min((h for h in family if family[h] >= 0.9 * gain), key=lambda h: (quiet(h), len(h), h)))
-        if len(out) == limit:
-            break
-    return out
+    def split(self, text: str) -> tuple[str, str]:
+        """The text's typical words, and the text without them."""
+        words = text.split()
+        marks = [any(g in self.typical for g in self._parts(w)) for w in words]
+        return tuple(_flat(" ".join(w for w, m in zip(words, marks, strict=True) if m == side)) for side in (True, False))
 
 
-def paired(data: np.ndarray) -> np.ndarray:
-    before = np.empty(len(data), np.uint32)
-    before[:1] = 0
-    before[1:] = data[:-1]
-    out = np.empty(2 * len(data), np.uint8)
-    out[0::2] = data
-    out[1::2] = ((before * np.uint32(31) + data) * np.uint32(40503) >> np.uint32(4)) & np.uint32(255)
-    return out
+def _windows(raw: bytes) -> list[bytes]:
+    return [raw[k : k + WINDOW + OVERLAP] for k in range(0, max(1, len(raw) - OVERLAP), WINDOW)]
+
+
+REPEATS = b"\1\0\0\0\4\0\0\0\x08\0\0\0"  # fixed value: what ends the header of a trained dictionary
 
 
-def _compressor(content: list[str]) -> zs.ZstdCompressor:
-    shape = {"min_match": 7, "window_log": 11, "hash_log": 10, "chain_log": 10, "write_content_size": False, "write_checksum": False, "write_dict_id": False}
-    params = zs.ZstdCompressionParameters.from_level(-1, **shape)
-    body = paired(np.frombuffer("\0".join([*reversed(content), "\1\2\3\4\5\6\7"]).encode(), np.uint8)).tobytes()
-    book = zs.ZstdCompressionDict(body, dict_type=zs.DICT_TYPE_RAWCONTENT)
+def _trained(samples: list[bytes], size: int) -> bytes:
+    """Content that the trainer chooses; samples too few for it are the content themselves."""
+    whole = b"".join(samples)
+    if len(whole) < 2 * size and len(samples) < 40:
+        return whole[-size:]
+    try:
+        made = zs.train_dictionary(min(size, max(1024, len(whole) // 2)), samples, k=64, d=6, steps=1).as_bytes()
+    except zs.ZstdError:  # too little text
+        return whole[-size:]
+    return made[made.index(REPEATS) + len(REPEATS) :]
+
+
+def train_dictionaries(toxic: list[str], ordinary: list[str]) -> tuple[bytes, bytes]:
+    """(ordinary, toxic) content of the two dictionaries."""
+    contrast = Contrast(toxic, ordinary)
+    own = [s for s in (spelled(contrast.split(t)[0]) for t in toxic) if len(s) > 8]
+    plain = [w for t in ordinary for w in _windows(spelled(contrast.split(t)[1])) if len(w) > 8]
+    return _trained(plain, ORDINARY_BYTES), _trained(own, TOXIC_BYTES)
+
+
+def _compressor(content: bytes) -> zs.ZstdCompressor:
+    shape = {"strategy": zs.STRATEGY_FAST, "min_match": 7, "target_length": 1, "window_log": WINDOW_LOG, "hash_log": HASH_LOG, "chain_log": 10}
+    params = zs.ZstdCompressionParameters.from_level(-1, write_content_size=False, write_checksum=False, write_dict_id=False, **shape)
+    book = zs.ZstdCompressionDict(content + b"\0" * 8, dict_type=zs.DICT_TYPE_RAWCONTENT)
     book.precompute_compress(compression_params=params)
     return zs.ZstdCompressor(compression_params=params, dict_data=book)
 
 
 @dataclass
 class Model:
-    toxic: list[str]
-    ordinary: list[str]
-    weights: list[float]  # of the evidence below, with a constant first
+    ordinary: bytes
+    toxic: bytes
+    weights: list[float]  # of the features below, with a constant first
+    _books: list = field(default_factory=list, repr=False, compare=False)
+
+    def __getstate__(self):
+        return {"ordinary": self.ordinary, "toxic": self.toxic, "weights": self.weights, "_books": []}
+
+    def savings(self, text: str) -> np.ndarray:
+        """Bytes that each window saves with the toxic dictionary."""
+        if not self._books:
+            self._books = [_compressor(self.ordinary), _compressor(self.ordinary + self.toxic)]
+        a, b = self._books
+        raw = spelled(_flat(text))
+        if not raw:
+            return np.zeros(0, np.int64)
+        return np.array([len(a.compress(w)) - len(b.compress(w)) for w in _windows(raw)])
 
     def evidence(self, texts: list[str]) -> np.ndarray:
-        """(largest, total of positive) window savings in bytes, and windows with one."""
-        a, b = _compressor(self.ordinary), _compressor(self.toxic)
-        out = np.zeros((len(texts), 3))
+        out = np.zeros((len(texts), len(SAVED) + 5))
         for i, t in enumerate(texts):
-            raw = np.frombuffer(_flat(t).encode(), np.uint8)
-            if len(raw) <= 2:
-                continue
-            body = paired(raw).tobytes()
-            step = 2 * WINDOW
-            saved = [len(a.compress(w)) - len(b.compress(w)) for w in (RUN + body[k : k + step + 2 * OVERLAP] for k in range(0, len(body), step))]
-            plus = [s for s in saved if s > 0]
-            if plus:
-                out[i] = max(plus), sum(plus), len(plus)
+            s = self.savings(t)
+            if len(s):
+                plus = np.maximum(s, 0).sum()
+                counts = [np.log1p((s >= k).sum()) for k in SAVED]
+                out[i] = [*counts, min(s.max(), 24) / 4, plus / len(s), np.log1p(plus), np.log(len(s)), np.log1p(plus) / np.sqrt(len(s))]
         return out
 
     def proba(self, texts: list[str]) -> np.ndarray:
         w = np.array(self.weights)
-        return 1 / (1 + np.exp(-(w[0] + _scaled(self.evidence(texts)) @ w[1:])))
+        return 1 / (1 + np.exp(-(w[0] + self.evidence(texts) @ w[1:])))
 
 
-def _scaled(e: np.ndarray) -> np.ndarray:
-    return np.stack([e[:, 0] > 0, e[:, 0] >= 3, np.minimum(e[:, 0], 12) / 4, np.log1p(e[:, 1]), np.log1p(e[:, 2])], 1).astype(float)
-
-
-def _logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.05, steps: int = 60) -> list[float]:
+def _logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.3, steps: int = 60) -> list[float]:
     x = np.concatenate([np.ones((len(x), 1)), x], 1)
     w = np.zeros(x.shape[1])
     for _ in range(steps):
@@ -178,6 +180,19 @@ def _logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.05, steps: int = 60
     return [float(v) for v in w]
 
 
+def fit(toxic: list[str], ordinary: list[str]) -> Model:
+    """Dictionaries and calibration from flat texts of both classes."""
+    x, y = [], []
+    parts = min(PARTS, len(toxic), len(ordinary))
+    for k in range(parts):
+        rest = [[t for i, t in enumerate(texts) if parts == 1 or i % parts != k] for texts in (toxic, ordinary)]
+        model = Model(*train_dictionaries(*rest), [])
+        for value, texts in ((1.0, toxic), (0.0, ordinary)):
+            x.append(model.evidence(texts[k::parts]))
+            y += [value] * len(texts[k::parts])
+    return Model(*train_dictionaries(toxic, ordinary), _logistic(np.concatenate(x), np.array(y)))
+
+
 def train(docs: DataFrame, labels: DataFrame, max_toxic: int = MAX_TOXIC, max_ordinary: int = MAX_ORDINARY, max_chars: int = MAX_CHARS) -> Model:
     keep = fold(F.col("doc_id"), FOLDS) != HELD
     rows = []
@@ -189,13 +204,8 @@ def train(docs: DataFrame, labels: DataFrame, max_toxic: int = MAX_TOXIC, max_or
     toxic, ordinary = (_distinct(r) for r in rows)
     if not toxic or not ordinary:
         share = min(max((len(toxic) + 0.5) / (len(toxic) + len(ordinary) + 1), 0.01), 0.99)
-        return Model([], [], [float(np.log(share / (1 - share)))] + [0.0] * 5)
-    fit_t, cal_t = toxic[: 2 * len(toxic) // 3 or 1], toxic[2 * len(toxic) // 3 :] or toxic
-    fit_o, cal_o = ordinary[: 2 * len(ordinary) // 3 or 1], ordinary[2 * len(ordinary) // 3 :] or ordinary
-    model = Model(choose_content(fit_t, fit_o), choose_content(fit_o, fit_t, limit=40), [0.0] * 6)
-    x = _scaled(model.evidence(cal_t + cal_o))
-    model.weights = _logistic(x, np.array([1.0] * len(cal_t) + [0.0] * len(cal_o)))
-    return model
+        return Model(b"", b"", [float(np.log(share / (1 - share)))] + [0.0] * (len(SAVED) + 5))
+    return fit(toxic, ordinary)
 
 
 def score(docs: DataFrame, model: Model, threshold: float = 0.7) -> DataFrame:

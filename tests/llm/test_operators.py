@@ -452,7 +452,24 @@ def test_toxicity_model(spark, nothing):
     bad = {r.doc_id for r in rows if r.predicted}
     assert {r.doc_id for r in toxicity.drop_toxic(docs, model).collect()} == {r.doc_id for r in rows} - bad
     assert toxicity.score(nothing, model).count() == 0
-    assert toxicity.train(docs, labels.where("false")).toxic == []
+    assert len(toxicity.train(docs, labels.where("false")).toxic) == 0
+    # window lengths, by the compressor itself, and the probability by hand
+    texts = [r.text for r in docs.orderBy("doc_id").limit(30).collect()] + ["long " * 3000, "", "...", "É Vexwort!"]
+    for t in texts:
+        words = re.findall(r"\w+", t.lower())
+        raw = "".join(2 * w[0].upper() + w + w[-1].upper() for w in words).encode()
+        step, more = toxicity.WINDOW, toxicity.OVERLAP
+        cut = [raw[k : k + step + more] for k in range(0, max(1, len(raw) - more), step)] if raw else []
+        small, large = (toxicity._compressor(c) for c in (model.ordinary, model.ordinary + model.toxic))
+        assert list(model.savings(t)) == [len(small.compress(c)) - len(large.compress(c)) for c in cut]
+        assert sum(len(c) for c in cut) >= len(raw)
+    odds = model.weights[0] + model.evidence(texts) @ np.array(model.weights[1:])
+    assert np.allclose(model.proba(texts), 1 / (1 + np.exp(-odds))) and model.proba(["", "..."])[0] == model.proba(["..."])[0]
+    # repeated rows, null ids and clashing columns
+    odd = spark.createDataFrame([(7, "the quzzle"), (7, "the quzzle"), (None, None)], "doc_id long, text string")
+    got = toxicity.score(odd.withColumn("score", F.lit("x")), model).collect()
+    assert len(got) == 3 and sorted(r.held_out for r in got if r.doc_id is None) == [False]
+    assert len({r.score for r in got if r.doc_id == 7}) == 1
 
 
 def test_long_labelled_documents_drop_no_others(spark):
