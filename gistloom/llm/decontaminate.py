@@ -1,7 +1,7 @@
 """Benchmark decontamination by n-gram windows.
 
-The benchmark's normalised windows form a hash set.  It is broadcast while its counted size stays
-under ``broadcast_windows``; beyond that the same join shuffles.  One pass over the training texts
+The benchmark's normalised windows form a hash set.  It is broadcast while its counted rows and bytes
+stay under ``broadcast_windows`` and ``BROADCAST_BYTES``; beyond that the same join shuffles.  One pass over the training texts
 hashes every token window and probes the set; documents with a probe are read again and their
 windows compared word by word, so hash collisions cannot decide anything.
 
@@ -16,10 +16,11 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from gistloom.llm.quality_rules import let
-from gistloom.llm.shared import ascii_lower, materialize
+from gistloom.llm.shared import ascii_lower, aside, materialize
 
 N = 13
 BROADCAST_WINDOWS = 1_000_000
+BROADCAST_BYTES = 100_000_000  # of the windows' words
 SEPARATORS = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 
 
@@ -64,7 +65,8 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, n: int = N, broadc
     """doc_id, n_words, n_hit, n_items, items_sha256, contaminated and spans of every document row."""
     windows = materialize(benchmark_windows(benchmark, n), "windows")
     lengths = sorted(r[0] for r in windows.groupBy("length").count().select("length").collect())  # n values at most
-    bounded = windows.count() <= broadcast_windows
+    size = windows.agg(F.count("*").alias("rows"), F.coalesce(F.sum(F.octet_length("gram")), F.lit(0)).alias("bytes")).first()
+    bounded = size.rows <= broadcast_windows and size.bytes <= BROADCAST_BYTES
     small = F.broadcast if bounded else (lambda df: df)
     probe = small(windows.select(F.col("hash").alias("_gl_h"), F.col("length").alias("_gl_len")).distinct())
 
@@ -112,5 +114,6 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, n: int = N, broadc
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
     """Documents without the contaminated ones; all others stay as they are."""
+    docs, back = aside(docs, "doc_id", "text")
     bad = find_contamination(docs, benchmark, **options).where("contaminated").select(F.col("doc_id").alias("_gl_d"), F.col("_gl_t").alias("_gl_m")).distinct()
-    return docs.join(bad, F.col("doc_id").eqNullSafe(F.col("_gl_d")) & (F.xxhash64("doc_id", "text") == F.col("_gl_m")), "left_anti")
+    return back(docs.join(bad, F.col("doc_id").eqNullSafe(F.col("_gl_d")) & (F.xxhash64("doc_id", "text") == F.col("_gl_m")), "left_anti"))

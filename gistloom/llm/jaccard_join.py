@@ -38,7 +38,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from gistloom.llm import kernels as K
-from gistloom.llm.shared import discard, materialize, release
+from gistloom.llm.shared import aside, discard, materialize, release
 
 GROUP_ROWS = 80
 GROUP_SHINGLES = 200_000
@@ -363,7 +363,7 @@ def similarity_components(docs: DataFrame, width: int = 5, percent: int = 80, ro
 
 def keep_one(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     """One document of each component, that of the smallest doc_id; rows without doc_id or words stay."""
+    docs, back = aside(docs, "doc_id", "text")
     found = similarity_components(docs, width, percent)
     extra = found.where("n_shingles > 0 and doc_id <> component_id").select(F.col("doc_id").alias("_gl_gone")).distinct()
-    rest = docs.join(extra, F.col("doc_id") == F.col("_gl_gone"), "left_anti")
-    return rest
+    return back(docs.join(extra, F.col("doc_id") == F.col("_gl_gone"), "left_anti"))

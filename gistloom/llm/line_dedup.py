@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from gistloom.llm.quality_rules import let
-from gistloom.llm.shared import count_words, materialize, text_of
+from gistloom.llm.shared import aside, count_words, materialize, text_of
 
 MIN_WORDS = 10
 KEY = ["doc_id", "_gl_t"]
@@ -126,8 +126,9 @@ def with_removals(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
 
 def remove_repeats(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     """Documents with later copies deleted; n_chars follows the text where the table has it."""
-    done = with_removals(docs, min_words).where(F.col("_gl_removed").isNull() | (count_words(F.col("_gl_text")) > 0))
+    plain, back = aside(docs, "doc_id", "text", "n_chars")
+    done = with_removals(plain, min_words).where(F.col("_gl_removed").isNull() | (count_words(F.col("_gl_text")) > 0))
     new = {"text": F.col("_gl_text")}
     if "n_chars" in docs.columns:
         new["n_chars"] = F.when(F.col("_gl_removed").isNull(), F.col("n_chars")).otherwise(F.char_length("_gl_text").cast("long"))
-    return done.withColumns(new).select(*docs.columns)
+    return back(done.withColumns(new).select(*plain.columns))

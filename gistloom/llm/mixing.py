@@ -17,7 +17,7 @@ import math
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from gistloom.llm.shared import count_words, materialize
+from gistloom.llm.shared import aside, count_words, materialize
 
 WEIGHTS = (5, 2, 1)  # dealt to the sources in code point order, null last
 REPEATS = 3
@@ -67,14 +67,12 @@ def schedule_slope(source_no: Column) -> Column:
 
 
 def drawn(docs: DataFrame, weights=WEIGHTS, repeats: int = REPEATS, seed: str = "mix") -> DataFrame:
-    """doc_id, size, source_size, target, taken and the positions of all copies, first to last; in no order."""
+    """doc_id, size, source_size, target, taken, the positions of all copies, first to last, and _gl_mark of the row; in no order."""
     spark = docs.sparkSession
+    mark = row_mark(docs).alias("_gl_mark")
+    name = F.coalesce(F.col("doc_id").cast("string"), F.concat(F.lit("-"), mark.cast("string")))  # rows without doc_id spread, too
     sizes = materialize(
-        docs.select("doc_id", "source", count_words(F.col("text")).alias("size")).withColumn(
-            "_gl_key", F.md5(F.concat_ws(":", F.lit(seed), F.col("doc_id").cast("string")))
-        ),
-        "mix-sizes",
-    )
+        docs.select("doc_id", "source", count_words(F.col("text")).alias("size"), F.md5(F.concat_ws(":", F.lit(seed), name)).alias("_gl_key"), mark), "mix-sizes")
     rows = sizes.count()
     bits = min(30, max(2, 2 * math.ceil(math.log2(max(2, rows / BUCKET_ROWS)) / 2)))
     fine = F.shiftright(F.conv(F.substring("_gl_key", 1, 8), 16, 10).cast("long"), 32 - bits)
@@ -94,7 +92,7 @@ def drawn(docs: DataFrame, weights=WEIGHTS, repeats: int = REPEATS, seed: str =
     starts = cells.join(coarse, same(F.col("source"), F.col("_gl_s1")) & (F.col("_gl_coarse") == F.col("_gl_c1"))).select(
         F.col("source").alias("_gl_s2"), F.col("_gl_fine").alias("_gl_f2"), (F.col("_gl_b1") + F.col("_gl_b2")).alias("_gl_start")
     )
-    inner = Window.partitionBy("source", "_gl_fine").orderBy("_gl_key", "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
+    inner = Window.partitionBy("source", "_gl_fine").orderBy("_gl_key", "doc_id", "size", "_gl_mark").rowsBetween(Window.unboundedPreceding, -1)
     placed = (
         sizes.withColumn("_gl_in", F.coalesce(F.sum("size").over(inner), zero))
         .join(starts, same(F.col("source"), F.col("_gl_s2")) & (F.col("_gl_fine") == F.col("_gl_f2")))
@@ -114,7 +112,12 @@ def drawn(docs: DataFrame, weights=WEIGHTS, repeats: int = REPEATS, seed: str =
     # copy j begins j whole sources after the first one; the last may be taken in part
     begins = F.transform(F.sequence(zero, F.ceil(F.col("taken") / F.col("size")) - 1), lambda j: (F.col("_gl_before") + j * F.col("source_size")) / F.col("_gl_goal"))
     positions = F.transform(begins, lambda share: invert_schedule(share, schedule_slope(F.col("source_no"))))
-    return joined.withColumn("positions", F.when(F.col("taken") > 0, positions)).select("doc_id", "size", "source_size", "target", "taken", "positions")
+    return joined.withColumn("positions", F.when(F.col("taken") > 0, positions)).select("doc_id", "size", "source_size", "target", "taken", "positions", "_gl_mark")
+
+
+def row_mark(docs: DataFrame) -> Column:
+    """A hash of all columns that have an order or an equality: rows with one doc_id and mark are the same."""
+    return F.xxhash64(*[F.col(f"`{f.name}`") for f in docs.schema if not any(k in f.dataType.simpleString() for k in ("map<", "variant"))])
 
 
 def mix(docs: DataFrame, **options) -> DataFrame:
@@ -133,16 +136,17 @@ def mixed_documents(docs: DataFrame, **options) -> DataFrame:
 
     mix_copy of mix_copies counts the copies of a document, mix_taken the words of this copy and
     mix_position its place.  A copy that is drawn in part keeps its whole text; ``mix_taken`` says
-    how many words of it count.  Repeated rows with one doc_id are one document here.
+    how many words of it count.  Every row is drawn for itself; equal rows give equal copies.
     """
-    plan = drawn(docs.dropDuplicates(["doc_id"]), **options).where(F.col("taken") > 0)
-    plan = plan.select("doc_id", "size", "taken", F.size("positions").cast("long").alias("mix_copies"), F.posexplode("positions").alias("_gl_copy", "mix_position"))
+    docs, back = aside(docs, "doc_id", "text", "source")
+    plan = drawn(docs, **options).where(F.col("taken") > 0)
+    plan = plan.select("doc_id", "_gl_mark", "size", "taken", F.size("positions").cast("long").alias("mix_copies"), F.posexplode("positions").alias("_gl_copy", "mix_position"))
     plan = plan.select(
-        F.col("doc_id").alias("_gl_id"), F.least("size", F.col("taken") - F.col("_gl_copy") * F.col("size")).alias("mix_taken"),
+        F.col("doc_id").alias("_gl_id"), F.col("_gl_mark").alias("_gl_row"), F.least("size", F.col("taken") - F.col("_gl_copy") * F.col("size")).alias("mix_taken"),
         "mix_copies", (F.col("_gl_copy") + 1).alias("mix_copy"), "mix_position",
     )
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return (
-        docs.dropDuplicates(["doc_id"]).join(plan, F.col("doc_id").eqNullSafe(F.col("_gl_id"))).drop("_gl_id")
-        .repartitionByRange(parts, "mix_position", "doc_id", "mix_copy").sortWithinPartitions("mix_position", "doc_id", "mix_copy")
-    )
+    # equal rows meet once; each of their places in the plan brings one of them back
+    rows = docs.withColumn("_gl_mark", row_mark(docs)).dropDuplicates(["doc_id", "_gl_mark"])
+    placed = rows.join(plan, F.col("doc_id").eqNullSafe(F.col("_gl_id")) & (F.col("_gl_mark") == F.col("_gl_row"))).drop("_gl_id", "_gl_row", "_gl_mark")
+    return back(placed).repartitionByRange(parts, "mix_position", "doc_id", "mix_copy").sortWithinPartitions("mix_position", "doc_id", "mix_copy")

@@ -1,14 +1,14 @@
 """Helpers that the training-data operators share.
 
 Missing texts count as empty everywhere.  Columns that an operator adds while it works carry the
-prefix ``_gl_`` so that extra columns of the caller cannot clash with them.
+prefix ``_gl_``; operators that return the caller's columns work with ``aside``, so that none clashes.
 """
 
 from __future__ import annotations
 
 import gc
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from contextlib import contextmanager
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -113,8 +113,29 @@ def split_words(column: Column) -> Column:
 
 
 def count_words(column: Column) -> Column:
-    trimmed = F.btrim(text_of(column), F.lit(SPACES))
-    return F.when(trimmed == "", F.lit(0)).otherwise(F.size(F.split(trimmed, SPACE_CLASS + "+"))).cast("long")
+    """Number of words; texts with single spaces and line ends between them are counted without a split."""
+    trimmed = F.replace(F.btrim(text_of(column), F.lit(SPACES)), F.lit("\n"), F.lit(" "))
+    plain = ~F.contains(trimmed, F.lit("  "))
+    for sign in "\t\x0b\f\r":
+        plain = plain & ~F.contains(trimmed, F.lit(sign))
+    gaps = F.char_length(trimmed) - F.char_length(F.replace(trimmed, F.lit(" "), F.lit("")))
+    counted = F.when(plain, gaps + 1).otherwise(F.size(F.split(trimmed, SPACE_CLASS + "+")))
+    return F.when(trimmed == "", F.lit(0)).otherwise(counted).cast("long")
+
+
+def aside(docs: DataFrame, *used: str) -> tuple[DataFrame, Callable[[DataFrame], DataFrame]]:
+    """The table with all columns but ``used`` under names that no operator uses, and the way back.
+
+    Columns that the operator adds stand for columns of the same name that the caller had.
+    """
+    names = {c: c if c in used else f"_own{i}" for i, c in enumerate(docs.columns)}
+
+    def back(df: DataFrame) -> DataFrame:
+        kept = [F.col(names[c]).alias(c) for c in docs.columns if names[c] == c or c not in df.columns]
+        added = [F.col(c) for c in df.columns if c not in names.values()]
+        return df.select(*kept, *added)
+
+    return docs.select(*[F.col(f"`{c}`").alias(n) for c, n in names.items()]), back
 
 
 def ascii_lower(column: Column) -> Column:

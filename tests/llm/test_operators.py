@@ -281,6 +281,32 @@ def test_mix_places_every_copy(spark):
             assert abs(got - ((1 - slope[source]) * t + slope[source] * t * t)) < 0.05
 
 
+def test_clashing_names_null_ids_and_repeated_rows(spark):
+    """Operators that return the caller's columns, on tables that use the operators' own names."""
+    rng = random.Random(3)
+    run = "\n".join(text(rng, 8) for _ in range(3))
+    rows = [(i, text(rng, 30) + "\n" + run, "a" if i % 2 else None, 0, 7, 8, "x", 9.5, "y", "z") for i in range(6)]
+    rows += [rows[0], (None, text(rng, 20), "a", 0, 7, 8, "x", 9.5, "y", "z"), (None, text(rng, 20), "b", 0, 7, 8, "x", 9.5, "y", "z"), (None, None, "b", 0, 7, 8, "x", 9.5, "y", "z")]
+    odd = spark.createDataFrame(rows, "doc_id long, text string, source string, n_chars long, _gl_d long, _gl_id long, _gl_removed string, mix_position double, _own1 string, `a.b` string")
+    items = spark.createDataFrame([(1, rows[2][1].removesuffix("\n" + run))], "item_id long, text string")
+    cleaned = decontaminate.drop_contaminated(odd, items)
+    assert cleaned.columns == odd.columns and len(cleaned.collect()) == 9
+    deduped = line_dedup.remove_repeats(odd)
+    assert deduped.columns == odd.columns
+    got = deduped.collect()
+    assert len(got) == 10 and all(tuple(r)[4:] == (7, 8, "x", 9.5, "y", "z") for r in got)
+    assert sum(run in (r.text or "") for r in got) == 2  # the first document's, whose row is there twice
+    kept = jaccard_join.keep_one(odd)
+    assert kept.columns == odd.columns and kept.count() == 10
+    mixed = mixing.mixed_documents(odd)
+    assert [c for c in mixed.columns if c in odd.columns] == [c for c in odd.columns if c != "mix_position"] + ["mix_position"]
+    back = mixed.collect()
+    words = {r[1]: len(WORD.findall(r[1] or "")) for r in rows}
+    assert all(r["a.b"] == "z" and 0 <= r.mix_position <= 1 and r.text in words for r in back)
+    assert sum(r.mix_taken for r in back) in range(sum(len(WORD.findall(r[1] or "")) for r in rows) - 3, sum(len(WORD.findall(r[1] or "")) for r in rows) + 4)
+    assert len({r.text for r in back if r.doc_id is None}) == 2
+
+
 def test_targets_stop_at_three_times_the_source(spark):
     rows = [("a", 10), ("b", 1000), ("c", 1000), (None, 0)]
     got = {r.source: r.target for r in mixing.source_targets(spark.createDataFrame(rows, "source string, source_size long")).collect()}
