@@ -108,7 +108,9 @@ def later_copies(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     last = F.col("first") + F.col("n") - F.pow(F.lit(2), F.col("k")).cast("int")
     runs = named(named(runs, F.col("first"), "a"), last, "b")
     runs = materialize(runs.select(*KEY, "first", "n", "a", "b"), "runs")
+    # pre-aggregated before its shuffle and written, so that the join may split the runs of one interval over tasks
     intervals = runs.groupBy("n", "a", "b").agg(F.min(F.struct(*KEY, "first")).alias("origin"), F.count("*").alias("size")).where("size > 1").drop("size")
+    intervals = materialize(intervals, "intervals")
     later = runs.join(intervals, ["n", "a", "b"]).where(~F.struct(*KEY, "first").eqNullSafe(F.col("origin")))
     gone = later.select(*KEY, F.explode(F.sequence(F.col("first"), F.col("first") + F.col("n") - 1)).alias("ord")).distinct()
     gone = gone.select(F.col("doc_id").alias("_gl_d"), F.col("_gl_t").alias("_gl_m"), F.col("ord").alias("_gl_o"))
