@@ -20,7 +20,10 @@ from pyspark.sql import functions as F
 HEADS, LAYERS, GAIN, SINK, UNIT = 4, 3, 4, 16 << 20, 10**9
 TABLE = [round(math.exp((32 - 2 * i) / math.sqrt(32)) * 2**20) for i in range(33)]
 ALL_LAYERS, ALL_HEADS = (0, 1, 2), (0, 1, 2, 3)
-BROADCAST_QUERIES = 200_000
+BROADCAST_QUERIES, BROADCAST_BYTES = 200_000, 64 << 20
+PACK = 64  # questions of one document that a task handles together
+HELD_CHUNKS = 512  # encoded chunks that a task remembers
+FLUSH = 2_000_000  # scores of a batch
 KEY_TYPE = "doc_id long, chunk_hash string, keys array<long>"
 
 
@@ -62,15 +65,69 @@ class AttentionProvider:
 
 
 def pair(chunks: DataFrame, queries: DataFrame) -> DataFrame:
-    """Chunks with the questions of their document: broadcast under a counted bound, else shuffled."""
+    """Chunks with the questions of their document: broadcast under a counted bound of rows and bytes, else shuffled."""
     asked = queries.select("doc_id", "query_id", F.col("tokens").alias("question"))
-    small = F.broadcast(asked) if asked.count() <= BROADCAST_QUERIES else asked
-    return chunks.join(small, "doc_id")
+    return chunks.join(_bounded(asked, F.array_join("question", " ")), "doc_id")
+
+
+def _bounded(asked: DataFrame, text) -> DataFrame:
+    size = asked.agg(F.count("*").alias("rows"), F.coalesce(F.sum(F.octet_length(text)), F.lit(0)).alias("bytes")).first()
+    return F.broadcast(asked) if size.rows <= BROADCAST_QUERIES and size.bytes <= BROADCAST_BYTES else asked
+
+
+def packs(queries: DataFrame, most: int = PACK) -> DataFrame:
+    """doc_id, questions: the questions of a document in arrays of about ``most``, so that no document's meet in one row."""
+    counts = queries.groupBy("doc_id").agg(F.ceil(F.count("*") / most).alias("packs"))
+    dealt = queries.select("doc_id", "query_id", "tokens").join(counts, "doc_id")
+    rows = dealt.groupBy("doc_id", F.pmod(F.xxhash64("query_id"), F.col("packs")).alias("pack"))
+    return rows.agg(F.array_sort(F.collect_list(F.struct("query_id", "tokens"))).alias("questions")).drop("pack")
+
+
+def _lists(column) -> tuple[np.ndarray, np.ndarray]:
+    """Offsets and flat values of an Arrow list column."""
+    column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
+    flat = column.flatten()
+    ends = np.asarray(column.offsets)
+    return ends - ends[0], flat
+
+
+class _Pack:
+    """Keys of several questions one after the other, with what each adds to its own denominators."""
+
+    def __init__(self, ids: list[str], questions: list[list[str]]):
+        kept = [(i, q) for i, q in zip(ids, questions, strict=True)]
+        self.ids = [i for i, _ in kept]
+        sizes = [len(q) for _, q in kept]
+        self.filled = np.flatnonzero(sizes)
+        self.starts = np.concatenate([[0], np.cumsum(sizes)]).astype(int)[:-1][self.filled]
+        keys = [keys_of(q) for _, q in kept if q]
+        self.keys = np.concatenate(keys, 2) if keys else np.zeros((LAYERS, HEADS, 0), np.uint32)
+        table = np.array(TABLE, np.int64)
+        own = [np.tril(table[np.bitwise_count(k[:, :, :, None] ^ k[:, :, None, :])]).sum(3) for k in keys]
+        self.own = np.concatenate(own, 2) if own else np.zeros((LAYERS, HEADS, 0), np.int64)
+
+    def scores(self, ctx: np.ndarray, structural: np.ndarray, layers, heads) -> np.ndarray:
+        """(question, context token): weights summed over question tokens, layers and heads.
+
+        A row has 66 different numerators at most, so it is divided 66 times and the rest looked up.
+        """
+        out = np.zeros((len(self.ids), ctx.shape[2]), np.int64)
+        if not len(self.filled):
+            return out
+        numerators = np.concatenate([np.array(TABLE, np.int64), np.array(TABLE, np.int64) * GAIN])
+        shift = np.where(structural, 33, 0).astype(np.intp)
+        for layer in layers:
+            for head in heads:
+                at = np.bitwise_count(self.keys[layer, head][:, None] ^ ctx[layer, head][None, :]) + shift
+                total = numerators[at].sum(1) + self.own[layer, head] + SINK
+                quotients = numerators * UNIT // total[:, None]
+                out[self.filled] += np.add.reduceat(np.take_along_axis(quotients, at, 1), self.starts, 0)
+        return out
 
 
 class PopcountProvider(AttentionProvider):
     def encode(self, chunks: DataFrame) -> DataFrame:
-        """Each distinct chunk of a document once: the key cache, scoped to the document."""
+        """Each distinct chunk of a document once: the key cache, scoped to the document, as a table."""
 
         def run(batches):
             for b in batches:
@@ -81,29 +138,58 @@ class PopcountProvider(AttentionProvider):
         return once.mapInArrow(run, KEY_TYPE)
 
     def attend(self, chunks, queries, layers=ALL_LAYERS, heads=ALL_HEADS, reuse=True):
-        slim = chunks.select("doc_id", "chunk_no", "n_chunk", "chunk_hash", "structural", "tokens")
-        if reuse:
-            slim = slim.drop("tokens").join(self.encode(chunks), ["doc_id", "chunk_hash"])
-        else:
-            slim = slim.withColumnRenamed("tokens", "keys")
+        """Chunks are encoded in the task that attends, once for all questions of a pack.
+
+        Keys never cross a shuffle: equal chunks of a document come out of one row, one after the
+        other, and the task remembers them by document and hash.  ``reuse=False`` encodes a chunk
+        anew for every question.
+        """
+        names = ["doc_id", "query_id", "chunk_no", "n_chunk"]
 
         def run(batches):
-            for b in batches:
-                out = []
-                known: dict = {}
-                for key, flags, question in zip(b.column("keys"), b.column("structural"), b.column("question"), strict=True):
-                    q = tuple(question.as_py())
-                    if q not in known:
-                        known[q] = keys_of(list(q))
-                    ctx = np.array(key.as_py(), np.uint32).reshape(LAYERS, HEADS, -1) if reuse else keys_of(key.as_py())
-                    s = np.zeros(ctx.shape[2], np.int64)
-                    for _, _, w, _, _ in weights(ctx, np.array(flags.as_py(), bool), known[q], layers, heads):
-                        s += w.sum(0)
-                    out.append(s)
-                names = ["doc_id", "query_id", "chunk_no", "n_chunk"]
-                yield pa.RecordBatch.from_arrays([*[b.column(n) for n in names], pa.array(out, pa.list_(pa.int64()))], [*names, "s"])
+            chunk_keys: dict = {}
+            question_packs: dict = {}
+            rows: list = []
+            held = 0
+
+            def flush():
+                flat = np.concatenate([r[4].ravel() for r in rows])
+                ends = np.concatenate([[0], np.cumsum([n for r in rows for n in [r[4].shape[1]] * len(r[1])])]).astype(np.int32)
+                plain = [[r[0] for r in rows for _ in r[1]], [q for r in rows for q in r[1]], [r[2] for r in rows for _ in r[1]], [r[3] for r in rows for _ in r[1]]]
+                arrays = [pa.array(c, k) for c, k in zip(plain, (pa.int64(), pa.string(), pa.int32(), pa.int32()), strict=True)]
+                return pa.RecordBatch.from_arrays([*arrays, pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))], [*names, "s"])
 
-        wanted = pair(slim, queries).select("doc_id", "query_id", "chunk_no", "n_chunk", "keys", "structural", "question")
+            for b in batches:
+                ids, numbers, hashes = b.column("doc_id").to_pylist(), b.column("chunk_no").to_pylist(), b.column("chunk_hash").to_pylist()
+                ends, words = _lists(b.column("tokens"))
+                flags = np.asarray(_lists(b.column("structural"))[1].to_numpy(zero_copy_only=False), bool)
+                for i, (doc, no, name) in enumerate(zip(ids, numbers, hashes, strict=True)):
+                    asked = b.column("questions")[i].as_py()
+                    key = (doc, asked[0]["query_id"])
+                    if key not in question_packs:
+                        question_packs = {key: _Pack([q["query_id"] for q in asked], [q["tokens"] for q in asked])}
+                    pack = question_packs[key]
+                    tokens = words.slice(ends[i], ends[i + 1] - ends[i])
+                    if not reuse:
+                        ctx = [keys_of(tokens.to_pylist()) for _ in pack.ids][-1]
+                    elif (doc, name) in chunk_keys:
+                        ctx = chunk_keys[doc, name]
+                    else:
+                        if len(chunk_keys) >= HELD_CHUNKS:
+                            chunk_keys.clear()
+                        ctx = chunk_keys[doc, name] = keys_of(tokens.to_pylist())
+                    s = pack.scores(ctx, flags[ends[i] : ends[i + 1]], layers, heads)
+                    rows.append((doc, pack.ids, no, s.shape[1], s))
+                    held += s.size
+                    if held >= FLUSH:
+                        yield flush()
+                        rows, held = [], 0
+            if rows:
+                yield flush()
+
+        slim = chunks.select("doc_id", "chunk_no", "chunk_hash", "structural", "tokens")
+        packed = _bounded(packs(queries), F.array_join(F.transform("questions", lambda q: F.array_join(q["tokens"], " ")), " "))
+        wanted = slim.join(packed, "doc_id").select("doc_id", "chunk_no", "chunk_hash", "structural", "tokens", "questions")
         return wanted.mapInArrow(run, "doc_id long, query_id string, chunk_no int, n_chunk int, s array<long>")
 
     def exploded(self, chunks: DataFrame, queries: DataFrame) -> DataFrame:

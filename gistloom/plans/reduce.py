@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from gistloom.operators import attention, chunking, scoring, selection
 from gistloom.plans import workloads
+from gistloom.staging import materialize
 
 
 def all_queries(questions: DataFrame) -> DataFrame:
@@ -32,10 +33,14 @@ def contrasted(scores: DataFrame, questions: DataFrame, contrast: str = "auto",
 
 
 def reduce(docs: DataFrame, questions: DataFrame, budget="0.1", contrast: str = "auto", overflow: str = "skip", base_len: int = chunking.CHUNK, provider=None, share: str = selection.SHARE) -> DataFrame:
-    """doc_id, query_id, b, n_tokens, used, prompt: the shortened context of every question."""
-    tokenized = workloads.asked_documents(docs, questions)
-    scores = vectors(tokenized, questions, base_len, provider)
-    spans = selection.select_windows(contrasted(scores, questions, contrast), (budget,), overflow, share)
+    """doc_id, query_id, b, n_tokens, used, prompt: the shortened context of every question.
+
+    Questions and score vectors are written once: the contrast reads a vector twice, attention runs once.
+    """
+    asked = materialize(questions.select("doc_id", "query_id", "tokens"), "questions")
+    tokenized = workloads.asked_documents(docs, asked)
+    scores = materialize(vectors(tokenized, asked, base_len, provider, fixed=contrast != "raw"), "scores")
+    spans = selection.select_windows(contrasted(scores, asked, contrast), (budget,), overflow, share)
     return selection.assemble(tokenized, spans)
 
 

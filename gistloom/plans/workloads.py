@@ -10,7 +10,7 @@ from gistloom.shipping import ship
 
 QUESTION_WORDS = 16
 PROBE = 5
-BROADCAST_PASSAGES = 200_000
+BROADCAST_PASSAGES, BROADCAST_BYTES = 200_000, 64 << 20
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -21,14 +21,15 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def contained_passages(docs: DataFrame, passages: DataFrame) -> DataFrame:
     """doc_id, item_id, text, passage, at: passages that occur in a document, at their first place.
 
-    The first five tokens of a passage are its probe; documents are probed by an equi-join on their
-    own five-token runs and only hits are compared as text, so no cross join is needed.
+    The first five tokens of a passage are its probe; documents are probed by an equi-join on hashes of
+    their own five-token runs and only hits are compared as text, so no cross join is needed.
     """
-    probe = passages.select("item_id", F.col("text").alias("passage"), F.array_join(F.slice(words(F.col("text")), 1, PROBE), " ").alias("probe"))
-    small = F.broadcast(probe) if probe.count() <= BROADCAST_PASSAGES else probe
+    probe = passages.select("item_id", F.col("text").alias("passage"), F.xxhash64(F.slice(words(F.col("text")), 1, PROBE)).alias("probe"))
+    size = probe.agg(F.count("*").alias("rows"), F.coalesce(F.sum(F.octet_length("passage")), F.lit(0)).alias("bytes")).first()
+    small = F.broadcast(probe) if size.rows <= BROADCAST_PASSAGES and size.bytes <= BROADCAST_BYTES else probe
     toks = docs.select("doc_id", words(F.col("text")).alias("t"))
-    runs = F.when(F.size("t") > 0, F.transform(F.sequence(F.lit(1), F.greatest(F.size("t") - (PROBE - 1), F.lit(1))), lambda i: F.array_join(F.slice("t", i, F.lit(PROBE)), " "))).otherwise(F.array().cast("array<string>"))
-    hits = toks.select("doc_id", F.explode(F.array_distinct(runs)).alias("probe")).join(small, "probe").select("doc_id", "item_id", "passage").distinct()
+    runs = F.when(F.size("t") > 0, F.transform(F.sequence(F.lit(1), F.greatest(F.size("t") - (PROBE - 1), F.lit(1))), lambda i: F.xxhash64(F.slice("t", i, F.lit(PROBE))))).otherwise(F.array().cast("array<long>"))
+    hits = toks.select("doc_id", F.explode(runs).alias("probe")).join(small, "probe").select("doc_id", "item_id", "passage").distinct()
     return hits.join(docs.select("doc_id", "text"), "doc_id").withColumn("at", F.expr("position(passage, text)")).where("at > 0")
 
 

@@ -197,3 +197,47 @@ def test_searches_use_every_twentieth_vector_and_all_siblings(spark, tmp_path):
     spark.createDataFrame([(i, i % 2, 0) for i in range(120)], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
     assert {r.q for r in QUERIES["embedding_cosine_search"](spark, str(tmp_path)).collect()} == {0, 20, 40}
     assert {r.siblings for r in QUERIES["join_siblings"](spark, str(tmp_path)).collect()} == {60}
+
+
+def test_scores_are_computed_once_and_keys_stay_in_the_task(spark, docs, asked):
+    """One attending and one selecting Python step; the former is read back from its table."""
+    def steps(df):
+        return df._jdf.queryExecution().executedPlan().toString().count("MapInArrow")
+
+    t = tokenize(docs)
+    assert steps(R.vectors(t, asked, 16)) == 1 and steps(R.reduce(docs, asked)) == 1
+    assert "chunk_hash" not in R.vectors(t, asked, 16)._jdf.queryExecution().executedPlan().toString().split("MapInArrow")[0]
+
+
+def test_packs_and_empty_questions(spark, docs):
+    """More questions than a pack holds, and one without words, score as each does alone."""
+    rows = [(i % 6, f"q{i}@{i % 6}", ["alpha", "price", f"w{i}"][: i % 4]) for i in range(60)]
+    many = spark.createDataFrame(rows, "doc_id long, query_id string, tokens array<string>")
+    chunks = chunking.chunk(tokenize(docs), 16)
+    got = {(r.query_id, r.chunk_no): r.s for r in attention.PopcountProvider().attend(chunks, many).collect()}
+    for c in chunks.collect():
+        ctx = attention.keys_of(c.tokens)
+        for d, q, tokens in rows:
+            if d == c.doc_id:
+                each = sum((w.sum(0) for _, _, w, _, _ in attention.weights(ctx, np.array(c.structural), attention.keys_of(tokens))), np.zeros(c.n_chunk, np.int64)) if tokens else np.zeros(c.n_chunk)
+                assert list(each) == got[q, c.chunk_no]
+    counts = attention.packs(many, 3).select(F.size("questions").alias("n")).collect()
+    assert sum(r.n for r in counts) == 60 and len(counts) > 6
+
+
+def test_scores_beyond_64_bits_are_ranked_exactly():
+    big = 2**61
+    v = np.array([big, big, 3, big, big, big, 1, 0], np.int64)
+    flat = selection.smooth(v)
+    assert flat.dtype == object and max(flat) > 2**63
+    assert list(np.flatnonzero(selection.choose(v, "0.5", "skip", "0.25"))) == greedy_plain([int(x) for x in v], 4, 2)
+
+
+def greedy_plain(v, left, size):
+    taken: set = set()
+    for s in sorted(range(len(v) - size + 1), key=lambda s: (-sum(v[s : s + size]), s)):
+        new = [i for i in range(s, s + size) if i not in taken]
+        if len(new) <= left:
+            taken.update(new)
+            left -= len(new)
+    return sorted(taken)
