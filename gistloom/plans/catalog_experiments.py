@@ -349,3 +349,120 @@ def timed_attention(spark, sf_dir, reuse: bool) -> int:
     c = CC.Core(spark, sf_dir)
     vectors = attention.PopcountProvider().attend(chunking.chunk(c.tok), c.questions, reuse=reuse)
     return vectors.agg(F.sum(F.size("s")).alias("n")).first().n
+
+
+# ---- the reducer on streams, in user functions, over checked tables -----------------------------------
+
+SPAN_ROWS = "doc_id long, query_id string, first_pos int, last_pos int"
+
+
+def _turn_spans(docs: DataFrame, asked: DataFrame) -> DataFrame:
+    tok = W.asked_documents(docs, asked)
+    diff = R.contrasted(R.vectors(tok, asked), asked, "fixed")
+    return CC.per_span(selection.select_windows(diff, overflow="trim"))
+
+
+_TURNS = f"""asked as (select conv_id as doc_id, string_agg(text, chr(10) order by turn, text) as text from conversations where role <> 'user' group by 1),
+lns as (select doc_id, unnest(range(len(ls))) as ln, unnest(ls) as l from (select doc_id, string_split(text, chr(10)) as ls from asked)),
+lt as (select doc_id, ln, regexp_extract_all(l, {C.T}) as ts from lns),
+q as (select conv_id as doc_id, 'u' || turn || '@' || conv_id as query_id, regexp_extract_all(text, {C.T}) as toks from conversations where role = 'user'),
+aq as (select doc_id, query_id, toks from q union all select distinct doc_id, 'fixed@' || doc_id, {C.FIXED} from q)"""
+
+
+@register("stream_reduce_questions", "with recursive " + ",\n".join([_TURNS, C.SCORES, C.diff("fixed"), C.windows(), C.TRIM, C.SPANS]) + "\nselect doc_id, query_id, first_pos, last_pos from spn")
+def stream_reduce_questions(spark, sf_dir):
+    """User turns arrive as a stream; every micro-batch is reduced over the static conversations."""
+    from gistloom.streaming import questions as S
+
+    docs = W.conversation_documents(W.load(spark, sf_dir, "conversations"))
+    turns = S.source(spark, sf_dir, "conversations")
+    return S.questions_in_batches(turns, lambda rows: _turn_spans(docs, R.materialize(W.conversation_questions(rows), "turns")), SPAN_ROWS)
+
+
+def _greedy_rows(doc_id, query_id, pos, v):
+    import numpy as np
+    import pyarrow as pa
+
+    order = np.argsort(pos)
+    found = selection.spans_of(selection.choose(selection.smooth(np.asarray(v)[order]), "0.1"))
+    return pa.table({"doc_id": pa.array([doc_id] * len(found), pa.int64()), "query_id": pa.array([query_id] * len(found), pa.string()), "first_pos": pa.array([a for a, _ in found], pa.int32()), "last_pos": pa.array([z for _, z in found], pa.int32())})
+
+
+@register("udf_grouped", CC.ORACLES["select_skip"])
+def udf_grouped(spark, sf_dir):
+    """Greedy selection as a grouped function over rows of tokens."""
+    def run(table):
+        return _greedy_rows(table["doc_id"][0].as_py(), table["query_id"][0].as_py(), table["pos"].to_numpy(), table["v"].to_numpy())
+
+    rows = CC.per_token(CC.Core(spark, sf_dir).diff())
+    return rows.groupBy("doc_id", "query_id").applyInArrow(run, SPAN_ROWS)
+
+
+@register("udf_cogrouped", C.core(C.SCORES, tail="select doc_id, query_id, c::int as chunk_no, sum(s)::bigint as total from raw join q using (doc_id, query_id) group by all"))
+def udf_cogrouped(spark, sf_dir):
+    """Chunks and questions of a document meet in a cogrouped function that attends."""
+    import numpy as np
+    import pyarrow as pa
+
+    def run(chunks, asked):
+        if not len(asked):
+            return pa.table({"doc_id": pa.array([], pa.int64()), "query_id": pa.array([], pa.string()), "chunk_no": pa.array([], pa.int32()), "total": pa.array([], pa.int64())})
+        pack = attention._Pack(asked["query_id"].to_pylist(), asked["tokens"].to_pylist())
+        out = []
+        for r in chunks.to_pylist():
+            s = pack.scores(attention.keys_of(r["tokens"]), np.array(r["structural"], bool), attention.ALL_LAYERS, attention.ALL_HEADS)
+            out += [(r["doc_id"], q, r["chunk_no"], int(x)) for q, x in zip(pack.ids, s.sum(1), strict=True)]
+        kinds = (pa.int64(), pa.string(), pa.int32(), pa.int64())
+        return pa.table([pa.array([o[k] for o in out], kind) for k, kind in enumerate(kinds)], names=["doc_id", "query_id", "chunk_no", "total"])
+
+    c = CC.Core(spark, sf_dir)
+    asked = c.questions.select(F.col("doc_id").alias("asked_id"), "query_id", "tokens")
+    return c.chunks.groupBy("doc_id").cogroup(asked.groupBy("asked_id")).applyInArrow(run, "doc_id long, query_id string, chunk_no int, total long")
+
+
+@register("udtf_reduce_context", CC.ORACLES["select_skip"])
+def udtf_reduce_context(spark, sf_dir):
+    """Table function with a partitioned table argument: rows of tokens in, spans under a budget out."""
+    from pyspark.sql.functions import udtf
+    from pyspark.sql.types import IntegerType, LongType, StringType, StructField, StructType
+    from pyspark.sql.udtf import AnalyzeArgument, AnalyzeResult
+
+    spans = StructType([StructField("doc_id", LongType()), StructField("query_id", StringType()), StructField("first_pos", IntegerType()), StructField("last_pos", IntegerType())])
+
+    @udtf
+    class ReduceContext:
+        def __init__(self):
+            self.rows, self.budget = [], None
+
+        @staticmethod
+        def analyze(tokens: AnalyzeArgument, budget: AnalyzeArgument) -> AnalyzeResult:
+            if not tokens.isTable or {"doc_id", "query_id", "pos", "v"} - set(tokens.dataType.names):
+                raise ValueError("the first argument is a table with doc_id, query_id, pos and v")
+            if budget.value is None:
+                raise ValueError("the budget is a constant")
+            return AnalyzeResult(spans)
+
+        def eval(self, tokens, budget: str):
+            self.rows.append((tokens["doc_id"], tokens["query_id"], tokens["pos"], tokens["v"]))
+            self.budget = budget
+
+        def terminate(self):
+            if self.rows:
+                import numpy as np
+
+                ordered = sorted(self.rows, key=lambda r: r[2])
+                v = np.array([r[3] for r in ordered], np.int64)
+                for a, z in selection.spans_of(selection.choose(selection.smooth(v), self.budget)):
+                    yield ordered[0][0], ordered[0][1], a, z
+
+    spark.udtf.register("gl_reduce_context", ReduceContext)
+    rows = CC.per_token(CC.Core(spark, sf_dir).diff())
+    return spark.sql("select * from gl_reduce_context(table({rows}) partition by (doc_id, query_id), '0.1')", rows=rows)
+
+
+@register("load_checked", "select count(*) as n, count(distinct lang) as langs from documents")
+def load_checked(spark, sf_dir):
+    from gistloom.sources.checked import load_checked as checked
+
+    docs = checked(spark, f"{sf_dir}/documents.parquet", "doc_id bigint, text string, lang string")
+    return docs.agg(F.count("*").alias("n"), F.count_distinct("lang").alias("langs"))

@@ -9,7 +9,7 @@ from pyspark.sql.functions import pandas_udf
 from gistloom.plans.workloads import load
 from gistloom.shipping import ship
 from gistloom.sources.chunks import ChunkSource, PromptSink
-from gistloom.sources.formats import scratch
+from gistloom.staging import fresh_path
 from gistloom.streaming import questions as S
 
 QUERIES: dict = {}
@@ -30,7 +30,7 @@ ORACLES["stream_stream_join"] = "select x.event_id as a, y.event_id as b from ev
 
 def stream_cache_state(spark, sf_dir):
     ship(spark)
-    return S.drain(S.cache_state(S.source(spark, sf_dir)), "update")
+    return S.drain(S.cache_state(S.source(spark, sf_dir)), "update", ("user_id",))
 
 
 QUERIES["stream_cache_state"] = stream_cache_state
@@ -40,8 +40,8 @@ ORACLES["stream_cache_state"] = """select user_id, cast(count(*) filter (where s
 
 def stream_foreach_batch(spark, sf_dir):
     """The batch code on every micro-batch, rows appended to a table of files."""
-    out = scratch(spark, "batches")
-    S.each_batch(S.source(spark, sf_dir), lambda df, no: df.groupBy("event_type").agg(F.count("*").alias("n")).write.mode("append").parquet(out), scratch(spark, "batch-log"))
+    out = fresh_path(spark, "batches")
+    S.each_batch(S.source(spark, sf_dir), lambda df, no: df.groupBy("event_type").agg(F.count("*").alias("n")).write.mode("append").parquet(out), fresh_path(spark, "batch-log"))
     return spark.read.parquet(out).groupBy("event_type").agg(F.sum("n").alias("n"))
 
 
@@ -106,7 +106,7 @@ def source_chunks(spark, sf_dir):
     ship(spark)
     spark.dataSource.register(ChunkSource)
     spark.dataSource.register(PromptSink)
-    path = scratch(spark, "prompts")
+    path = fresh_path(spark, "prompts")
     load(spark, sf_dir, "benchmark").select(F.col("item_id").cast("string").alias("query_id"), F.col("text").alias("prompt")).write.format("gl_prompts").option("path", path).mode("append").save()
     return spark.read.format("gl_chunks").option("path", path).option("size", "16").load()
 

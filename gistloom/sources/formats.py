@@ -2,21 +2,14 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-
-def scratch(spark: SparkSession, name: str) -> str:
-    """A new path in the shared folder of the session; a local one only where none is set."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="gistloom-")
-    return f"{root.rstrip('/')}/gistloom/{name}-{uuid.uuid4().hex}"
+from gistloom.staging import fresh_path
 
 
 def round_trip(df: DataFrame, fmt: str) -> DataFrame:
-    spark, path = df.sparkSession, scratch(df.sparkSession, fmt)
+    spark, path = df.sparkSession, fresh_path(df.sparkSession, fmt)
     kept = df.select("n_nationkey", "n_name", "n_regionkey") if fmt != "text" else df.select("n_name")
     kept.write.format(fmt).save(path)
     if fmt == "text":
@@ -26,7 +19,7 @@ def round_trip(df: DataFrame, fmt: str) -> DataFrame:
 
 def sink_partitioned(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Customers written by region and read back with the partition column pruned to."""
-    path = scratch(spark, "by-region")
+    path = fresh_path(spark, "by-region")
     at = lambda t: spark.read.parquet(f"{sf_dir}/{t}.parquet")
     joined = at("customer").join(at("nation"), F.col("c_nationkey") == F.col("n_nationkey")).join(at("region"), F.col("n_regionkey") == F.col("r_regionkey"))
     joined.select("c_custkey", "r_name").write.partitionBy("r_name").parquet(path)

@@ -6,16 +6,16 @@ return a streaming DataFrame; ``drain`` runs one over the files that are there a
 
 from __future__ import annotations
 
-import shutil
-import tempfile
-import uuid
 from collections.abc import Callable, Iterator
+from functools import reduce
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+from gistloom.staging import fresh_path
+
 LATE = "10 minutes"
 
 
@@ -28,15 +28,45 @@ def source(spark: SparkSession, sf_dir: str, table: str = "events") -> DataFrame
     return stream.withColumn("ts", F.col("ts").cast("timestamp")) if "ts" in schema.names else stream
 
 
-def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """All rows that the stream has now, through an in-memory table."""
-    spark, name = stream.sparkSession, f"s{uuid.uuid4().hex}"
-    folder = tempfile.mkdtemp(prefix="gistloom-stream-") if not spark.conf.get("spark.checkpoint.dir", None) else f"{spark.conf.get('spark.checkpoint.dir').rstrip('/')}/gistloom/{name}"
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", folder).trigger(availableNow=True).start()
-    query.awaitTermination()
-    if folder.startswith(tempfile.gettempdir()):
-        shutil.rmtree(folder, ignore_errors=True)
-    return spark.table(name)
+def drain(stream: DataFrame, mode: str = "append", keys: tuple[str, ...] = ()) -> DataFrame:
+    """All rows that the stream has now, by files in the shared folder; no row passes the driver.
+
+    ``append`` goes through the Parquet sink.  In the other modes every micro-batch writes its own
+    folder, so a repeated batch replaces itself; ``complete`` is the last folder, and of ``update``
+    the last row of each of ``keys`` counts.
+    """
+    spark, out = stream.sparkSession, fresh_path(stream.sparkSession, "stream")
+    writer = stream.writeStream.outputMode(mode).option("checkpointLocation", fresh_path(spark, "stream-log")).trigger(availableNow=True)
+    if mode == "append":
+        writer.format("parquet").option("path", out).start().awaitTermination()
+        return spark.read.schema(stream.schema).parquet(out)
+    batches: list[int] = []
+
+    def write(rows: DataFrame, no: int) -> None:
+        rows.write.mode("overwrite").parquet(f"{out}/{no}")
+        batches.append(no)
+
+    writer.foreachBatch(write).start().awaitTermination()
+    if not batches:
+        return spark.createDataFrame([], stream.schema)
+    read = lambda no: spark.read.schema(stream.schema).parquet(f"{out}/{no}")
+    if mode == "complete":
+        return read(max(batches))
+    rows = reduce(DataFrame.unionByName, [read(no).withColumn("_gl_batch", F.lit(no)) for no in sorted(set(batches))])
+    last = Window.partitionBy(*keys).orderBy(F.desc("_gl_batch"))
+    return rows.withColumn("_gl_no", F.row_number().over(last)).where("_gl_no = 1").drop("_gl_no", "_gl_batch")
+
+
+def questions_in_batches(turns: DataFrame, work: Callable[[DataFrame], DataFrame], schema) -> DataFrame:
+    """Rows that ``work`` makes of the questions of each micro-batch; a repeated batch replaces its rows."""
+    spark, out = turns.sparkSession, fresh_path(turns.sparkSession, "reduced")
+    each_batch(turns, lambda rows, no: work(rows).write.mode("overwrite").parquet(f"{out}/batch={no}"), fresh_path(spark, "reduced-log"))
+    return spark.read.schema(schema).parquet(f"{out}/*")
+
+
+def rate(spark: SparkSession, rows: int = 50, batches: int = 1) -> DataFrame:
+    """A generated stream with ``rows`` rows a micro-batch, for load tests without files."""
+    return spark.readStream.format("rate-micro-batch").option("rowsPerBatch", rows).option("numPartitions", 2).load()
 
 
 def tumbling(events: DataFrame, size: str = "1 hour") -> DataFrame:
@@ -70,9 +100,18 @@ def with_stream(left: DataFrame, right: DataFrame) -> DataFrame:
     return a.join(b, F.expr("u = w and s > t and s <= t + interval 1 hour")).select("a", "b")
 
 
-def cache_state(events: DataFrame) -> DataFrame:
-    """Key cache as state: one slot a user that is cleared when the kind of question changes."""
+def cache_state(events: DataFrame, ttl: str | None = None) -> DataFrame:
+    """Key cache as state: one slot a user that is cleared when the kind of question changes.
+
+    With ``ttl`` (such as "1 hour") a user's state goes when the watermark has passed that long after
+    their last question; without it states stay.
+    """
+    seconds = None if ttl is None else int(pd.Timedelta(ttl).total_seconds())
+
     def step(key, frames: Iterator[pd.DataFrame], state: GroupState):
+        if state.hasTimedOut:
+            state.remove()
+            return
         held, hits, misses = state.get if state.exists else ("", 0, 0)
         rows = pd.concat(list(frames)).sort_values(["ts", "event_id"])
         for kind in rows.event_type:
@@ -81,9 +120,13 @@ def cache_state(events: DataFrame) -> DataFrame:
             else:
                 held, misses = kind, misses + 1
         state.update((held, hits, misses))
+        if seconds is not None:
+            state.setTimeoutTimestamp(max(int(rows.ts.max().timestamp() * 1000) + 1000 * seconds, state.getCurrentWatermarkMs() + 1))
         yield pd.DataFrame({"user_id": [key[0]], "hits": [hits], "misses": [misses]})
 
-    return events.groupBy("user_id").applyInPandasWithState(step, "user_id long, hits long, misses long", "held string, hits long, misses long", "update", GroupStateTimeout.NoTimeout)
+    timeout = GroupStateTimeout.NoTimeout if ttl is None else GroupStateTimeout.EventTimeTimeout
+    kept = events if ttl is None else events.withWatermark("ts", LATE)
+    return kept.groupBy("user_id").applyInPandasWithState(step, "user_id long, hits long, misses long", "held string, hits long, misses long", "update", timeout)
 
 
 def each_batch(stream: DataFrame, work: Callable[[DataFrame, int], None], folder: str) -> None:
