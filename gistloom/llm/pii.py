@@ -2,14 +2,15 @@
 
 *Base patterns* (e-mail, IP, card, phone) are found exactly and always kept.  *Generators* propose
 further spans with high recall: secrets after a cue, access keys, long hex keys, national phone
-numbers, social security numbers, bank accounts, spelled-out e-mail addresses.  Boosted trees score
-every proposal from its format and its context; each kind has its own threshold, calibrated on a
-part of the training cases so that precision there reaches ``precision``.  Of accepted proposals
-that overlap, the best stays; none may overlap a base span.
+numbers, social security numbers, bank accounts, spelled-out e-mail addresses, tokens with a
+provider's prefix, bearer and web tokens, private key blocks.  Boosted trees score
+every proposal from its format and its context; each kind has its own threshold, the lowest at which
+precision reaches ``precision`` on a part of the training cases; a kind that never gets there keeps
+one half.  Of accepted proposals that overlap, the best stays; none may overlap a base span.
 
 There is no table of labelled spans, so the trees learn from cases made by rule, with a fixed seed:
-true values in typical contexts and look-alikes (versions, dates, amounts, part numbers, plain
-words).  Defined cases: a null or empty text has no spans; texts are searched whole, in linear
+true values in typical contexts and look-alikes, many of the same shape in other contexts (commit
+hashes, part numbers, placeholders, tickets).  Defined cases: a null or empty text has no spans; texts are searched whole, in linear
 time, whatever their length; repeated rows are searched alike; an empty table gives an empty result.
 Offsets are code points, end exclusive.
 """
@@ -41,18 +42,32 @@ PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 DIGIT = re.compile(r"[0-9]")
 
 GENERATORS = {
-    "secret": re.compile(r"(?i)\b(?:api[_-]?key|apikey|secret|token|passw(?:or)?d|pwd|auth)[\"']?\s{0,3}[=:]\s{0,3}[\"']?([A-Za-z0-9/+_\-]{6,200})"),
+    "secret": re.compile(r"(?i)\b(?:api[_-]?key|apikey|secret|token|passw(?:or)?d|pwd|auth)[\"']?(?:\s{0,3}[=:]\s{0,3}|\s{1,3}is\s{1,3})[\"']?([A-Za-z0-9/+_\-]{6,})"),
     "access_key": re.compile(r"(?<![A-Za-z0-9])([A-Z]{3,5}[A-Z0-9]{14,20})(?![A-Za-z0-9])"),
-    "hex_key": re.compile(r"(?<![A-Za-z0-9])([0-9a-f]{24,128})(?![A-Za-z0-9])"),
+    "hex_key": re.compile(r"(?<![A-Za-z0-9])([0-9a-f]{24,})(?![A-Za-z0-9])"),
     "national_phone": re.compile(r"(?<![0-9+.-])(\(?[0-9]{3}\)?[ .-][0-9]{3}[ .-][0-9]{4})(?![0-9])"),
     "ssn": re.compile(r"(?<![0-9-])([0-9]{3}-[0-9]{2}-[0-9]{4})(?![0-9-])"),
     "iban": re.compile(r"(?<![A-Za-z0-9])([A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){3,7}(?: ?[A-Z0-9]{1,3})?)(?![A-Za-z0-9])"),
     "spelled_email": re.compile(r"(?i)(?<![a-z0-9])([a-z0-9._]{2,40} ?[\[(] ?at ?[\])] ?[a-z0-9-]{2,40} ?[\[(] ?dot ?[\])] ?[a-z]{2,10})"),
+    "prefixed_token": re.compile(r"(?<![A-Za-z0-9])((?:[spr]k_(?:live|test)_|gh[pousr]_|xox[abprs]-|AIza|glpat-)[A-Za-z0-9_-]{10,})"),
+    "bearer": re.compile(r"(?i)\bbearer\s{1,3}([A-Za-z0-9._~+/=-]{12,})"),
+    "web_token": re.compile(r"(?<![A-Za-z0-9])(eyJ[A-Za-z0-9_-]{6,}\.[A-Za-z0-9_-]{6,}\.[A-Za-z0-9_-]+)"),
+    "private_key": re.compile(r"(-----BEGIN [A-Z ]{0,30}PRIVATE KEY-----[^-]*(?:-----END [A-Z ]{0,30}PRIVATE KEY-----)?)"),
 }
-NEEDS = {"secret": DIGIT, "access_key": DIGIT, "hex_key": DIGIT, "national_phone": DIGIT, "ssn": DIGIT, "iban": DIGIT, "spelled_email": re.compile(r"(?i)[\[(] ?at ?[\])]")}
+# What a text must hold for a generator to find anything: exact cues, so none depends on another's.
+CUED = {
+    "secret": ("key", "secret", "token", "passw", "pwd", "auth"), "spelled_email": ("dot",), "bearer": ("bearer",),  # in lower case
+    "prefixed_token": ("k_live_", "k_test_", "ghp_", "gho_", "ghu_", "ghs_", "ghr_", "xox", "AIza", "glpat-"), "web_token": ("eyJ",), "private_key": ("-----BEGIN ",),
+}
+LOWERED = ("secret", "spelled_email", "bearer")
+DIGITS = ("hex_key", "national_phone", "ssn", "iban")  # kinds that hold a digit; letters alone are no hex key
 ADDED = tuple(GENERATORS)
 KINDS = BASE + ADDED
-CUES = ("key", "secret", "token", "passw", "phone", "call", "tel", "ssn", "social", "iban", "account", "bank", "mail", "contact", "version", "date", "part", "order", "id", "no.")
+IBAN = KINDS.index("iban")
+CUES = (
+    "key", "secret", "token", "passw", "pwd", "auth", "phone", "call", "tel", "ssn", "social", "iban", "account", "bank", "mail", "contact", "version", "date", "part", "order", "id", "no.",
+    "commit", "sha", "hash", "checksum", "ticket", "serial", "example", "build", "md5",
+)
 
 
 def luhn(digits: str) -> bool:
@@ -65,6 +80,12 @@ def luhn(digits: str) -> bool:
     return total % 10 == 0
 
 
+def mod97(account: str) -> int:
+    """Remainder of an international account number with its head moved to the end, letters as 10 to 35; 1 when it is valid."""
+    plain = account.replace(" ", "")
+    return int("".join(str(int(c, 36)) for c in plain[4:] + plain[:4])) % 97
+
+
 def base_spans(text: str) -> list[tuple[int, int, int]]:
     """(start, kind number, end) of the base kinds, sorted."""
     out = []
@@ -96,13 +117,13 @@ def base_spans(text: str) -> list[tuple[int, int, int]]:
 
 def proposals(text: str) -> list[tuple[int, int, int]]:
     """(start, kind number, end) of all generators; spans may overlap."""
-    out, ready = [], {}
+    out, low, digit = [], text.lower(), DIGIT.search(text) is not None
     for k, (kind, pattern) in enumerate(GENERATORS.items(), len(BASE)):
-        need = NEEDS[kind]
-        if need not in ready:
-            ready[need] = need.search(text) is not None
-        if ready[need]:
-            out += [(m.start(1), k, m.end(1)) for m in pattern.finditer(text)]
+        if kind in DIGITS and not digit:
+            continue
+        if kind in CUED and not any(c in (low if kind in LOWERED else text) for c in CUED[kind]):
+            continue
+        out += [(m.start(1), k, m.end(1)) for m in pattern.finditer(text) if kind != "hex_key" or DIGIT.search(m.group(1))]
     return out
 
 
@@ -112,13 +133,13 @@ def features(text: str, start: int, kind: int, end: int) -> list[float]:
     digits, upper, lower = sum(c.isdigit() for c in span), sum(c.isupper() for c in span), sum(c.islower() for c in span)
     counts = Counter(span)
     entropy = -sum(c / n * math.log2(c / n) for c in counts.values())
-    cues = before.lower()
+    cues, near = before.lower(), before[-16:].lower()
     flips = sum(a.isdigit() != b.isdigit() for a, b in zip(span, span[1:], strict=False))
     vowels = sum(c in "aeiouAEIOU" for c in span)
     return [
         *[float(kind == k) for k in range(len(BASE), len(KINDS))], n, digits / n, upper / n, lower / n, entropy, len(counts) / n, flips / n, vowels / n,
-        float(span[0].isalnum()), float(before[-1:].isalnum()), float(after[:1].isalnum()), float(before[-1:] in "\"'=:"), float("=" in before[-4:] or ":" in before[-4:]),
-        float(digits > 11 and luhn("".join(c for c in span if c.isdigit() and c.isascii()))), *[float(c in cues) for c in CUES],
+        float(span.startswith(("AKIA", "ASIA"))), float("[" in span), float(kind == IBAN and mod97(span) == 1), float(span.lower().endswith(("com", "org", "net"))), float(span[0].isalnum()), float(before[-1:].isalnum()), float(after[:1].isalnum()), float(before[-1:] in "\"'=:"), float("=" in before[-4:] or ":" in before[-4:]),
+        float(digits > 11 and luhn("".join(c for c in span if c.isdigit() and c.isascii()))), *[float(c in cues) + float(c in near) for c in CUES],
     ]
 
 
@@ -127,26 +148,44 @@ def _case(rng: random.Random) -> tuple[str, int]:
     digits = lambda n: "".join(rng.choice("0123456789") for _ in range(n))
     letters = lambda n, a: "".join(rng.choice(a) for _ in range(n))
     up, hexa, word = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "0123456789abcdef", lambda: letters(rng.randint(2, 9), "aeioulnrst")
-    fill = lambda: " ".join(word() for _ in range(rng.randint(0, 8)))
+    plain = lambda most: " ".join(word() for _ in range(rng.randint(0, most)))
+    # a cue of another kind further away says nothing
+    fill = lambda: f"{rng.choice(CUES)} {word()} {word()} {word()}" if rng.random() < 0.4 else plain(8)
+    both = up + up.lower() + "0123456789"
+    cue = lambda *c: rng.choice(c)
+    phone = lambda: rng.choice(["({}) {}-{}", "{}-{}-{}", "{}.{}.{}", "{} {} {}"]).format(digits(3), digits(3), digits(4))
+    blocks = lambda: letters(2, up) + digits(2) + "".join(" " + digits(4) for _ in range(4))
+    account = lambda land, rest: f"{land}{98 - mod97(land + '00' + rest):02d}{rest}"
     good = [
-        lambda: rng.choice(["token = ", "api_key=", "password=", "secret: ", "pwd="]) + rng.choice(["", '"']) + letters(rng.randint(12, 40), hexa),
-        lambda: rng.choice(["password: ", "secret=", "token="]) + letters(rng.randint(8, 20), up + up.lower() + "0123456789"),
-        lambda: rng.choice(["", "key ", "id "]) + rng.choice(["AKIA", "ASIA"]) + letters(16, up + "234567"),
-        lambda: rng.choice(["", "key ", "token "]) + letters(rng.choice([32, 40, 64]), hexa),
-        lambda: rng.choice(["call ", "phone ", "tel ", ""]) + rng.choice(["({}) {}-{}", "{}-{}-{}", "{}.{}.{}"]).format(digits(3), digits(3), digits(4)),
-        lambda: rng.choice(["ssn ", "social security ", ""]) + f"{digits(3)}-{digits(2)}-{digits(4)}",
-        lambda: rng.choice(["iban ", "account ", ""]) + rng.choice(["DE", "FR", "ES", "GB"]) + digits(2) + "".join(" " + digits(4) for _ in range(4)),
-        lambda: rng.choice(["mail ", "contact ", ""]) + f"{word()} [at] {word()} [dot] com",
+        lambda: cue("token = ", "api_key=", "password=", "secret: ", "pwd=", "auth: ", "password is ") + cue("", '"') + letters(rng.randint(12, 64), hexa),
+        lambda: cue("password: ", "secret=", "token=", "passwd is ", "pwd: ") + letters(rng.randint(8, 40), both),
+        lambda: cue("password: ", "pwd=", "password is ") + word() + digits(rng.randint(2, 5)) + letters(rng.randint(1, 4), both),
+        lambda: cue("", "key ", "id ") + cue("AKIA", "ASIA") + letters(16, up + "234567"),
+        lambda: cue("", "key ", "token ", "secret ") + letters(rng.choice([32, 40, 64]), hexa),
+        lambda: cue("call ", "phone ", "tel ", "contact ", "") + phone(),
+        lambda: cue("ssn ", "social security ", "") + f"{digits(3)}-{digits(2)}-{digits(4)}",
+        lambda: cue("iban ", "account ", "bank ", "") + account(cue("DE", "FR", "ES", "GB"), "".join(" " + digits(4) for _ in range(4))),
+        lambda: cue("mail ", "contact ", "") + f"{word()} [at] {word()} [dot] com",
+        lambda: cue("", "key ", "token ") + cue("sk_live_", "ghp_", "gho_", "xoxb-", "AIza", "glpat-", "sk_test_") + letters(rng.randint(16, 40), both),
+        lambda: "Authorization: Bearer " + letters(rng.randint(20, 60), both),
+        lambda: cue("", "token ") + "eyJ" + letters(18, both) + "." + letters(30, both) + "." + letters(20, both),
+        lambda: "-----BEGIN RSA PRIVATE KEY-----\n" + letters(120, both) + "\n-----END RSA PRIVATE KEY-----",
     ]
     bad = [
-        lambda: rng.choice(["token: ", "secret: ", "password: "]) + word() + word(),
-        lambda: rng.choice(["the secret = ", "auth: "]) + rng.choice(["required", "none", "disabled", "unknown", "optional", "basic"]),
+        lambda: cue("token: ", "secret: ", "password: ", "password is ", "the key is ") + word() + word(),
+        lambda: cue("the secret = ", "auth: ", "password is ", "token: ") + cue("required", "none", "disabled", "unknown", "optional", "basic", "forgotten", "changeme", "xxxxxxxx"),
+        lambda: cue("token: ", "auth: ") + word() + cue("", "_", "-") + word() + cue("", digits(1)),
         lambda: letters(rng.randint(18, 24), up),
         lambda: "VERSION" + letters(12, up) + digits(1),
         lambda: letters(rng.choice([24, 28]), "ab") if rng.random() < 0.5 else rng.choice("0123456789") * rng.randint(24, 40),
-        lambda: rng.choice(["part ", "order no. ", "version "]) + f"{digits(3)}.{digits(3)}.{digits(4)}",
-        lambda: rng.choice(["part ", "order "]) + f"{digits(3)}-{digits(2)}-{digits(4)}",
+        lambda: cue("commit ", "sha ", "md5 ", "checksum ", "hash ") + letters(rng.choice([32, 40, 64]), hexa),
+        lambda: cue("part ", "order no. ", "version ", "serial ", "build ") + phone(),
+        lambda: cue("part ", "order ", "ticket ", "serial ") + f"{digits(3)}-{digits(2)}-{digits(4)}",
+        lambda: cue("part ", "serial ", "order ") + blocks(),
         lambda: "AB12 " + " ".join(letters(4, up) for _ in range(4)),
+        lambda: cue("", "example ") + cue("sk_test_", "ghp_", "xoxb-") + cue("x", "0", "your") * 6 + "xxxxxxxx",
+        lambda: cue("the bearer ", "a bearer ") + word() + word() + word(),
+        lambda: f"look {word()} (at) {word()} (dot) " + word()[:3] + "x",
     ]
     label = int(rng.random() < 0.5)
     return f"{fill()} {rng.choice(good if label else bad)()} {fill()}", label
@@ -162,7 +201,7 @@ class Model:
         if not found:
             return []
         p = self.forest.proba(np.array([features(text, *f) for f in found]))
-        best = sorted((-x, f) for x, f in zip(p, found, strict=True) if x >= self.thresholds.get(f[1], 1.1))
+        best = sorted((-x, f) for x, f in zip(p, found, strict=True) if x >= self.thresholds[f[1]])
         out, busy = [], sorted((s, e) for s, _, e in taken)
         for _, (s, k, e) in best:
             i = bisect.bisect_left(busy, (s, e))
@@ -173,28 +212,33 @@ class Model:
         return out
 
 
-@lru_cache(maxsize=4)
-def train(cases: int = 6000, seed: int = 11, precision: float = 0.97) -> Model:
+def cases(count: int, seed: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Features, labels and kinds of the proposals in so many made-up texts."""
     rng = random.Random(seed)
     rows, labels, kinds = [], [], []
-    for _ in range(cases):
+    for _ in range(count):
         text, label = _case(rng)
         for f in proposals(text):
             rows.append(features(text, *f))
             labels.append(label)
             kinds.append(f[1])
-    x, y, k = np.array(rows), np.array(labels, float), np.array(kinds)
+    return np.array(rows), np.array(labels, float), np.array(kinds)
+
+
+@lru_cache(maxsize=4)
+def train(count: int = 9000, seed: int = 11, precision: float = 0.97) -> Model:
+    x, y, k = cases(count, seed)
     half = len(x) * 2 // 3
     forest = trees.fit(x[:half], y[:half], trees=40)
-    p = forest.proba(x[half:])
+    p, right, kind_of = forest.proba(x[half:]), y[half:], k[half:]
     thresholds = {}
     for kind in range(len(BASE), len(KINDS)):
-        mine = k[half:] == kind
-        for t in np.unique(np.concatenate([[0.5], p[mine][p[mine] > 0.5]])):
-            sure = y[half:][mine & (p >= t)]
-            if len(sure) and sure.mean() >= precision:
-                thresholds[kind] = float(t)
-                break
+        mine = kind_of == kind
+        steps = np.unique(p[mine])
+        fit = [t for t in steps if right[mine & (p >= t)].mean() >= precision]
+        # the middle between the lowest threshold that is precise enough and the next lower score
+        below = steps[steps < fit[0]] if fit else []
+        thresholds[kind] = float((fit[0] + (below[-1] if len(below) else 0.0)) / 2) if fit else 0.5
     return Model(forest, thresholds)
 
 

@@ -382,6 +382,45 @@ def test_pii_rows_and_additions(docs, nothing, spark):
     assert pii.redacted(nothing).count() == 0
 
 
+def test_pii_additions_on_sentences_of_another_kind():
+    """Recall and precision of each kind on values and sentences that the training cases do not make."""
+    rng = random.Random(77)
+    model = pii.train()
+    assert len(set(model.thresholds.values())) > 5 and set(model.thresholds) == set(range(4, len(pii.KINDS)))
+    alnum = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789"
+    pick = lambda n, a=alnum: "".join(rng.choice(a) for _ in range(n))
+    num = lambda n: pick(n, "0123456789")
+
+
+    def iban(body):
+        check = 98 - int(body + "131400") % 97  # D is 13, E is 14
+        return f"DE{check:02d} " + " ".join(body[k : k + 4] for k in range(0, 16, 4))
+
+    makers = {
+        "secret": lambda: ("Set PASSWORD=%s before you start the server.", pick(14)), "access_key": lambda: ("The user wrote AKIA%s into the log file!", pick(16, "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567")),
+        "hex_key": lambda: ("we found the signing key %s in the image", pick(48, "0123456789abcdef")), "national_phone": lambda: ("For orders phone us: (%s) 555-0199, weekdays.", num(3)),
+        "ssn": lambda: ("His social security number, %s, was printed twice.", f"{num(3)}-{num(2)}-{num(4)}"), "iban": lambda: ("Please pay to our bank account %s today", iban(num(16))),
+        "spelled_email": lambda: ("write to jane.%s [at] mailhost [dot] org please", pick(5, "abcdefgh")), "prefixed_token": lambda: ("curl -u sk_live_%s: https://api", pick(24)),
+        "bearer": lambda: ("-H 'Authorization: Bearer %s'", pick(40)), "web_token": lambda: ("cookie eyJhbGciOi%s.sig", pick(12) + "." + pick(40)),
+        "private_key": lambda: ("-----BEGIN PRIVATE KEY-----\n%s\n-----END PRIVATE KEY-----", pick(200)),
+    }
+    for kind, make in makers.items():
+        found = 0
+        for _ in range(40):
+            frame, value = make()
+            whole = "Some text before. " + frame % value + " And after."
+            found += any(pii.KINDS[k] in pii.ADDED and value[:10] in whole[max(0, a - 4) : b] for a, k, b in model.accept(whole, pii.base_spans(whole)))
+        assert found >= 36, (kind, found)
+    clean = ["The password is forgotten by most users.", "See commit 0123456789abcdef0123456789abcdef01234567 for the fix.", "token: optional", "Order part 123-45-6789 from stock.",
+             "Bearer of good news arrived", "GH TOKENS are sold here", "version 123.456.7890 was released", "ABCDEFGHIJKLMNOPQRSTUV", "look up here (at) home (dot) xyzx"]
+    assert sum(bool(model.accept(t, [])) for t in clean) <= 1
+    # no cue depends on another word of the text, and long values are taken whole
+    long = "x" * 50 + "9" * 500
+    assert model.accept("pwd=" + long, []) == [(4, pii.KINDS.index("secret"), 554)]
+    assert pii.proposals("password: correcthorsebattery")[0][0] == 10
+    assert pii.redact("key AKIA" + "Q2" * 8 + " end", model).startswith("key [access_key]")
+
+
 def test_url_verdicts(spark):
     hosts = ["www.shop.example.com", "news.example.org", "org", "a.example.net", "pills.net", "EXAMPLE.ORG"]
     rows = [(i, f"http://{h}{p}?q=1") for i, (h, p) in enumerate((h, p) for h in hosts for p in ("/es/1", "/en/1", "/en/12", "/en/2", "/fr/", "/de/x", "", "/"))]
