@@ -3,7 +3,8 @@
 Explicit (host, path) rules label part of the pages.  FP-growth mines token sets that occur with
 those labels; sets whose confidence and support pass become association rules, kept in an inverted
 index from the rarest token of a rule to the rule.  Pages without an explicit rule are judged by
-the strongest association rule they contain, and allowed when none fits.
+the strongest association rule they contain, and allowed when none fits.  The labelled pages' tokens
+are written once, as mining reads them several times.
 
 Defined cases: a null url or one without ``://`` has empty host and path, no explicit rule and the
 verdict of its tokens (allow when it has none); repeated rows are judged alike; empty tables give
@@ -13,11 +14,13 @@ over all labelled pages, and only rules, never pages, reach the driver.
 
 from __future__ import annotations
 
+from itertools import combinations
+
 from pyspark.ml.fpm import FPGrowth
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from gistloom.llm.shared import LOWER, UPPER
+from gistloom.llm.shared import LOWER, UPPER, materialize
 
 RULES = (("org", "/", "allow"), ("example.org", "/es/", "block"), ("example.org", "/en/1", "block"), ("com", "/fr/", "allow"), ("com", "/de/", "block"))
 BLOCK_ITEM, ALLOW_ITEM = "=block", "=allow"
@@ -83,11 +86,12 @@ def mine_rules(labelled: DataFrame, min_support: float = 0.002, min_confidence:
         raise ValueError(f"over {max_rules} association rules: raise min_support or min_confidence")
     mined = [(tuple(r.tokens), r.mark[1:], r.confidence, r.support) for r in rows]
     strongest = sorted(mined, key=lambda r: (-r[2], -len(r[0]), -r[3], r[1] != "block", r[0]))
-    minimal: list[tuple] = []
-    for rule in sorted(strongest, key=lambda r: len(r[0])):  # a rule is redundant when a part of it says the same as surely
-        if not any(set(m[0]) < set(rule[0]) and m[1] == rule[1] and m[2] >= rule[2] for m in minimal):
-            minimal.append(rule)
-    return [r for r in strongest if r in minimal]
+    sure: dict[tuple, float] = {}  # of the rules that stay, by tokens and verdict
+    for tokens, verdict, confidence, _ in sorted(strongest, key=lambda r: len(r[0])):
+        parts = (part for size in range(1, len(tokens)) for part in combinations(sorted(tokens), size))
+        if all(sure.get((part, verdict), -1.0) < confidence for part in parts):  # else a part of it says the same as surely
+            sure[tuple(sorted(tokens)), verdict] = confidence
+    return [r for r in strongest if (tuple(sorted(r[0])), r[1]) in sure]
 
 
 def match_rules(items: Column, mined: list[tuple]) -> Column:
@@ -121,7 +125,8 @@ def judge(pages: DataFrame, rules=RULES, **mining) -> DataFrame:
     seen = pages.select("page_id", "url").withColumn("host", host_of(F.col("url"))).withColumn("path", path_of(F.col("url")))
     seen = seen.withColumn("_gl_rule", explicit_rule(F.col("host"), F.col("path"), rules))
     seen = seen.withColumn("_gl_items", url_tokens(F.col("host"), F.col("path"), F.col("url")))
-    labelled = seen.where(F.col("_gl_rule").isNotNull()).select(F.col("_gl_items").alias("items"), F.col("_gl_rule.verdict").alias("verdict"))
+    labelled = materialize(
+        seen.where(F.col("_gl_rule").isNotNull()).select(F.col("_gl_items").alias("items"), F.col("_gl_rule.verdict").alias("verdict")), "basket")
     mined = mine_rules(labelled, **mining)
     seen = seen.withColumn("learned", match_rules(F.col("_gl_items"), mined))
     verdict = F.coalesce(F.col("_gl_rule.verdict"), F.col("learned"), F.lit("allow"))

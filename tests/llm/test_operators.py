@@ -444,6 +444,82 @@ def test_url_rules_are_mined(spark):
     assert best[("h:bad",)][:2] == ("block", 1.0) and best[("h:good",)][0] == "allow" and ("p:x",) not in best
 
 
+def brute_mined(labelled, support, confidence, most):
+    """All token sets of up to ``most`` tokens, counted one by one, and the rules that no part makes redundant."""
+    from itertools import combinations
+
+    body, joint = {}, {}
+    for items, verdict in labelled:
+        for k in range(1, most + 1):
+            for part in combinations(sorted(set(items)), k):
+                body[part] = body.get(part, 0) + 1
+                joint[part, verdict] = joint.get((part, verdict), 0) + 1
+    least = max(1, int(support * len(labelled)))
+    rules = {(p, v): n / body[p] for (p, v), n in joint.items() if n >= support * len(labelled) and n >= least and n >= confidence * body[p]}
+    kept = {}
+    for (p, v), c in sorted(rules.items(), key=lambda r: len(r[0][0])):
+        if not any(w == v and set(q) < set(p) and d >= c for (q, w), d in kept.items()):
+            kept[p, v] = c
+    return [(p, v, c, joint[p, v]) for (p, v), c in kept.items()]
+
+
+def test_url_mining_and_verdicts_against_brute_force(spark):
+    """Mined rules, and what they say of every page, on urls with long, odd and repeated rows and clashing columns."""
+    rng = random.Random(21)
+    rows = []
+    for i in range(500):
+        bad = rng.random() < 0.5
+        host = rng.choice(["shop", "blog", "www", "casino" if bad else "school"]) + rng.choice([".a", ".b", "-x"]) + rng.choice([".example.org", ".com", ".net", ".org"])
+        path = rng.choice(["/es/", "/en/1/", "/fr/", "/de/", "/"]) + rng.choice(["win" if bad else "learn", "page"]) + "?" + rng.choice(["id", "ref"]) + "=1"
+        rows.append((i, f"http://{host}{path}", "x"))
+    rows += [(600, "http://casino.net/" + "a/" * 5000 + "win?id=1", "x"), (601, "http://" + "l." * 3000 + "school.net", "x"), (602, None, "x"), rows[0]]
+    got = urls.judge(spark.createDataFrame(rows, "page_id long, url string, verdict string")).collect()
+    assert len(got) == len(rows)
+
+    def tokens(url):
+        m = re.search(r"://([^/?#]*)([^?#]*)", url or "", re.S)
+        host, path = (m.group(1).lower(), m.group(2)) if m else ("", "")
+        labels = [x for x in host.split(".") if x]
+        parts = [p for x in labels for p in x.split("-") if p]
+        return {*("h:" + x for x in labels + parts), *("p:" + x for x in path.split("/") if x and not re.search("[0-9]", x)), *("q:" + x for x in re.findall("[?&]([A-Za-z_]+)=", url or ""))}
+
+    by = {i: tokens(u) for i, u, _ in rows}
+    labelled = [(by[r.page_id], r.verdict) for r in got if r.rule is not None]
+    mined = brute_mined(labelled, 0.002, 0.8, 3)
+    order = sorted(mined, key=lambda r: (-r[2], -len(r[0]), -r[3], r[1] != "block", r[0]))
+    for r in got:
+        fits = [v for p, v, _, _ in order if set(p) <= by[r.page_id]]
+        assert r.learned == (fits[0] if fits else None)
+    assert {r.learned for r in got} >= {"allow", "block"}
+
+
+def test_quality_statistics_by_hand():
+    """Every statistic of odd texts, computed word by word."""
+    texts = ["", None, "One two two THREE!!", "a|b|c\n#x 12 é", " \t\n ", "same line\nsame line\n\nother", "x" * 5000 + " y", "Ünï cödé 123"]
+    got = quality_model.statistics(pa.array(texts, pa.string()))
+    assert got.shape[0] == len(texts) and np.isfinite(got).all()
+    assert (got[0] == got[1]).all()
+    whole = quality_model.statistics(pa.array([t for t in texts for _ in range(2)], pa.string()))
+    assert (whole[0::2] == got).all() and (whole[1::2] == got).all()  # a text's row depends on nothing around it
+    kinds = [(1, "ABCDEFGHIJKLMNOPQRSTUVWXYZ"), (2, "abcdefghijklmnopqrstuvwxyz"), (3, "0123456789"), (4, "#*$%&<>"), (5, "|"), (6, "!"), (7, ".,;:?"), (8, "\n"), (9, "\t\x0b\f\r ")]
+    of = {ord(c): k for k, cs in kinds for c in cs}
+    for t, row in zip(texts, got, strict=True):
+        raw = (t or "").encode()
+        count = [0.0] * 12
+        for c in raw:
+            count[of.get(c, 0 if c < 128 else 10 if c < 192 else 11)] += 1
+        w = re.findall(rb"[^\x20\x09-\x0D]+", raw)
+        low = [x.lower() for x in w]
+        size, n = [len(x) for x in w], max(1, len(w))
+        two = list(zip(low, low[1:], strict=False))
+        lines = [x for x in raw.split(b"\n") if x.strip()] if w else []
+        mean = sum(size) / n
+        spread = max(0.0, sum(x * x for x in size) / n - mean**2) ** 0.5
+        want = [c / max(1, len(raw)) for c in count] + [count[k] / n for k in (4, 5, 6, 1, 3, 7)]
+        want += [np.log1p(len(raw)), np.log1p(len(w)), mean, spread, np.log1p(max(size, default=0)), len(set(low)) / n, len(set(two)) / max(1, len(two)), len(lines) / n, len(set(lines)) / max(1, len(lines))]
+        assert np.allclose(row, want, atol=1e-9), t
+
+
 def test_warc_round_trip(spark):
     rows = [(5, "http://a/\r\nX: y", "<p>é</p>", "x"), (3, None, "<p>é</p>", "x"), (7, "u", None, "x"), (8, "u", "", "x"), (9, "u", "a\r\n\r\nWARC/1.1\r\n" * 3000, "x"), (10, "u", "solo", "x"), (10, "u", "solo", "x")]
     pages = spark.createDataFrame(rows, "page_id long, url string, html string, refers_to string")
