@@ -11,6 +11,7 @@ from collections.abc import Callable, Iterator
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, StringType, StructField, StructType
 
 from gistloom.operators.measures import rouge
 
@@ -59,7 +60,7 @@ def generate(prompts: DataFrame, answerer=extractive) -> DataFrame:
         for f in frames:
             yield f.assign(answer=[list(model(list(c), list(q))) for c, q in zip(f["context"], f["question"], strict=True)])
 
-    schema = prompts.schema.add("answer", EMPTY)
+    schema = StructType([*prompts.schema.fields, StructField("answer", ArrayType(StringType()))])
     return prompts.mapInPandas(run, schema)
 
 

@@ -166,7 +166,8 @@ def table_accuracy(tables: DataFrame, asked: DataFrame, places: DataFrame, key:
         F.when(F.col("place") <= most, F.lit("top_rows")), F.when(F.col("row_no") <= most, F.lit("head_rows")), F.lit("full_table")), lambda m: m.isNotNull())).alias("meth"))
     given = kept.groupBy("meth", "doc_id", "query_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("row_no", "line"))), lambda x: x["line"]).alias("lines"))
     all_rows = lines.groupBy("doc_id").agg(F.count("*").alias("n_rows"))
-    told = given.join(asked.select("query_id", "key", "column_name", "gold_value"), "query_id").join(all_rows, "doc_id")
+    every = asked.select("doc_id", "query_id", "key", "column_name", "gold_value", F.explode(F.array(*[F.lit(m) for m in ("top_rows", "head_rows", "full_table")])).alias("meth"))
+    told = every.join(given, ["meth", "doc_id", "query_id"], "left").withColumn("lines", F.coalesce("lines", F.array().cast("array<string>"))).join(all_rows, "doc_id")
     right = F.coalesce(read_cell(F.col("lines"), key, F.col("key"), F.col("column_name")) == F.col("gold_value"), F.lit(False)).cast("int")
     return told.groupBy("meth").agg(F.count("*").alias("n_queries"), F.round(F.avg(right), 6).alias("accuracy"), F.round(F.sum(F.size("lines")) / F.sum("n_rows"), 6).alias("row_usage"))
 

@@ -112,21 +112,24 @@ def cache_state(events: DataFrame, ttl: str | None = None) -> DataFrame:
         if state.hasTimedOut:
             state.remove()
             return
-        held, hits, misses = state.get if state.exists else ("", 0, 0)
+        held, hits, misses, until = state.get if state.exists else ("", 0, 0, 0)
+        if seconds is not None and until <= state.getCurrentWatermarkMs():  # expired, but new rows came first
+            held, hits, misses = "", 0, 0
         rows = pd.concat(list(frames)).sort_values(["ts", "event_id"])
         for kind in rows.event_type:
             if kind == held:
                 hits += 1
             else:
                 held, misses = kind, misses + 1
-        state.update((held, hits, misses))
         if seconds is not None:
-            state.setTimeoutTimestamp(max(int(rows.ts.max().timestamp() * 1000) + 1000 * seconds, state.getCurrentWatermarkMs() + 1))
+            until = int(rows["_gl_ms"].max()) + 1000 * seconds
+            state.setTimeoutTimestamp(max(until, state.getCurrentWatermarkMs() + 1))
+        state.update((held, hits, misses, until))
         yield pd.DataFrame({"user_id": [key[0]], "hits": [hits], "misses": [misses]})
 
     timeout = GroupStateTimeout.NoTimeout if ttl is None else GroupStateTimeout.EventTimeTimeout
-    kept = events if ttl is None else events.withWatermark("ts", LATE)
-    return kept.groupBy("user_id").applyInPandasWithState(step, "user_id long, hits long, misses long", "held string, hits long, misses long", "update", timeout)
+    kept = events if ttl is None else events.withWatermark("ts", LATE).withColumn("_gl_ms", F.unix_millis("ts"))
+    return kept.groupBy("user_id").applyInPandasWithState(step, "user_id long, hits long, misses long", "held string, hits long, misses long, until long", "update", timeout)
 
 
 def each_batch(stream: DataFrame, work: Callable[[DataFrame, int], None], folder: str) -> None:
