@@ -28,13 +28,19 @@ def register(name: str, sql: str | None = None):
 
 
 def held(spark: SparkSession, sf_dir: str, name: str, build) -> DataFrame:
-    """Shared prefixes of the queries, persisted for the session that asked first."""
+    """Shared prefixes of the queries, persisted for the session that asked first, until ``let_go``."""
     key = (spark.sparkContext.applicationId, sf_dir, name)
     if key not in _HELD:
         _HELD[key] = build().persist()
     return _HELD[key]
 
 
+def let_go() -> None:
+    """Free what ``held`` keeps; the next query builds it anew."""
+    while _HELD:
+        _HELD.popitem()[1].unpersist()
+
+
 class Core:
     """Documents that contain a benchmark passage, three kinds of questions on them, and their scores."""
 
@@ -801,18 +807,6 @@ def w1_questions(spark, sf_dir):
     return Core(spark, sf_dir).questions.select("query_id", "kind", F.size("tokens").alias("n"), F.col("first_pos").cast("int").alias("first_pos"), F.col("last_pos").cast("int").alias("last_pos"))
 
 
-@register("judge_exact", C.core("pas as (select item_id, regexp_extract_all(text, " + T + ") as ts from benchmark)", "op as (select q.query_id, p.item_id as option_id, p.ts, split_part(substr(q.query_id, 2), '@', 1)::bigint as item_id from q join pas p on q.kind = 'passage')",
-          "opr as (select *, row_number() over (partition by query_id order by (option_id = item_id)::int desc, md5(query_id || ':' || option_id)) as o from op)",
-          tail="select query_id, option_id from opr where o <= 4"))
-def judge_exact(spark, sf_dir):
-    """Multiple-choice options: the true half and three of other passages, by md5 order."""
-    c = Core(spark, sf_dir)
-    asked = c.questions.where("kind = 'passage'").select("query_id", F.regexp_extract("query_id", "^p([0-9]+)@", 1).cast("long").alias("item_id"))
-    options = W.load(spark, sf_dir, "benchmark").select(F.col("item_id").alias("option_id"))
-    order = Window.partitionBy("query_id").orderBy(F.when(F.col("option_id") == F.col("item_id"), 0).otherwise(1), F.md5(F.concat_ws(":", "query_id", F.col("option_id").cast("string"))))
-    return options.crossJoin(F.broadcast(asked)).withColumn("o", F.row_number().over(order)).where("o <= 4").select("query_id", "option_id")
-
-
 _FIELD = {"science": (9, 1000, 1000000000, 12, "s"), "notice": (6, 200, 500, 6, "n")}
 
 

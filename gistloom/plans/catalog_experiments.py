@@ -178,21 +178,42 @@ sc2 as (select meth, b, query_id, right_id, option_id, len(list_intersect(list_d
 ch as (select meth, b, query_id, any_value(right_id) as right_id, arg_max(option_id, (score, -option_id)) as chosen from sc2 group by meth, b, query_id)"""
 
 
-def _choices(spark, sf_dir) -> DataFrame:
-    """meth, b, query_id, right_id, chosen: of the true second half and the next three passages by md5 order, what the context holds most of."""
-    c = CC.Core(spark, sf_dir)
+def _options(spark, sf_dir) -> DataFrame:
+    """right_id, option_id, option: the second half of a passage and of the three passages after it in a ring by md5 order."""
     ring = Window.partitionBy(F.lit(0)).orderBy(F.md5(F.col("item_id").cast("string")), "item_id")
     ts = words(F.col("text"))
     items = W.load(spark, sf_dir, "benchmark").select("item_id", F.slice(ts, F.floor(F.size(ts) / 2).cast("int") + 1, F.size(ts)).alias("option"))
     ids = items.select("item_id", F.row_number().over(ring).alias("no")).withColumn("m", F.max("no").over(Window.partitionBy(F.lit(0))))
     slots = ids.select(F.col("item_id").alias("right_id"), F.explode(F.transform(F.sequence(F.lit(0), F.lit(3)), lambda k: F.pmod(F.col("no") - 1 + k, F.col("m")) + 1)).alias("no")).distinct()
-    options = slots.join(ids.select("no", F.col("item_id").alias("option_id")), "no").join(items.select(F.col("item_id").alias("option_id"), "option"), "option_id").select("right_id", "option_id", "option")
-    asked = c.questions.where("kind = 'passage'").select("query_id", F.regexp_extract("query_id", "^p([0-9]+)@", 1).cast("long").alias("right_id"))
+    return slots.join(ids.select("no", F.col("item_id").alias("option_id")), "no").join(items.select(F.col("item_id").alias("option_id"), "option"), "option_id").select("right_id", "option_id", "option")
+
+
+def _asked_items(spark, sf_dir) -> DataFrame:
+    asked = CC.Core(spark, sf_dir).questions.where("kind = 'passage'")
+    return asked.select("query_id", F.regexp_extract("query_id", "^p([0-9]+)@", 1).cast("long").alias("right_id"))
+
+
+def _choices(spark, sf_dir) -> DataFrame:
+    """meth, b, query_id, right_id, chosen: the option that the context holds most of."""
+    c = CC.Core(spark, sf_dir)
     text = _passages(spark, sf_dir).join(c.tok.select("doc_id", "tokens"), "doc_id").select("meth", "b", "query_id", answers.context_tokens(F.col("tokens"), F.col("spans")).alias("context"))
-    scored = text.join(asked, "query_id").join(options, "right_id").withColumn("score", answers.overlap(F.col("context"), F.col("option")))
+    scored = text.join(_asked_items(spark, sf_dir), "query_id").join(_options(spark, sf_dir), "right_id").withColumn("score", answers.overlap(F.col("context"), F.col("option")))
     return scored.groupBy("meth", "b", "query_id", "right_id").agg(F.max(F.struct("score", (-F.col("option_id")).alias("minus"))).alias("best")).select("meth", "b", "query_id", "right_id", (-F.col("best.minus")).alias("chosen"))
 
 
+@register("judge_options", C.core(_CHOICE.rsplit(",\nsc2 as", 1)[0], tail="select query_id, option_id from op"))
+def judge_options(spark, sf_dir):
+    """The options of every multiple-choice question; each meets four rows, no question meets all passages."""
+    return _asked_items(spark, sf_dir).join(_options(spark, sf_dir), "right_id").select("query_id", "option_id")
+
+
+@register("judge_exact", grid_sql("select query_id, right_id, chosen, chosen = right_id as fits from ch where meth = 'auto' and b = 0.1", _ANSWERS, _CHOICE))
+def judge_exact(spark, sf_dir):
+    """Multiple choice at a budget of 10%: the chosen option, and whether it is the right one."""
+    rows = _choices(spark, sf_dir).where("meth = 'auto' and b = 0.1")
+    return rows.select("query_id", "right_id", "chosen", (F.col("chosen") == F.col("right_id")).alias("fits"))
+
+
 @register("judge_choice", grid_sql("select meth, b::double as budget, count(*) as n_queries, round(avg((chosen = right_id)::int), 6) as accuracy from ch group by meth, b", _ANSWERS, _CHOICE))
 def judge_choice(spark, sf_dir):
     """Multiple choice: the option chosen is the right one."""
@@ -466,3 +487,50 @@ def load_checked(spark, sf_dir):
 
     docs = checked(spark, f"{sf_dir}/documents.parquet", "doc_id bigint, text string, lang string")
     return docs.agg(F.count("*").alias("n"), F.count_distinct("lang").alias("langs"))
+
+
+# ---- structural noise in web pages --------------------------------------------------------------------
+
+def _page_text(html):
+    """Tags as tokens of their own, every paragraph a line."""
+    spaced = F.regexp_replace(html, "<[^>]*>", " $0 ")
+    return F.regexp_replace(F.regexp_replace(spaced, "<p>", "\n<p>"), "</p>", "</p>\n")
+
+
+def _pages(spark, sf_dir) -> tuple[DataFrame, DataFrame]:
+    """Pages as documents, and their titles as questions with the paragraphs as evidence."""
+    pages = W.load(spark, sf_dir, "pages").where("html is not null")
+    docs = pages.select(F.col("page_id").alias("doc_id"), _page_text(F.col("html")).alias("text"))
+    title = words(F.regexp_extract("html", "<title>([^<]*)</title>", 1))
+    asked = pages.select(F.col("page_id").alias("doc_id"), F.concat(F.lit("title@"), F.col("page_id").cast("string")).alias("query_id"), title.alias("tokens")).where(F.size("tokens") > 0)
+    lines = W.lines_of(docs, least=1).where(F.col("ts")[0] == "<p>")
+    span = F.struct(F.col("off").cast("int").alias("first_pos"), (F.col("off") + F.size("ts")).cast("int").alias("last_pos"))
+    golds = lines.groupBy("doc_id").agg(F.array_sort(F.collect_list(span)).alias("golds"))
+    return docs, asked.join(golds, "doc_id")
+
+
+_PAGES = rf"""asked as (select page_id as doc_id, regexp_replace(regexp_replace(regexp_replace(html, '<[^>]*>', ' \0 ', 'g'), '<p>', chr(10) || '<p>', 'g'), '</p>', '</p>' || chr(10), 'g') as text, html from pages where html is not null),
+lns as (select doc_id, unnest(range(len(ls))) as ln, unnest(ls) as l from (select doc_id, string_split(text, chr(10)) as ls from asked)),
+lt as (select doc_id, ln, regexp_extract_all(l, {C.T}) as ts from lns),
+gp as (select doc_id, row_number() over (partition by doc_id order by ln, i) - 1 as pos, ts[1] = '<p>' as gold from (select doc_id, ln, ts, unnest(range(len(ts))) as i from lt)),
+q as (select doc_id, 'title@' || doc_id as query_id, regexp_extract_all(regexp_extract(html, '<title>([^<]*)</title>', 1), {C.T}) as toks from asked
+  where len(regexp_extract_all(regexp_extract(html, '<title>([^<]*)</title>', 1), {C.T})) > 0 and doc_id in (select doc_id from gp where gold)),
+aq as (select doc_id, query_id, toks from q union all select distinct doc_id, 'fixed@' || doc_id, {C.FIXED} from q)"""
+
+
+@register("w6_questions", "with recursive " + _PAGES + "\nselect query_id, len(toks)::int as n, (select count(*) from gp where gp.doc_id = q.doc_id and gold) as n_gold from q")
+def w6_questions(spark, sf_dir):
+    size = F.aggregate("golds", F.lit(0).cast("long"), lambda s, g: s + g["last_pos"] - g["first_pos"])
+    return _pages(spark, sf_dir)[1].select("query_id", F.size("tokens").alias("n"), size.alias("n_gold"))
+
+
+@register("w6_noise_share", "with recursive " + ",\n".join([_PAGES, C.SCORES, C.diff("raw", "fixed"), C.windows(("0.1", "0.2")), C.TRIM])
+          + "\nselect meth, b::double as budget, count(distinct query_id) as n_queries, round(1 - sum(gold::int) / count(*), 6) as noise from kept join gp using (doc_id, pos) group by meth, b")
+def w6_noise_share(spark, sf_dir):
+    """Share of the kept tokens that are tags, navigation, script or advertisement, without and with the contrast."""
+    docs, asked = _pages(spark, sf_dir)
+    asked = CC.held(spark, sf_dir, "pages-asked", lambda: asked)
+    tok = CC.held(spark, sf_dir, "pages-tok", lambda: W.asked_documents(docs, asked))
+    scores = CC.held(spark, sf_dir, "pages-scores", lambda: R.vectors(tok, asked))
+    found = X.judged(X.contexts(tok, asked, scores, ("0.1", "0.2"), ("raw", "fixed")), asked)
+    return _budget(found.groupBy("meth", "b").agg(F.count_distinct("query_id").alias("n_queries"), F.round(1 - F.sum("n_in") / F.sum("n_used"), 6).alias("noise")))
