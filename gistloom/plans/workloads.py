@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -21,15 +22,48 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def contained_passages(docs: DataFrame, passages: DataFrame) -> DataFrame:
     """doc_id, item_id, text, passage, at: passages that occur in a document, at their first place.
 
-    The first five tokens of a passage are its probe; documents are probed by an equi-join on hashes of
-    their own five-token runs and only hits are compared as text, so no cross join is needed.
+    Passages within a counted bound of rows and bytes are searched all at once, by an automaton that
+    reads every text once; more of them by an equi-join on hashes of five-token runs, whose hits are
+    compared as text.  There is no cross join in either.
     """
-    probe = passages.select("item_id", F.col("text").alias("passage"), F.xxhash64(F.slice(words(F.col("text")), 1, PROBE)).alias("probe"))
-    size = probe.agg(F.count("*").alias("rows"), F.coalesce(F.sum(F.octet_length("passage")), F.lit(0)).alias("bytes")).first()
-    small = F.broadcast(probe) if size.rows <= BROADCAST_PASSAGES and size.bytes <= BROADCAST_BYTES else probe
+    held = passages.select("item_id", F.col("text").alias("passage")).where(F.char_length("passage") > 0)
+    size = held.agg(F.count("*").alias("rows"), F.coalesce(F.sum(F.octet_length("passage")), F.lit(0)).alias("bytes")).first()
+    if size.rows <= BROADCAST_PASSAGES and size.bytes <= BROADCAST_BYTES:
+        return _found_by_automaton(docs, [(r.item_id, r.passage) for r in held.collect()])
+    return _found_by_probe(docs, held)
+
+
+def _found_by_automaton(docs: DataFrame, passages: list[tuple[int, str]]) -> DataFrame:
+    names = ["doc_id", "item_id", "text", "passage", "at"]
+
+    def run(batches):
+        import ahocorasick
+
+        ids: dict[str, list] = {}
+        for item, passage in passages:
+            ids.setdefault(passage, []).append(item)
+        machine = ahocorasick.Automaton()
+        for passage in ids:
+            machine.add_word(passage, passage)
+        machine.make_automaton()
+        for b in batches:
+            rows = []
+            for doc, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                first: dict[str, int] = {}
+                for end, passage in machine.iter(text or "") if ids else ():
+                    first.setdefault(passage, end - len(passage) + 2)
+                rows += [(doc, item, text, passage, at) for passage, at in first.items() for item in ids[passage]]
+            kinds = (pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int32())
+            yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], kind) for k, kind in enumerate(kinds)], names)
+
+    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, item_id long, text string, passage string, at int")
+
+
+def _found_by_probe(docs: DataFrame, passages: DataFrame) -> DataFrame:
+    probe = passages.select("item_id", "passage", F.xxhash64(F.slice(words(F.col("passage")), 1, PROBE)).alias("probe"))
     toks = docs.select("doc_id", words(F.col("text")).alias("t"))
     runs = F.when(F.size("t") > 0, F.transform(F.sequence(F.lit(1), F.greatest(F.size("t") - (PROBE - 1), F.lit(1))), lambda i: F.xxhash64(F.slice("t", i, F.lit(PROBE))))).otherwise(F.array().cast("array<long>"))
-    hits = toks.select("doc_id", F.explode(runs).alias("probe")).join(small, "probe").select("doc_id", "item_id", "passage").distinct()
+    hits = toks.select("doc_id", F.explode(runs).alias("probe")).join(probe, "probe").select("doc_id", "item_id", "passage").distinct()
     return hits.join(docs.select("doc_id", "text"), "doc_id").withColumn("at", F.expr("position(passage, text)")).where("at > 0")
 
 

@@ -151,10 +151,21 @@ def test_evidence_and_rouge(spark):
     assert abs(spark.range(1).select(measures.rouge(t("a b b c"), t("b b d")).alias("f")).first().f - 4 / 7) < 1e-9
 
 
-def test_passages_are_found_by_probe(spark):
+def test_passages_are_found(spark, monkeypatch):
     d = spark.createDataFrame([(1, "x one two three four five six y"), (2, "one two three four five zzz"), (3, None)], "doc_id long, text string")
     p = spark.createDataFrame([(7, "one two three four five six")], "item_id long, text string")
     assert [(r.doc_id, r["at"]) for r in W.contained_passages(d, p).collect()] == [(1, 3)]
+    rng = random.Random(12)
+    word = lambda: rng.choice(["é", "bb", "c", "dd", "\U0001f600"])
+    items = [(k, " ".join(word() for _ in range(rng.randint(5, 7)))) for k in range(40)] + [(90, "é bb c dd é"), (91, "é bb c dd é"), (92, ""), (93, None)]
+    texts = [(k, " ".join(word() for _ in range(rng.randint(0, 300)))) for k in range(30)] + [(40, None), (41, "")]
+    many, held = spark.createDataFrame(texts, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")
+    want = {(d, i, t.index(x) + 1) for d, t in texts for i, x in items if t and x and x in t}
+    assert {(r.doc_id, r.item_id, r["at"]) for r in W.contained_passages(many, held).collect()} == want
+    monkeypatch.setattr(W, "BROADCAST_PASSAGES", 0)
+    probed = {(r.doc_id, r.item_id, r["at"]) for r in W.contained_passages(many, held).collect()}
+    runs = {(d, i, a) for d, i, a in want for t in [f" {dict(texts)[d]} "] if f" {' '.join(dict(items)[i].split()[:5])} " in t}
+    assert runs <= probed <= want
 
 
 def test_plans_push_down_and_prune(spark):
