@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from gistloom.functions.tokens import tokenize, words
 from gistloom.operators import attention, chunking, measures, retrieval, scoring, selection
 from gistloom.plans import core_sql as C
+from gistloom.plans import experiments as X
 from gistloom.plans import reduce as R
 from gistloom.plans import workloads as W
 
@@ -453,13 +454,17 @@ def table_k_sweep_all(spark, sf_dir):
 
 
 @register("w4_accuracy", table_sql("""select 'top4' as method, round((select avg((place <= 4)::int) from rk join q using (doc_id, query_id) where row_no = gold_row), 6) as accuracy,
-  round((select sum((place <= 4)::int) / count(*) from rk), 6) as row_usage union all select 'full_table', 1.0, 1.0"""))
+  round((select sum((place <= 4)::int) / count(*) from rk), 6) as row_usage
+union all select 'head4', round((select avg((gold_row <= 4)::int) from q), 6), round((select sum((row_no <= 4)::int) / count(*) from rk), 6)
+union all select 'full_table', round((select avg((regexp_extract(line, '"' || column_name || '": ([^ ]+)', 1) = gold_value)::int) from tquest join tl on tl.table_id = tquest.table_id and contains(line, '"l_partkey": ' || l_partkey || ' ,')), 6),
+  round((select sum(given) / sum(n) from (select doc_id, query_id, count(*) as given from rk group by 1, 2) join (select table_id as doc_id, count(*) as n from tl group by 1) using (doc_id)), 6)"""))
 def w4_accuracy(spark, sf_dir):
+    """Cells read out of the four best rows, the first four, and all rows."""
     places, asked = _row_places(spark, sf_dir)
-    gold = places.join(asked.select("query_id", F.col("gold_row").alias("row_no")), ["query_id", "row_no"]).agg(F.round(F.avg((F.col("place") <= 4).cast("int")), 6).alias("accuracy"))
-    usage = places.agg(F.round(F.sum((F.col("place") <= 4).cast("int")) / F.count("*"), 6).alias("row_usage"))
-    top = gold.crossJoin(usage).select(F.lit("top4").alias("method"), "accuracy", "row_usage")
-    return top.union(spark.createDataFrame([("full_table", 1.0, 1.0)], top.schema))
+    tables = _tables(spark, sf_dir)[0].select(F.col("table_id").alias("doc_id"), "row_no", W.row_text().alias("line"))
+    told = X.table_accuracy(tables, asked.withColumn("key", F.col("tokens")[2]), places, "l_partkey", 4)
+    name = F.when(F.col("meth") == "top_rows", "top4").when(F.col("meth") == "head_rows", "head4").otherwise(F.col("meth"))
+    return told.select(name.alias("method"), "accuracy", "row_usage")
 
 
 @register("row_usage", table_sql("select doc_id, (count(*) filter (where place <= 4) / count(*))::double as usage from rk group by doc_id"))
