@@ -45,22 +45,25 @@ def _covered(starts: Column) -> Column:
     return F.aggregate(starts, F.struct(F.lit(0).alias("end"), F.lit(0).alias("sum")), step, lambda s: s["sum"])
 
 
-def _repeated_starts(hashes: Column) -> Column:
-    pairs = F.array_sort(F.transform(hashes, lambda h, i: F.struct(h.alias("h"), i.alias("i"))))
+def _repeated_starts(pairs: Column) -> Column:
+    """Sorted i of the pairs (h, i) whose h occurs twice or more."""
     same = lambda s, a, b: F.get(s, a)["h"] == F.get(s, b)["h"]
 
     def alike(s: Column) -> Column:
         places = F.filter(F.sequence(F.lit(0), F.size(s) - 1), lambda j: F.coalesce(same(s, j, j + 1), F.lit(False)) | F.coalesce(same(s, j, j - 1), F.lit(False)))
         return F.array_sort(F.transform(places, lambda j: F.get(s, j)["i"]))
 
-    return let(pairs, alike)
+    return let(F.array_sort(pairs), alike)
 
 
 def repeated_words(words: Column) -> Column:
     """Words inside any window of 8 words that the text has twice or more, first copies included."""
     starts = F.sequence(F.lit(1), F.size(words) - (WINDOW - 1))
     hashes = F.transform(starts, lambda i: F.xxhash64(F.slice(words, i, F.lit(WINDOW))))
-    counted = let(hashes, lambda h: F.when(F.size(F.array_distinct(h)) == F.size(h), F.lit(0)).otherwise(_covered(_repeated_starts(h))))
+    # different hashes are different windows; equal ones are compared word by word
+    alike = lambda h: _repeated_starts(F.transform(h, lambda x, i: F.struct(x.alias("h"), i.alias("i"))))
+    equal = lambda at: _repeated_starts(F.transform(at, lambda i: F.struct(F.slice(words, i + 1, F.lit(WINDOW)).alias("h"), i.alias("i"))))
+    counted = let(hashes, lambda h: F.when(F.size(F.array_distinct(h)) == F.size(h), F.lit(0)).otherwise(_covered(equal(alike(h)))))
     return F.when(F.size(words) <= WINDOW, F.lit(0)).otherwise(counted).cast("long")
 
 
