@@ -14,17 +14,24 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from gistloom.staging import fresh_path
+from gistloom.staging import fresh_path, is_folder
 
 LATE = "10 minutes"
 
 
 def source(spark: SparkSession, sf_dir: str, table: str = "events") -> DataFrame:
-    """The table as a file stream with a declared schema; events carry a timestamp for watermarks."""
+    """The table as a file stream with a declared schema; events carry a timestamp for watermarks.
+
+    A table is one file, or a folder of files as Spark writes it; the filter on names would find none of the latter's.
+    """
     path = f"{sf_dir}/{table}.parquet"
     schema = spark.read.parquet(path).schema
-    folder, _, name = path.rpartition("/")
-    stream = spark.readStream.schema(schema).option("pathGlobFilter", name).parquet(folder)
+    reader = spark.readStream.schema(schema)
+    if is_folder(spark, path):
+        stream = reader.parquet(path)
+    else:
+        folder, _, name = path.rpartition("/")
+        stream = reader.option("pathGlobFilter", name).parquet(folder)
     return stream.withColumn("ts", F.col("ts").cast("timestamp")) if "ts" in schema.names else stream
 
 
@@ -60,8 +67,14 @@ def drain(stream: DataFrame, mode: str = "append", keys: tuple[str, ...] = ()) -
 def questions_in_batches(turns: DataFrame, work: Callable[[DataFrame], DataFrame], schema) -> DataFrame:
     """Rows that ``work`` makes of the questions of each micro-batch; a repeated batch replaces its rows."""
     spark, out = turns.sparkSession, fresh_path(turns.sparkSession, "reduced")
-    each_batch(turns, lambda rows, no: work(rows).write.mode("overwrite").parquet(f"{out}/batch={no}"), fresh_path(spark, "reduced-log"))
-    return spark.read.schema(schema).parquet(f"{out}/*")
+    batches: set[int] = set()
+
+    def write(rows: DataFrame, no: int) -> None:
+        work(rows).write.mode("overwrite").parquet(f"{out}/batch={no}")
+        batches.add(no)
+
+    each_batch(turns, write, fresh_path(spark, "reduced-log"))
+    return spark.read.schema(schema).parquet(f"{out}/*") if batches else spark.createDataFrame([], schema)
 
 
 def rate(spark: SparkSession, rows: int = 50, batches: int = 1) -> DataFrame:

@@ -259,3 +259,17 @@ def test_align_budgets_takes_the_largest_that_fits(spark):
     got = {str(r.b.normalize()): r.spans[0].last_pos for r in X.align_budgets(swept, ("0.05", "0.3", "1")).collect()}
     assert got == {"0.05": 12, "0.3": 24, "1": 48}
     assert retrieval.LENGTH == 128 and measures.rank_methods is not None
+
+
+def test_streams_read_tables_of_several_files(spark, tmp_path):
+    """A table written as a folder streams all of its rows; a stream without files gives no rows."""
+    from gistloom.streaming import questions as S
+
+    turns = [(c, t, "user" if t % 2 else "assistant", f"words of turn {t} about copper {c}") for c in range(6) for t in range(4)]
+    spark.createDataFrame(turns, "conv_id long, turn int, role string, text string").repartition(3).write.parquet(f"{tmp_path}/conversations.parquet")
+    assert {(r.conv_id, r.turn) for r in S.drain(S.source(spark, str(tmp_path), "conversations")).collect()} == {(c, t) for c, t, _, _ in turns}
+    asked = {r.query_id for r in CE.QUERIES["stream_reduce_questions"](spark, str(tmp_path)).select("query_id").collect()}
+    assert asked == {f"u{t}@{c}" for c in range(6) for t in (1, 3)}
+    (tmp_path / "none").mkdir()
+    nothing = spark.readStream.schema("conv_id long, turn int, role string, text string").parquet(f"{tmp_path}/none")
+    assert S.questions_in_batches(nothing, lambda rows: rows, CE.SPAN_ROWS).collect() == []
