@@ -252,3 +252,27 @@ def greedy_plain(v, left, size):
             taken.update(new)
             left -= len(new)
     return sorted(taken)
+
+
+def test_cosine_search_in_blocks_equals_all_pairs(spark, monkeypatch):
+    """Copies, vectors without a cosine and other lengths rank as in a full comparison, whatever the blocks."""
+    from gistloom.operators import nearest
+
+    rng = random.Random(2)
+    vectors = [(i, [round(rng.uniform(-1, 1), 2) for _ in range(4)]) for i in range(70)]
+    vectors += [(100 + i, [0.5, 0.25, -0.5, 1.0]) for i in range(30)] + [(200, None), (201, [0.0] * 4), (202, [1.0, None, 2.0, 0.5]), (220, [1.0, 2.0]), (221, [2.0, 4.0])]
+    df = spark.createDataFrame(vectors, "vec_id long, embedding array<float>")
+    monkeypatch.setattr(nearest, "ROWS", 16)
+    monkeypatch.setattr(nearest, "QUERIES", 3)
+    got = {(r.q, r.place): r.vec_id for r in nearest.search(df, df.where("vec_id % 20 = 0")).collect()}
+    held = {i: None if v is None or None in v else [float(np.float32(x)) for x in v] for i, v in vectors}
+
+    def cosine(a, b):
+        if a is None or b is None or len(a) != len(b) or not any(a) or not any(b):
+            return -9
+        return round(sum(x * y for x, y in zip(a, b, strict=True)) / (sum(x * x for x in a) * sum(y * y for y in b)) ** 0.5, 6)
+
+    want = {(q, k + 1): i for q in held if q % 20 == 0 for k, i in enumerate(sorted((i for i in held if i != q), key=lambda i: (-cosine(held[q], held[i]), i))[:5])}
+    assert got == want
+    plan = nearest.search(df, df.where("vec_id % 20 = 0"))._jdf.queryExecution().optimizedPlan().toString()
+    assert "row_flat" in plan  # pairs are of blocks, not of rows
