@@ -273,3 +273,29 @@ def test_streams_read_tables_of_several_files(spark, tmp_path):
     (tmp_path / "none").mkdir()
     nothing = spark.readStream.schema("conv_id long, turn int, role string, text string").parquet(f"{tmp_path}/none")
     assert S.questions_in_batches(nothing, lambda rows: rows, CE.SPAN_ROWS).collect() == []
+
+
+def test_rows_ranked_in_the_task_as_by_score_vectors(spark, tmp_path):
+    """Places from the fused ranking equal those of summed score vectors, over chunk ends, ties and packs."""
+    from gistloom.functions.tokens import tokenize
+    from gistloom.operators import rows
+    from gistloom.plans import reduce as R
+
+    source = [(k % 2, 7 * k, f"name {k % 5}", k % 3) for k in range(90)]
+    tables = X.entity_tables(spark.createDataFrame(source, "grp long, id long, name string, size int"), "grp", "id", ("name", "size"))
+    asked = X.entity_questions(tables, "id", ("name", "size"))
+    got = rows.rank_rows(X.packed_tables(tables, asked), 4).collect()
+    lines = {}
+    for r in tables.orderBy("doc_id", "row_no").collect():
+        lines.setdefault(r.doc_id, []).append(r.line)
+    docs = spark.createDataFrame([(d, "\n".join(x)) for d, x in lines.items()], "doc_id long, text string")
+    vectors = {r.query_id: r.v for r in R.vectors(tokenize(docs), asked, fixed=False).collect()}
+    gold = {r.query_id: r.gold_row for r in asked.collect()}
+    assert len(got) == len(gold) == 180
+    for r in got:
+        ends = np.cumsum([0] + [len(x.split()) for x in lines[r.doc_id]])
+        sums = [sum(vectors[r.query_id][a:z]) for a, z in zip(ends[:-1], ends[1:], strict=True)]
+        order = sorted(range(len(sums)), key=lambda k: (-sums[k], k))
+        assert [k + 1 for k in order[:4]] == r.best and order.index(gold[r.query_id] - 1) + 1 == r.gold_place
+    given = X.table_accuracy(tables, asked, X.best_places(rows.rank_rows(X.packed_tables(tables, asked), 4)), "id", 4)
+    assert {r.meth: r.n_queries for r in given.collect()} == {"top_rows": 180, "head_rows": 180, "full_table": 180}
