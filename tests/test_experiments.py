@@ -299,3 +299,17 @@ def test_rows_ranked_in_the_task_as_by_score_vectors(spark, tmp_path):
         assert [k + 1 for k in order[:4]] == r.best and order.index(gold[r.query_id] - 1) + 1 == r.gold_place
     given = X.table_accuracy(tables, asked, X.best_places(rows.rank_rows(X.packed_tables(tables, asked), 4)), "id", 4)
     assert {r.meth: r.n_queries for r in given.collect()} == {"top_rows": 180, "head_rows": 180, "full_table": 180}
+
+
+def test_tables_with_their_questions_come_from_one_exchange(spark):
+    """Lines and questions equal those of the joined forms; part keys that a table holds twice are not asked."""
+    cols = "l_orderkey long, l_linenumber int, l_partkey long, l_suppkey long, l_quantity double, l_extendedprice double, l_discount double, l_tax double, l_returnflag string, l_linestatus string, l_shipdate string"
+    data = [(o, k, 10 * o + min(k, 4), k, float(k), 1.0, 0.0, 0.0, "A", "F", "d") for o in range(9) for k in range(5 + o % 3)] + [(None, k, k, k, 1.0, 1.0, 0.0, 0.0, "A", "F", "d") for k in range(7)]
+    source = spark.createDataFrame(data, cols)
+    whole = W.asked_tables(source)
+    got = whole.select("doc_id", F.explode("questions").alias("q")).select("doc_id", "q.*").collect()
+    tables = W.order_tables(source)
+    assert {(r.doc_id, r.query_id, tuple(r.tokens), r.gold_row) for r in got} == {(r.doc_id, r.query_id, tuple(r.tokens), r.gold_row) for r in W.table_questions(tables).collect()} and len(got) == 6 * 4 * 5
+    assert {r.doc_id: "\n".join(r.lines) for r in whole.collect()} == {r.doc_id: r.text for r in W.table_documents(tables).collect()}
+    plan = W.asked_tables(source)._jdf.queryExecution().executedPlan().toString()  # not run, so without a final plan
+    assert plan.count("Exchange") == 1 and "Window" not in plan and "Join" not in plan
