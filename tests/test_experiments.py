@@ -313,3 +313,13 @@ def test_tables_with_their_questions_come_from_one_exchange(spark):
     assert {r.doc_id: "\n".join(r.lines) for r in whole.collect()} == {r.doc_id: r.text for r in W.table_documents(tables).collect()}
     plan = W.asked_tables(source)._jdf.queryExecution().executedPlan().toString()  # not run, so without a final plan
     assert plan.count("Exchange") == 1 and "Window" not in plan and "Join" not in plan
+
+
+def test_contrast_moves_only_vectors_that_are_contrasts(spark):
+    """Differences by hand, a missing contrast keeps the vector, and the other side is cut to contrasts before it moves."""
+    vectors = spark.createDataFrame([(1, "a", [5, 7]), (1, "b", [1, 2]), (1, "fixed@1", [3, 3]), (2, "c", [4, 4])], "doc_id long, query_id string, v array<long>")
+    pairs = spark.createDataFrame([(1, "a", "b", "farthest"), (1, "b", "fixed@1", "fixed"), (2, "c", "gone", "fixed")], "doc_id long, query_id string, contrast_id string, contrast_kind string")
+    lengths = spark.createDataFrame([("a", 2), ("b", 3), ("fixed@1", 12), ("c", 5)], "query_id string, n int")
+    got = scoring.differential(vectors, pairs, lengths)
+    assert {r.query_id: (r.contrast_id, list(r.v)) for r in got.collect()} == {"a": ("b", [5 * 3 - 1 * 2, 7 * 3 - 2 * 2]), "b": ("fixed@1", [1 * 12 - 3 * 3, 2 * 12 - 3 * 3]), "c": ("gone", [4, 4])}
+    assert "LeftSemi" in got._jdf.queryExecution().optimizedPlan().toString()
