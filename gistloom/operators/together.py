@@ -116,8 +116,11 @@ def highest(v: np.ndarray, size: int) -> np.ndarray:
     Taking windows from the best one on, ties by start, and trimming the last takes tokens by this
     value, ties by position: of equal windows the later one only adds tokens behind the earlier.
     """
-    sums = np.stack([selection.window_scores(x, size) for x in v])
     rows, n = v.shape
+    if v.size and int(np.abs(v).max()) * n >= 2**62:
+        v = v.astype(object)
+    total = np.concatenate([np.zeros((rows, 1), v.dtype), np.cumsum(v, 1)], 1)
+    sums = total[:, size:] - total[:, :-size]
     pad = np.full((rows, size - 1), sums.min() if sums.size else 0, sums.dtype)
     out = np.concatenate([pad, sums, pad], 1)
     reach = 1
@@ -131,7 +134,7 @@ def highest(v: np.ndarray, size: int) -> np.ndarray:
 def trimmed(v: np.ndarray, budgets, share: str = selection.SHARE) -> Iterator[np.ndarray]:
     """Masks (rows, tokens) of the windows within each budget."""
     n = v.shape[1]
-    flat = np.stack([selection.smooth(x) for x in v])
+    flat = selection.smooth(v.T).T
     made: dict = {}
     for b in budgets:
         need = selection._up(b, n)
@@ -149,11 +152,10 @@ def trimmed(v: np.ndarray, budgets, share: str = selection.SHARE) -> Iterator[np
         yield above | (even & (np.cumsum(even, 1) <= need - above.sum(1)[:, None]))
 
 
-def contrasts(ids: list[str], questions: list[list[str]]) -> list[int | None]:
+def contrasts(ids: list[str], bags: np.ndarray) -> list[int | None]:
     """The question of the lowest cosine, ties to the smaller id; none for an only question."""
     if len(ids) < 2:
         return [None] * len(ids)
-    bags = _bags(questions, BAG)
     norm = np.sqrt((bags * bags).sum(1))
     alike = half_up(bags @ bags.T / np.maximum(norm[:, None] * norm[None, :], 1e-12), 9)
     by_id = np.argsort(np.array(ids, object), kind="stable")
@@ -162,14 +164,6 @@ def contrasts(ids: list[str], questions: list[list[str]]) -> list[int | None]:
     return [int(min((k for k in range(len(ids)) if k != i), key=lambda k: (alike[i, k], rank[k]))) for i in range(len(ids))]
 
 
-def _first_word(token: str) -> int:
-    return int.from_bytes(attention._signs(token.lower())[:4], "big")
-
-
-def _bags(rows: list[list[str]], dims: int) -> np.ndarray:
-    return np.stack([np.bincount(np.array([_first_word(t) % dims for t in r], np.int64), minlength=dims) for r in rows]).astype(np.float64)
-
-
 # ---- retrieval --------------------------------------------------------------------------------------
 
 class _Trigrams:
@@ -297,8 +291,16 @@ class _Page:
         self.low = [t.lower() for t in tokens]
         self.ids = [q["query_id"] for q in questions]
         self.asked = [q["tokens"] for q in questions]
-        self.keys = attention.keys_of(tokens, CHUNK)
+        self.keys = attention.keys_of(tokens, range(0, self.n, CHUNK))
         self.bounds = _bounds(self.n) if self.n else []
+        flat = [attention._signs(t.lower()) for q in self.asked for t in q]
+        self.signs = np.frombuffer(b"".join(flat), ">u4").astype(np.int64)[::4]
+        self.owner = np.repeat(np.arange(len(self.asked)), [len(q) for q in self.asked])
+
+    def bags(self, dims: int) -> np.ndarray:
+        """(question, bucket): how many tokens of the question fall into each."""
+        flat = np.bincount(self.owner * dims + self.signs % dims, minlength=len(self.asked) * dims)
+        return flat.reshape(-1, dims).astype(np.float64)
 
     def vectors(self, questions: list[list[str]]) -> np.ndarray:
         """(question, token), scaled by the length of the chunk; equal questions are scored once."""
@@ -322,7 +324,7 @@ class _Page:
             elif m == "fixed":
                 yield m, np.stack([x * len(_FIXED) - fixed * len(q) for x, q in zip(v, self.asked, strict=True)])
             elif m == "auto":
-                far = contrasts(self.ids, self.asked)
+                far = contrasts(self.ids, self.bags(BAG))
                 other = [(fixed, len(_FIXED)) if k is None else (v[k], len(self.asked[k])) for k in far]
                 yield m, np.stack([x * k - u * len(q) for x, q, (u, k) in zip(v, self.asked, other, strict=True)])
             elif m == "random":
@@ -344,17 +346,15 @@ class _Page:
             return _places(_similar(q.astype(np.float64), c.astype(np.float64)))
         buckets = self.keys[0, 0].astype(np.int64) % dims
         c = np.stack([np.bincount(buckets[s:e], minlength=dims) for s, e in self.bounds]).astype(np.float64)
-        q = _bags(self.asked, dims)
+        q = self.bags(dims)
         return _places(_similar(q * corpus.idf, c * corpus.idf) if kind == "tfidf" else _similar(q, c))
 
     def _bm25(self, corpus: Corpus, dfs: dict, k1: float = 1.2, b: float = 0.75) -> np.ndarray:
         terms = [list(dict.fromkeys(t.lower() for t in q)) for q in self.asked]
         column = {t: i for i, t in enumerate(dict.fromkeys(t for q in terms for t in q))}
-        tf = np.zeros((len(self.bounds), len(column)))
-        for i, (s, e) in enumerate(self.bounds):
-            for t in self.low[s:e]:
-                if t in column:
-                    tf[i, column[t]] += 1
+        none = len(column)
+        at = np.array([column.get(t, none) for t in self.low], np.int64)
+        tf = np.stack([np.bincount(at[s:e], minlength=none + 1)[:none] for s, e in self.bounds]).astype(np.float64)
         df = np.array([dfs.get(t, 0) for t in column], np.float64)
         sizes = np.array([e - s for s, e in self.bounds], np.float64)[:, None]
         idf = np.log(1 + (corpus.n - df + 0.5) / (df + 0.5))
@@ -371,11 +371,14 @@ def _kept(page: _Page, methods, budgets, corpus, dfs, trigrams) -> Iterator[tupl
     """method, number of the budget, mask (question, token) of its context."""
     windows = dict(page.scores(methods))
     shape = (len(page.ids), page.n)
+    if windows:
+        for i, masks in enumerate(trimmed(np.concatenate(list(windows.values())), budgets)):
+            for m, mask in zip(windows, masks.reshape(len(windows), *shape), strict=True):
+                yield m, i, mask
     for m in methods:
         if m in windows:
-            for i, mask in enumerate(trimmed(windows.pop(m), budgets)):
-                yield m, i, mask
-        elif m == "head":
+            continue
+        if m == "head":
             for i, b in enumerate(budgets):
                 yield m, i, np.broadcast_to(np.arange(page.n) < selection._up(b, page.n), shape)
         else:

@@ -99,7 +99,7 @@ def test_scores_of_a_pack_equal_the_audited_weights():
 def test_keys_of_chunks_are_made_at_once(size):
     tokens = [f"Token{i % 9}" for i in range(700)]
     apart = np.concatenate([attention.keys_of(tokens[s : s + size]) for s in range(0, 700, size)], 2)
-    assert (attention.keys_of(tokens, size) == apart).all()
+    assert (attention.keys_of(tokens, range(0, 700, size)) == apart).all()
 
 
 def test_rows_near_whole_numbers_are_divided_exactly(monkeypatch):
