@@ -301,6 +301,48 @@ def test_rows_ranked_in_the_task_as_by_score_vectors(spark, tmp_path):
     assert {r.meth: r.n_queries for r in given.collect()} == {"top_rows": 180, "head_rows": 180, "full_table": 180}
 
 
+def rows_by_hand(lines, asked):
+    """Places of the rows of a table, best first: every weight of every chunk is made and added up by row."""
+    tokens = [t for x in lines for t in x.split()]
+    owner = np.repeat(np.arange(len(lines)), [len(x.split()) for x in lines])
+    flags = np.array([i == 0 or not any(c.isalnum() for c in t) or bool(set(t) & set("|<>")) for x in lines for i, t in enumerate(x.split())])
+    total = np.zeros(len(lines), np.int64)
+    for a in range(0, len(tokens), 256):
+        part = tokens[a : a + 256]
+        for _, _, w, _, _ in attention.weights(attention.keys_of(part), flags[a : a + 256], attention.keys_of(asked)):
+            np.add.at(total, owner[a : a + 256], w.sum(0) * len(part))
+    return sorted(range(len(lines)), key=lambda k: (-total[k], k))
+
+
+def test_sign_words_of_rows_are_those_of_the_provider():
+    """Chunks and questions get the same words one by one, all at once and from the provider."""
+    from gistloom.operators import rows
+
+    texts = [['"A":', "\u00c9t\u00e9", "7", "7", ",", "Longword"], ["x"], [], ["7", "\u00df", "\u0130", "longer"]]
+    whole = rows._keys(texts)
+    assert whole.shape == (11, 12) and whole.dtype == np.uint32
+    for text, at in zip(texts, np.split(whole, [6, 7, 7]), strict=True):
+        want = attention.keys_of(text).reshape(12, -1)
+        assert (rows.signs(text) == want).all() and (at.T == want).all()
+
+
+def test_every_order_table_is_asked_and_ranked(spark, tmp_path):
+    """table_k_sweep_all over whole small tables, some of whose rows hold the key of another row more often than it does."""
+    from gistloom.plans.catalog import QUERIES
+
+    cols = "l_orderkey long, l_linenumber int, l_partkey long, l_suppkey long, l_quantity double, l_extendedprice double, l_discount double, l_tax double, l_returnflag string, l_linestatus string, l_shipdate timestamp_ntz"
+    told = lambda o, k: f'"l_partkey": {100 * o} ' * 3 if 3 < k <= 3 + 3 * o else "A"
+    data = [(o, k, 100 * o + k, 7 * k, 2.0, 1.0, 0.0, 0.0, told(o, k), "F", None) for o in range(1, 5) for k in range(5 + 9 * o)]
+    source = spark.createDataFrame(data, cols)
+    source.write.parquet(f"{tmp_path}/lineitem.parquet")
+    places = []
+    for t in W.asked_tables(source).collect():
+        places += [1 + rows_by_hand(t.lines, q.tokens).index(q.gold_row - 1) for q in t.questions]
+    assert len(places) == 5 * len(data) and max(places) > 8
+    got = {r.k: r.accuracy for r in QUERIES["table_k_sweep_all"](spark, str(tmp_path)).collect()}
+    assert got == {k: round(sum(p <= k for p in places) / len(places), 6) for k in range(1, 9)} and got[1] < got[8] < 1
+
+
 def test_tables_with_their_questions_come_from_one_exchange(spark):
     """Lines and questions equal those of the joined forms; part keys that a table holds twice are not asked."""
     cols = "l_orderkey long, l_linenumber int, l_partkey long, l_suppkey long, l_quantity double, l_extendedprice double, l_discount double, l_tax double, l_returnflag string, l_linestatus string, l_shipdate string"
