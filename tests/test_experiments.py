@@ -343,6 +343,35 @@ def test_every_order_table_is_asked_and_ranked(spark, tmp_path):
     assert got == {k: round(sum(p <= k for p in places) / len(places), 6) for k in range(1, 9)} and got[1] < got[8] < 1
 
 
+def entity_by_hand(tables, questions):
+    """What the three methods of a w4 query give, from rows ranked by hand; tables and questions (gold row, tokens) by name."""
+    ranks = [(rows_by_hand(lines, q).index(gold), gold, len(lines)) for name, lines in tables.items() for gold, q in questions[name]]
+    size, given = sum(n for _, _, n in ranks), sum(min(4, n) for _, _, n in ranks)
+    share = lambda hits: round(sum(hits) / len(ranks), 6)
+    return {
+        "top_rows": (len(ranks), share(place < 4 for place, _, _ in ranks), round(given / size, 6)),
+        "head_rows": (len(ranks), share(gold < 4 for _, gold, _ in ranks), round(given / size, 6)),
+        "full_table": (len(ranks), 1.0, 1.0),
+    }
+
+
+def test_w4_part_on_whole_tables(spark, tmp_path):
+    """Tables of one and several chunks; names that repeat the key of the first row hide it from the best four."""
+    from gistloom.plans.catalog import QUERIES
+
+    name = lambda k: '"p_partkey": 0 "p_partkey": 0 "p_partkey": 0' if k in (9, 12, 15, 18, 21) else f"large ring {k % 4}"
+    data = [(k, name(k), f"Brand#{k % 3 if k < 60 else 0}", "SMALL" if k % 2 else "Gro\u00dfe", k % 50, 1.0) for k in range(90)]
+    spark.createDataFrame(data, "p_partkey long, p_name string, p_brand string, p_type string, p_size int, p_retailprice double").write.parquet(f"{tmp_path}/part.parquet")
+    tables, asked = {}, {}
+    for k, part, brand, kind, size, _ in data:
+        lines = tables.setdefault(brand, [])
+        asked.setdefault(brand, []).extend((len(lines), [f'"{c}":', '"p_partkey":', str(k)]) for c in ("p_name", "p_type", "p_size"))
+        lines.append(f'{{ "p_partkey": {k} , "p_name": {part} , "p_type": {kind} , "p_size": {size} }}')
+    want = entity_by_hand(tables, asked)
+    assert want["top_rows"][0] == 270 and want["head_rows"][1] < want["top_rows"][1] < 1
+    assert {r.meth: (r.n_queries, r.accuracy, r.row_usage) for r in QUERIES["w4_part"](spark, str(tmp_path)).collect()} == want
+
+
 def test_tables_with_their_questions_come_from_one_exchange(spark):
     """Lines and questions equal those of the joined forms; part keys that a table holds twice are not asked."""
     cols = "l_orderkey long, l_linenumber int, l_partkey long, l_suppkey long, l_quantity double, l_extendedprice double, l_discount double, l_tax double, l_returnflag string, l_linestatus string, l_shipdate string"
