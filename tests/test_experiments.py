@@ -372,6 +372,23 @@ def test_w4_part_on_whole_tables(spark, tmp_path):
     assert {r.meth: (r.n_queries, r.accuracy, r.row_usage) for r in QUERIES["w4_part"](spark, str(tmp_path)).collect()} == want
 
 
+def test_w4_supplier_on_whole_tables(spark, tmp_path):
+    """Tables of one row and of many; a name that repeats the key of another row hides it from the best four."""
+    from gistloom.plans.catalog import QUERIES
+
+    name = lambda k: '"s_suppkey": 2 "s_suppkey": 2 "s_suppkey": 2' if k in (5, 8, 11, 14) else f"Supplier#{k:09d}"
+    data = [(k, name(k), k % 3 if k < 70 else k, 1.5) for k in range(72)]
+    spark.createDataFrame(data, "s_suppkey long, s_name string, s_nationkey int, s_acctbal double").write.parquet(f"{tmp_path}/supplier.parquet")
+    tables, asked = {}, {}
+    for k, supplier, nation, _ in data:
+        lines = tables.setdefault(nation, [])
+        asked.setdefault(nation, []).append((len(lines), ['"s_name":', '"s_suppkey":', str(k)]))
+        lines.append(f'{{ "s_suppkey": {k} , "s_name": {supplier} }}')
+    want = entity_by_hand(tables, asked)
+    assert len(tables) == 5 and want["top_rows"][0] == 72 and want["head_rows"][1] < want["top_rows"][1] < 1
+    assert {r.meth: (r.n_queries, r.accuracy, r.row_usage) for r in QUERIES["w4_supplier"](spark, str(tmp_path)).collect()} == want
+
+
 def test_tables_with_their_questions_come_from_one_exchange(spark):
     """Lines and questions equal those of the joined forms; part keys that a table holds twice are not asked."""
     cols = "l_orderkey long, l_linenumber int, l_partkey long, l_suppkey long, l_quantity double, l_extendedprice double, l_discount double, l_tax double, l_returnflag string, l_linestatus string, l_shipdate string"
